@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .decontam_sa import contamination
+from .secret_ownership import BASE_PATTERNS, OPAQUE_PATTERN, scan, told
 from .shingle_join import shingle_components
 from .suffix_dedup import drop_repeats
 
@@ -18,11 +20,55 @@ def op5_suffix_tree_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drop_repeats(_documents(spark, sf_dir), keep_text=False).withColumnRenamed("id", "doc_id")
 
 
+def op6_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per document: secrets by kind, a digest of the base spans, and all spans with those of owner-specific tokens."""
+    found = scan(_documents(spark, sf_dir))
+    return found.select(F.col("id").alias("doc_id"), "n_assign", "n_access", "n_hex", F.sha2(told(F.col("base")), 256).alias("base_sha256"), told(F.col("spans")).alias("spans"), "n_live", "n_shared")
+
+
 def op8_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per document: size of its set of 5-word shingles, and the least document that links of Jaccard 0.8 reach."""
     return shingle_components(_documents(spark, sf_dir)).select(F.col("id").alias("doc_id"), "n_shingles", "component_id")
 
 
-QUERIES = {f.__name__: f for f in (op5_suffix_tree_dedup, op8_ngram_jaccard_join)}
+def op9_suffix_array_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per document: words, words in windows of test items, and the items found."""
+    found = contamination(_documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"), keep_text=False)
+    return found.select(F.col("id").alias("doc_id"), "n_words", "n_hit", "n_items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
+
+
+QUERIES = {f.__name__: f for f in (op5_suffix_tree_dedup, op6_secret_ownership, op8_ngram_jaccard_join, op9_suffix_array_decontamination)}
+
+
+def _sql_text(s: str) -> str:
+    return "'" + s.replace("'", "''") + "'"
+
+
+def _secrets_sql() -> str:
+    """The secret scan by cutting texts at matches, one kind after the other."""
+    kinds = [*((k, p, g, n) for k, p, g, n in BASE_PATTERNS), ("opaque", OPAQUE_PATTERN, 0, 24)]
+    spans = " UNION ALL ".join(
+        f"SELECT doc_id, source, lang, {rank} AS rank, '{kind}' AS kind, unnest(list_transform(range(1, len(w) + 1), lambda i: "
+        "{'s': list_sum(g[1:i]) + coalesce(list_sum(list_transform(w[1:i - 1], lambda x: length(x))), 0), 'n': length(w[i]), 'v': v[i]})) AS m "
+        f"FROM (SELECT doc_id, source, lang, regexp_extract_all(text, {_sql_text(pattern)}, 0) AS w, regexp_extract_all(text, {_sql_text(pattern)}, {group}) AS v, "
+        f"list_transform(regexp_split_to_array(text, {_sql_text(pattern)}), lambda x: length(x)) AS g FROM t)"
+        for rank, (kind, pattern, group, _) in enumerate(kinds)
+    )
+    least = "CASE kind " + " ".join(f"WHEN '{k}' THEN {n}" for k, _, _, n in kinds) + " END"
+    at = "kind || ':' || CAST(s AS VARCHAR) || ':' || CAST(e AS VARCHAR)"
+    return f"""
+WITH t AS (SELECT doc_id, source, lang, coalesce(text, '') AS text FROM documents),
+found AS (SELECT doc_id, source, lang, rank, kind, CAST(m.s AS BIGINT) AS s, CAST(m.s + m.n AS BIGINT) AS e, m.v AS v FROM ({spans})
+  WHERE length(m.v) >= {least} AND (kind <> 'opaque' OR (regexp_matches(m.v, '[A-Z]') AND regexp_matches(m.v, '[a-z]') AND regexp_matches(m.v, '[0-9]')))),
+owned AS (SELECT v, count(DISTINCT coalesce(source, chr(1))) AS owners FROM found GROUP BY v),
+judged AS (SELECT f.*, o.owners <= 1 AS live FROM found f JOIN owned o ON f.v = o.v),
+summed AS (SELECT doc_id, count(*) FILTER (kind = 'assign') AS n_assign, count(*) FILTER (kind = 'access') AS n_access, count(*) FILTER (kind = 'hex') AS n_hex,
+  string_agg({at}, ',' ORDER BY s, rank) FILTER (kind <> 'opaque') AS base, string_agg({at}, ',' ORDER BY s, rank) FILTER (kind <> 'opaque' OR live) AS spans,
+  count(DISTINCT v) FILTER (live) AS n_live, count(DISTINCT v) FILTER (NOT live) AS n_shared FROM judged GROUP BY doc_id)
+SELECT d.doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex, sha256(coalesce(base, '')) AS base_sha256,
+  coalesce(spans, '') AS spans, coalesce(n_live, 0) AS n_live, coalesce(n_shared, 0) AS n_shared
+FROM documents d LEFT JOIN summed USING (doc_id)
+"""
+
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {"op6_secret_ownership": _secrets_sql()}
