@@ -28,6 +28,9 @@ _M64 = (1 << 64) - 1
 SPACE = np.zeros(256, bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
 WORD_BY_SPACE = ~SPACE
+#: ASCII letters and every byte from 0x80 on.
+WORD_LETTERS = np.zeros(256, bool)
+WORD_LETTERS[65:91] = WORD_LETTERS[97:123] = WORD_LETTERS[128:] = True
 #: Letters, digits and every byte from 0x80 on.
 WORD_ALNUM = np.zeros(256, bool)
 WORD_ALNUM[48:58] = WORD_ALNUM[65:91] = WORD_ALNUM[97:123] = WORD_ALNUM[128:] = True
@@ -81,7 +84,14 @@ class Words:
         self.hash = mix((total[self.end] - total[self.start]) * down[self.start])
         self.text_start = np.concatenate(([0], np.cumsum([len(t) + 1 for t in texts], dtype=np.int64)))[: len(texts) + 1]
         self.first = np.searchsorted(self.start, self.text_start)  # words of text i: first[i]:first[i + 1]
-        self._sums = None
+        self._sums, self._total = None, total
+
+    def heads(self, size: int) -> tuple[np.ndarray, np.ndarray]:
+        """(word, hash of its first bytes) of the words that have so many bytes."""
+        at = np.flatnonzero(self.end - self.start >= size)
+        _, down = _BYTES_POW.get(len(self._total))
+        start = self.start[at]
+        return at, mix((self._total[start + size] - self._total[start]) * down[start] + _U(size))
 
     def __len__(self) -> int:
         return len(self.hash)
@@ -199,6 +209,6 @@ def slice_batches(batches: Iterable[pa.RecordBatch], column: str, limit: int = 1
 
 
 __all__ = [
-    "SPACE", "WORD_ALNUM", "WORD_BY_SPACE", "Words", "as_bytes", "by_range", "chunks", "delta", "materialize", "mix", "pack",
+    "SPACE", "WORD_ALNUM", "WORD_BY_SPACE", "WORD_LETTERS", "Words", "as_bytes", "by_range", "chunks", "delta", "materialize", "mix", "pack",
     "shared_dir", "shuffle_parts", "slice_batches", "undelta", "unpack",
 ]
