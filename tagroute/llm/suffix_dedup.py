@@ -93,23 +93,6 @@ def _blocks(keys: np.ndarray, row: np.ndarray, place: np.ndarray, ids: np.ndarra
 _BLOCK = "part int, done boolean, block binary, ids binary"
 
 
-def _subtrees(table: pa.Table) -> pa.Table:
-    """(rid, places) of a range's suffixes that meet another one in a deep node, and of those known as such."""
-    keys, who, place, done = [], [], [], []
-    for is_done, block, ids in zip(*(table.column(c).to_pylist() for c in ("done", "block", "ids")), strict=True):
-        *gaps, of, at = unpack(block)
-        keys.append(undelta(gaps[0]) if gaps else np.zeros(len(of), np.uint64))
-        who.append(unpack(ids)[0].view(np.int64)[of.astype(np.int64)])
-        place.append(at.astype(np.uint32))
-        done.append(np.full(len(of), is_done))
-    keys, who, place, done = (np.concatenate(x) for x in (keys, who, place, done))
-    order = np.lexsort((keys, done))
-    keys, who, place, done = keys[order], who[order], place[order], done[order]
-    n = len(done) - int(done.sum())
-    deep = np.concatenate((_repeated(keys[:n]), done[n:]))
-    return _told(who[deep], place[deep])
-
-
 def _repeated(keys: np.ndarray) -> np.ndarray:
     if not len(keys):
         return np.zeros(0, bool)
@@ -117,20 +100,55 @@ def _repeated(keys: np.ndarray) -> np.ndarray:
     return np.concatenate((same, [False])) | np.concatenate(([False], same))
 
 
-def _told(who: np.ndarray, place: np.ndarray) -> pa.Table:
-    """(rid, places): places of each row, packed."""
-    order = np.lexsort((place, who))
-    who, place = who[order], place[order]
-    start = np.flatnonzero(np.concatenate(([True], who[1:] != who[:-1]))) if len(who) else np.zeros(0, int)
-    end = np.append(start[1:], len(who))
-    return pa.table({"rid": pa.array(who[start]), "places": pa.array([pack(delta(place[a:b].astype(np.uint64))) for a, b in zip(start.tolist(), end.tolist(), strict=True)], pa.binary())})
-
-
-def _places(blobs: list[bytes] | None) -> np.ndarray:
-    return np.concatenate([undelta(unpack(b)[0]) for b in blobs]).astype(np.int64) if blobs else np.zeros(0, np.int64)
-
-
-def _flags(texts: int, first: np.ndarray, n: int, blobs: list[list[bytes] | None]) -> np.ndarray:
+def _gathered(blocks: DataFrame, parts: int) -> DataFrame:
+    """(rid, places): of each row, its suffixes that meet another one in a deep node; from blocks by prefix range, over blocks by row."""
+
+    def by_row(who: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        rid, of = np.unique(who, return_inverse=True)
+        order = np.lexsort((place, of))
+        return rid, of[order], place[order]
+
+    def subtrees(table: pa.Table) -> pa.Table:
+        keys, who, place, done = [], [], [], []
+        for is_done, block, ids in zip(*(table.column(c).to_pylist() for c in ("done", "block", "ids")), strict=True):
+            *gaps, of, at = unpack(block)
+            keys.append(undelta(gaps[0]) if gaps else np.zeros(len(of), np.uint64))
+            who.append(unpack(ids)[0].view(np.int64)[of.astype(np.int64)])
+            place.append(at.astype(np.uint32))
+            done.append(np.full(len(of), is_done))
+        keys, who, place, done = (np.concatenate(x) for x in (keys, who, place, done))
+        order = np.lexsort((keys, done))
+        keys, who, place, done = keys[order], who[order], place[order], done[order]
+        n = len(done) - int(done.sum())
+        deep = np.concatenate((_repeated(keys[:n]), done[n:]))
+        rid, of, place = by_row(who[deep], place[deep])
+        to = (mix(rid.view(np.uint64)) % _U(parts)).astype(np.int32)
+        rows = []
+        for p in np.unique(to).tolist():
+            mine = to[of] == p
+            used, short = np.unique(of[mine], return_inverse=True)
+            rows.append((p, pack(rid[used].view(np.uint64)), pack(delta(short.astype(np.uint64)), place[mine])))
+        return pa.table({"part": pa.array([r[0] for r in rows], pa.int32()), "ids": pa.array([r[1] for r in rows], pa.binary()), "block": pa.array([r[2] for r in rows], pa.binary())})
+
+    def gather(table: pa.Table) -> pa.Table:
+        who, place = [], []
+        for ids, block in zip(table.column("ids").to_pylist(), table.column("block").to_pylist(), strict=True):
+            short, at = unpack(block)
+            who.append(unpack(ids)[0].view(np.int64)[undelta(short).astype(np.int64)])
+            place.append(at)
+        rid, of, place = by_row(np.concatenate(who), np.concatenate(place))
+        cut = np.searchsorted(of, np.arange(len(rid) + 1)).tolist()
+        return pa.table({"rid": pa.array(rid), "places": pa.array([pack(delta(np.unique(place[a:b]))) for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary())})
+
+    told = blocks.groupBy("part").applyInArrow(subtrees, "part int, ids binary, block binary")
+    return told.groupBy("part").applyInArrow(gather, "rid long, places binary").hint("shuffle_hash")
+
+
+def _places(blob: bytes | None) -> np.ndarray:
+    return undelta(unpack(blob)[0]).astype(np.int64) if blob else np.zeros(0, np.int64)
+
+
+def _flags(texts: int, first: np.ndarray, n: int, blobs: list[bytes | None]) -> np.ndarray:
     """Marks of a chunk's words at the places told for each text."""
     on = np.zeros(n, bool)
     for i in range(texts):
@@ -175,7 +193,7 @@ def repeats(rows: DataFrame, length: int, gram: int, parts: int) -> DataFrame:
             runs, least, ok = _windows(w, length, gram)
             if not len(least):
                 continue
-            on = _flags(len(texts), w.first, len(w), part.column("blobs").to_pylist())[: len(runs)]
+            on = _flags(len(texts), w.first, len(w), part.column("places").to_pylist())[: len(runs)]
             inner = _sliding(np.minimum, np.where(on, runs, _MOST), length - gram + 1)
             at = np.flatnonzero(ok & (inner == least))
             row, place = _per_text(w, at)
@@ -187,14 +205,8 @@ def repeats(rows: DataFrame, length: int, gram: int, parts: int) -> DataFrame:
         if held:
             yield flush(held, 64)
 
-    anchors = rows.mapInArrow(census, _BLOCK).groupBy("part").applyInArrow(_subtrees, "rid long, places binary")
-    asked = rows.join(_by_row(anchors), "rid")
-    return asked.mapInArrow(suffixes, _BLOCK).groupBy("part").applyInArrow(_subtrees, "rid long, places binary")
-
-
-def _by_row(found: DataFrame) -> DataFrame:
-    """(rid, blobs), the side of a join that is held; its rows are short beside the texts."""
-    return found.groupBy("rid").agg(F.collect_list("places").alias("blobs")).hint("shuffle_hash")
+    asked = rows.join(_gathered(rows.mapInArrow(census, _BLOCK), parts), "rid")
+    return _gathered(asked.mapInArrow(suffixes, _BLOCK), parts)
 
 
 def _covered(starts: np.ndarray, n: int, length: int) -> np.ndarray:
@@ -224,11 +236,11 @@ def drop_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     id_type = docs.schema[id_col].dataType.simpleString()
     parts = shuffle_parts(docs.sparkSession)
     rows = _keyed(docs, id_col, text_col)
-    found = _by_row(repeats(rows, length, gram, parts))
+    found = repeats(rows, length, gram, parts)
 
     def cut(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, texts in slice_batches(batches, "text"):
-            blobs = part.column("blobs").to_pylist()
+            blobs = part.column("places").to_pylist()
             n_words, n_removed, digest, kept_texts = [], [], [], []
             for i, t in enumerate(texts):
                 words = t.split()
@@ -254,12 +266,12 @@ def maximal_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """(id, first_word, n_words): maximal runs of words all of whose windows of `length` words occur elsewhere too."""
     id_type = docs.schema[id_col].dataType.simpleString()
     rows = _keyed(docs, id_col, text_col)
-    found = _by_row(repeats(rows, length, gram, shuffle_parts(docs.sparkSession)))
+    found = repeats(rows, length, gram, shuffle_parts(docs.sparkSession))
 
     def runs(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             ids, first, size = [], [], []
-            for i, blobs in zip(b.column("id").to_pylist(), b.column("blobs").to_pylist(), strict=True):
+            for i, blobs in zip(b.column("id").to_pylist(), b.column("places").to_pylist(), strict=True):
                 at = np.unique(_places(blobs))
                 for run in np.split(at, np.flatnonzero(np.diff(at) > 1) + 1):
                     ids.append(i)
@@ -267,6 +279,6 @@ def maximal_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
                     size.append(int(run[-1] - run[0]) + length)
             yield pa.record_batch({"id": pa.array(ids, b.schema.field("id").type), "first_word": pa.array(first, pa.int64()), "n_words": pa.array(size, pa.int64())})
 
-    return rows.select("rid", "id").join(found, "rid").select("id", "blobs").mapInArrow(runs, f"id {id_type}, first_word long, n_words long")
+    return rows.select("rid", "id").join(found, "rid").select("id", "places").mapInArrow(runs, f"id {id_type}, first_word long, n_words long")
 
 
