@@ -108,8 +108,8 @@ def _census_blocks(docs: DataFrame, text_col: str, k: int, parts: int, hold: int
     return docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(each, "part int, block binary, sets binary")
 
 
-def _census(blocks: DataFrame) -> DataFrame:
-    """(rid, n, shared, tokens): the shingles of a set that other sets hold too; a token is hash << 8 | min(count, 255)."""
+def _census(blocks: DataFrame, parts: int) -> DataFrame:
+    """(part, sets, block): shingles that several sets hold, by ranges of sets; a token is hash << 8 | min(count, 255)."""
 
     def count(table: pa.Table) -> pa.Table:
         keys, owner, rids, sizes, base = [], [], [], [], 0
@@ -133,36 +133,62 @@ def _census(blocks: DataFrame) -> DataFrame:
         keys, owner = keys[many], owner[many]
         order = np.lexsort((owner, keys))
         keys, owner = keys[order], owner[order]
-        if len(keys):
-            fresh = np.concatenate(([True], (keys[1:] != keys[:-1]) | (owner[1:] != owner[:-1])))
-            keys, owner = keys[fresh], owner[fresh]
-            start = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
-            times = np.diff(np.append(start, len(keys)))
-            each = np.repeat(times, times)
-            keep = each > 1
-            tokens, owner = (keys[keep] << _U(8)) | np.minimum(each[keep], 255).astype(np.uint64), owner[keep]
-            order = np.argsort(owner, kind="stable")
-            tokens, owner = tokens[order], owner[order]
-        else:
-            tokens = keys
-        start = np.flatnonzero(np.concatenate(([True], owner[1:] != owner[:-1]))) if len(owner) else np.zeros(0, int)
-        end = np.append(start[1:], len(owner))
-        who = owner[start]
-        return pa.table({
-            "rid": pa.array(rid[who].astype(np.int64)), "n": pa.array(size[who].astype(np.int32)), "shared": pa.array((end - start).astype(np.int32)),
-            "tokens": pa.array([tokens[a:b].tobytes() for a, b in zip(start.tolist(), end.tolist(), strict=True)], pa.binary()),
-        })
+        fresh = np.concatenate((np.ones(min(1, len(keys)), bool), (keys[1:] != keys[:-1]) | (owner[1:] != owner[:-1])))
+        keys, owner = keys[fresh], owner[fresh]
+        start = np.flatnonzero(np.concatenate((np.ones(min(1, len(keys)), bool), keys[1:] != keys[:-1])))
+        times = np.diff(np.append(start, len(keys)))
+        each = np.repeat(times, times)
+        keep = each > 1
+        tokens, owner = (keys[keep] << _U(8)) | np.minimum(each[keep], 255).astype(np.uint64), owner[keep]
+        order = np.lexsort((tokens, owner))
+        tokens, owner = tokens[order], owner[order]
+        to = (rid % _U(parts)).astype(np.int32)[owner]
+        rows = []
+        for p in np.unique(to).tolist():
+            mine = to == p
+            who, place = np.unique(owner[mine], return_inverse=True)
+            rows.append((p, pack(rid[who], size[who]), pack(delta(place.astype(np.uint64)), tokens[mine])))
+        return pa.table({"part": pa.array([r[0] for r in rows], pa.int32()), "sets": pa.array([r[1] for r in rows], pa.binary()), "block": pa.array([r[2] for r in rows], pa.binary())})
 
-    return blocks.groupBy("part").applyInArrow(count, "rid long, n int, shared int, tokens binary")
+    return blocks.groupBy("part").applyInArrow(count, "part int, sets binary, block binary")
 
 
-def _need(n: Column, percent: int) -> Column:
-    return F.ceil(n * percent / 100)
+def _eligible(census: DataFrame, percent: int) -> DataFrame:
+    """(rid, n, shared, tokens) of the sets with enough shared tokens for any link."""
+
+    def gather(table: pa.Table) -> pa.Table:
+        rids, sizes, owner, tokens, base = [], [], [], [], 0
+        for sets, block in zip(table.column("sets").to_pylist(), table.column("block").to_pylist(), strict=True):
+            rid, size = unpack(sets)
+            place, token = unpack(block)
+            rids.append(rid)
+            sizes.append(size)
+            owner.append(undelta(place).astype(np.int64) + base)
+            tokens.append(token)
+            base += len(rid)
+        rid, known = np.unique(np.concatenate(rids), return_inverse=True)
+        size = np.zeros(len(rid), np.int64)
+        size[known] = np.concatenate(sizes)
+        owner, tokens = known[np.concatenate(owner)], np.concatenate(tokens)
+        shared = np.bincount(owner, minlength=len(rid))
+        fit = shared * 100 >= percent * size
+        keep = fit[owner]
+        owner, tokens = owner[keep], tokens[keep]
+        order = np.argsort(owner, kind="stable")
+        owner, tokens = owner[order], tokens[order]
+        who = np.flatnonzero(fit)
+        cut = np.searchsorted(owner, np.append(who, len(rid))).tolist()
+        return pa.table({
+            "rid": pa.array(rid[who].astype(np.int64)), "n": pa.array(size[who].astype(np.int32)), "shared": pa.array(shared[who].astype(np.int32)),
+            "tokens": pa.array([tokens[a:b].tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary()),
+        })
+
+    return census.groupBy("part").applyInArrow(gather, "rid long, n int, shared int, tokens binary")
 
 
-def _ordered(blobs: list[bytes]) -> np.ndarray:
+def _ordered(tokens: bytes) -> np.ndarray:
     """A set's shared tokens, rarest first, then by hash."""
-    t = np.frombuffer(b"".join(blobs), np.uint64)
+    t = np.frombuffer(tokens, np.uint64)
     return t[np.lexsort((t, t & _U(255)))]
 
 
@@ -203,8 +229,8 @@ def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int,
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, total = [], 0
         for b in batches:
-            for rid, n, shared, blobs, root in zip(*(b.column(c).to_pylist() for c in ("rid", "n", "shared", "tokens", "root")), strict=True):
-                e = entries(n, shared, _ordered(blobs))
+            for rid, n, shared, tokens, root in zip(*(b.column(c).to_pylist() for c in ("rid", "n", "shared", "tokens", "root")), strict=True):
+                e = entries(n, shared, _ordered(tokens))
                 if len(e):
                     held.append(((rid, n, shared, root), e))
                     total += len(e)
@@ -291,8 +317,7 @@ def _verified(pairs: DataFrame, eligible: DataFrame, percent: int) -> DataFrame:
             keep = []
             t1, t2 = b.column("t1").to_pylist(), b.column("t2").to_pylist()
             for i, (n1, n2) in enumerate(zip(b.column("n1").to_pylist(), b.column("n2").to_pylist(), strict=True)):
-                x, y = np.frombuffer(b"".join(t1[i]), np.uint64), np.frombuffer(b"".join(t2[i]), np.uint64)
-                both = np.sort(np.concatenate((x, y)))
+                both = np.sort(np.concatenate((np.frombuffer(t1[i], np.uint64), np.frombuffer(t2[i], np.uint64))))
                 common = int((both[1:] == both[:-1]).sum())
                 keep.append(100 * common >= percent * (n1 + n2 - common))
             yield pa.record_batch([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
@@ -314,11 +339,7 @@ def shingle_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     spark = docs.sparkSession
     parts = shuffle_parts(spark)
     of_rows = members(docs, id_col, text_col, k)
-    n = F.col("n")
-    eligible = materialize(
-        _census(_census_blocks(docs, text_col, k, parts)).groupBy("rid").agg(F.first("n").alias("n"), F.sum("shared").cast("int").alias("shared"), F.collect_list("tokens").alias("tokens")).filter(F.col("shared") >= _need(n, percent)),
-        "sets",
-    )
+    eligible = materialize(_eligible(_census(_census_blocks(docs, text_col, k, parts), parts), percent), "sets")
     size = eligible.count()
     index_parts = max(1, min(parts, size // 4000))
     alone = eligible.withColumn("root", F.col("rid"))
