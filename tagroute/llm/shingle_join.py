@@ -12,10 +12,11 @@ share at least percent/100 of the larger set.  The steps:
    rare one, which is indexed alone, or two frequent ones, which are indexed
    as a combination.  Long sets index frequent tokens alone, as combinations
    would grow with the square of the prefix; both ways meet where sizes overlap.
-4. Buckets of the index up to `rare` sets give all their pairs.  A larger bucket
-   gives a star around its most central set; after those pairs are verified and
-   joined to components, only pairs across components that can still reach the
-   overlap are verified.  So a group of n near copies costs about n pairs.
+4. Each set is first compared with the most central set - the one with the fewest
+   shingles of its own - that it meets in any bucket of the index.  Those links
+   give components.  Then every bucket's pairs across components that can still
+   reach the overlap are compared.  So a group of n near copies costs about n
+   pairs, and no pair of a bucket goes unjudged.
 5. Pairs are verified by counting common shingles; links give components.
 
 Hashes have 48 bits in the census: a pair's count is wrong with a probability
@@ -25,7 +26,6 @@ near |x||y| / 2**48 (1e-9 for 500 shingles).
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -243,26 +243,18 @@ def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int,
     return eligible.mapInArrow(each, "part int, block binary, sets binary")
 
 
-def _pairs(index: DataFrame, percent: int, rare: int, rest: bool) -> DataFrame:
-    """(a, b) candidate pairs of sets: from small buckets and stars of large ones, or what stars have left open (rest)."""
+def _pairs(index: DataFrame, percent: int, rest: bool) -> DataFrame:
+    """(a, b) candidate pairs of sets: each set with the most central one it meets, or (rest) all that these have left open."""
     share = percent / (100 + percent)
 
     def could(n1, s1, n2, s2):
         """Sizes and shared tokens allow the overlap."""
         return (np.minimum(n1, n2) * 100 >= percent * np.maximum(n1, n2)) & (np.minimum(s1, s2) >= share * (n1 + n2) - 1e-9)
 
-    def of_bucket(who, rid, n, s, root) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        if len(who) <= rare:
-            if not rest:
-                i, j = np.triu_indices(len(who), 1)
-                yield who[i], who[j]
-            return
-        if not rest:
-            centre = who[np.lexsort((rid[who], n[who] - s[who]))[0]]
-            yield np.full(len(who) - 1, centre), who[who != centre]
-            return
+    def of_bucket(who, rid, root) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Each set outside the largest component against all of other components."""
         roots, size = np.unique(root[who], return_counts=True)
-        if len(roots) > 1:  # each set outside the largest component against all of other components
+        if len(roots) > 1:
             for x in who[root[who] != roots[size.argmax()]]:
                 y = who[root[who] != root[x]]
                 yield np.full(len(y), x), y
@@ -281,6 +273,7 @@ def _pairs(index: DataFrame, percent: int, rare: int, rest: bool) -> DataFrame:
         order = np.lexsort((rid[owner], keys))
         keys, owner = keys[order], owner[order]
         start = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
+        size = np.diff(np.append(start, len(keys)))
         found, held = set(), []
 
         def gather() -> None:
@@ -291,10 +284,17 @@ def _pairs(index: DataFrame, percent: int, rare: int, rest: bool) -> DataFrame:
                 found.update(zip(np.minimum(rid[x], rid[y]).tolist(), np.maximum(rid[x], rid[y]).tolist(), strict=True))
                 held.clear()
 
-        waiting = 0
-        for a, b in zip(start.tolist(), chain(start[1:].tolist(), [len(keys)]), strict=True):
-            if b - a > 1:
-                for x, y in of_bucket(owner[a:b], rid, n, s, root):
+        if not rest:  # the most central set that each set meets in any bucket
+            central = np.lexsort((rid, n - s))
+            rank = np.empty(len(rid), np.int64)
+            rank[central] = np.arange(len(rid))
+            best = np.full(len(rid), len(rid))
+            np.minimum.at(best, owner, np.repeat(np.minimum.reduceat(rank[owner], start), size))
+            held.append((np.arange(len(rid)), central[np.minimum(best, len(rid) - 1)]))
+        else:
+            waiting = 0
+            for a, b in zip(start[size > 1].tolist(), (start + size)[size > 1].tolist(), strict=True):
+                for x, y in of_bucket(owner[a:b], rid, root):
                     held.append((x, y))
                     waiting += len(x)
                     if waiting > 1_000_000:
@@ -328,7 +328,7 @@ def _verified(pairs: DataFrame, eligible: DataFrame, percent: int) -> DataFrame:
 def shingle_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, percent: int = 80, rare: int = 8, long: int = 240) -> DataFrame:
     """(id, n_shingles, component_id) for every row: the least id that links of the join reach.
 
-    rare: buckets up to this size give all their pairs.  long: frequent tokens of sets beyond
+    rare: tokens of up to so many sets are indexed alone.  long: frequent tokens of sets beyond
     this size are indexed alone, those of sets up to 4/3 of it as combinations of two.
     Rows without words (null, empty, white space) have size 0 and stand alone.  Rows with a
     null id stand alone too, as null.  Repeated rows give repeated results.  An empty table
@@ -343,10 +343,10 @@ def shingle_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     size = eligible.count()
     index_parts = max(1, min(parts, size // 4000))
     alone = eligible.withColumn("root", F.col("rid"))
-    stars = materialize(_verified(_pairs(_index(alone, percent, rare, long, index_parts), percent, rare, False), eligible, percent), "stars")
+    stars = materialize(_verified(_pairs(_index(alone, percent, rare, long, index_parts), percent, False), eligible, percent), "stars")
     first = connected_components(stars)
     joined = eligible.join(first.withColumnRenamed("node", "rid"), "rid", "left").withColumn("root", F.coalesce("root", "rid"))
-    rest = _verified(_pairs(_index(joined, percent, rare, long, index_parts), percent, rare, True), eligible, percent)
+    rest = _verified(_pairs(_index(joined, percent, rare, long, index_parts), percent, True), eligible, percent)
     links = materialize(first.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(rest), "found")
     roots = connected_components(links)
     rows = of_rows.select("id", "n_shingles", "rid")
