@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import jpeg_thumbs, piece_sampling, quality_pu, toxicity_ws
 from .decontam_sa import contamination
 from .secret_ownership import BASE_PATTERNS, OPAQUE_PATTERN, scan, told
 from .shingle_join import shingle_components
@@ -15,6 +16,27 @@ def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def op1_pu_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per document: a quality score of its whole text, learnt from positive and unlabelled rows outside the held-out fold."""
+    docs = _documents(spark, sf_dir)
+    model = quality_pu.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    held = F.crc32(F.col("id").cast("string")) % 4 == 2
+    return quality_pu.score(docs, model).select(F.col("id").alias("doc_id"), held.alias("held_out"), "score", F.when(F.col("score") >= 0.7, 1).otherwise(0).alias("predicted"))
+
+
+def op3_jpeg_thumbnails(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per document: its text stored as the DC levels of a JPEG, read back, with digests and thumbnail hash."""
+    return jpeg_thumbs.features(jpeg_thumbs.store(_documents(spark, sf_dir))).withColumnRenamed("id", "doc_id")
+
+
+def op4_weak_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per document: a toxicity score of its whole text, learnt by weak supervision from rows outside the held-out fold."""
+    docs = _documents(spark, sf_dir)
+    model = toxicity_ws.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    held = F.crc32(F.col("id").cast("string")) % 5 == 0
+    return toxicity_ws.score(docs, model).select(F.col("id").alias("doc_id"), held.alias("held_out"), "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted"))
+
+
 def op5_suffix_tree_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per document: words, words in repeated windows of 35, and a digest of what stays."""
     return drop_repeats(_documents(spark, sf_dir), keep_text=False).withColumnRenamed("id", "doc_id")
@@ -37,7 +59,12 @@ def op9_suffix_array_decontamination(spark: SparkSession, sf_dir: str) -> DataFr
     return found.select(F.col("id").alias("doc_id"), "n_words", "n_hit", "n_items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
 
 
-QUERIES = {f.__name__: f for f in (op5_suffix_tree_dedup, op6_secret_ownership, op8_ngram_jaccard_join, op9_suffix_array_decontamination)}
+def op10_sampled_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per document: pieces of a sampled segmentation, a digest of them, and whether decoding gives the text back."""
+    return piece_sampling.round_trip(_documents(spark, sf_dir), piece_sampling.default_model()).withColumnRenamed("id", "doc_id")
+
+
+QUERIES = {f.__name__: f for f in (op1_pu_quality, op3_jpeg_thumbnails, op4_weak_toxicity, op5_suffix_tree_dedup, op6_secret_ownership, op8_ngram_jaccard_join, op9_suffix_array_decontamination, op10_sampled_pieces)}
 
 
 def _sql_text(s: str) -> str:

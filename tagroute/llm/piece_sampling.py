@@ -192,7 +192,7 @@ class Lattice:
         step = 0
         count = np.zeros(len(unit), np.int64)
         while len(live):
-            u = mix(noise[live] + _U(step) * _U(0x9E3779B97F4A7C15)) >> _U(32)
+            u = mix(noise[live] + _U(step * 0x9E3779B97F4A7C15 & (2**64 - 1))) >> _U(32)
             edge = np.searchsorted(self.limit, ((at - 1).astype(np.uint64) << _U(32)) + u, side="right")
             taken.append((live, edge))
             count[live] += 1

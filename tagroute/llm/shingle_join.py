@@ -192,8 +192,15 @@ def _ordered(tokens: bytes) -> np.ndarray:
     return t[np.lexsort((t, t & _U(255)))]
 
 
-def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int, hold: int = 4_000_000) -> DataFrame:
-    """(part, block, sets): the index entries of eligible sets. sets: rid, n, shared and component."""
+def _outline(t: np.ndarray) -> np.ndarray:
+    """1024 bits of which each shared token sets one: bits that only one of two sets has are tokens that the other lacks."""
+    on = np.zeros(1024, np.uint8)
+    on[((t >> _U(8)) & _U(1023)).astype(np.int64)] = 1
+    return np.packbits(on).view(np.uint64)
+
+
+def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int, outlines: bool, hold: int = 4_000_000) -> DataFrame:
+    """(part, block, sets): the index entries of eligible sets. sets: rid, n, shared, component, and outlines if asked for."""
 
     def entries(n: int, shared: int, t: np.ndarray) -> np.ndarray:
         need = -(-n * percent // 100)
@@ -216,6 +223,8 @@ def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int,
         keys = np.concatenate([h[1] for h in held])
         owner = np.repeat(np.arange(len(held)), [len(h[1]) for h in held])
         about = np.array([h[0] for h in held], np.uint64)
+        if outlines:
+            about = np.concatenate((about, np.stack([h[2] for h in held])), 1)
         order, cut = by_range(keys, _BITS, parts)
         keys, owner = keys[order], owner[order]
         rows = []
@@ -230,9 +239,10 @@ def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int,
         held, total = [], 0
         for b in batches:
             for rid, n, shared, tokens, root in zip(*(b.column(c).to_pylist() for c in ("rid", "n", "shared", "tokens", "root")), strict=True):
-                e = entries(n, shared, _ordered(tokens))
+                t = _ordered(tokens)
+                e = entries(n, shared, t)
                 if len(e):
-                    held.append(((rid, n, shared, root), e))
+                    held.append(((rid, n, shared, root), e, _outline(t) if outlines else None))
                     total += len(e)
                 if total >= hold:
                     yield flush(held)
@@ -247,9 +257,15 @@ def _pairs(index: DataFrame, percent: int, rest: bool) -> DataFrame:
     """(a, b) candidate pairs of sets: each set with the most central one it meets, or (rest) all that these have left open."""
     share = percent / (100 + percent)
 
-    def could(n1, s1, n2, s2):
-        """Sizes and shared tokens allow the overlap."""
-        return (np.minimum(n1, n2) * 100 >= percent * np.maximum(n1, n2)) & (np.minimum(s1, s2) >= share * (n1 + n2) - 1e-9)
+    def could(x, y, n, s, outline):
+        """Sizes, shared tokens and outlines allow the overlap."""
+        need = share * (n[x] + n[y]) - 1e-9
+        ok = np.flatnonzero((np.minimum(n[x], n[y]) * 100 >= percent * np.maximum(n[x], n[y])) & (np.minimum(s[x], s[y]) >= need))
+        if rest:
+            a, b = outline[x[ok]], outline[y[ok]]
+            most = np.minimum(s[x[ok]] - np.bitwise_count(a & ~b).sum(1, dtype=np.int64), s[y[ok]] - np.bitwise_count(b & ~a).sum(1, dtype=np.int64))
+            ok = ok[most >= need[ok]]
+        return ok
 
     def of_bucket(who, rid, root) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Each set outside the largest component against all of other components."""
@@ -268,8 +284,8 @@ def _pairs(index: DataFrame, percent: int, rest: bool) -> DataFrame:
             owner.append(place.astype(np.int64) + base)
             about.append(of)
             base += len(of)
-        about, owner, keys = np.concatenate(about).astype(np.int64), np.concatenate(owner), np.concatenate(keys)
-        rid, n, s, root = about.T
+        about, owner, keys = np.concatenate(about), np.concatenate(owner), np.concatenate(keys)
+        (rid, n, s, root), outline = about[:, :4].astype(np.int64).T, about[:, 4:]
         order = np.lexsort((rid[owner], keys))
         keys, owner = keys[order], owner[order]
         start = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
@@ -279,8 +295,9 @@ def _pairs(index: DataFrame, percent: int, rest: bool) -> DataFrame:
         def gather() -> None:
             if held:
                 x, y = np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held])
-                ok = could(n[x], s[x], n[y], s[y]) & (rid[x] != rid[y])
+                ok = could(x, y, n, s, outline)
                 x, y = x[ok], y[ok]
+                x, y = x[rid[x] != rid[y]], y[rid[x] != rid[y]]
                 found.update(zip(np.minimum(rid[x], rid[y]).tolist(), np.maximum(rid[x], rid[y]).tolist(), strict=True))
                 held.clear()
 
@@ -297,7 +314,7 @@ def _pairs(index: DataFrame, percent: int, rest: bool) -> DataFrame:
                 for x, y in of_bucket(owner[a:b], rid, root):
                     held.append((x, y))
                     waiting += len(x)
-                    if waiting > 1_000_000:
+                    if waiting > 200_000:
                         gather()
                         waiting = 0
         gather()
@@ -338,18 +355,17 @@ def shingle_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
         raise ValueError("percent is 75 to 100: the sizes of linked sets must let singles and combinations meet")
     spark = docs.sparkSession
     parts = shuffle_parts(spark)
-    of_rows = members(docs, id_col, text_col, k)
+    rows = materialize(members(docs, id_col, text_col, k), "rows")
     eligible = materialize(_eligible(_census(_census_blocks(docs, text_col, k, parts), parts), percent), "sets")
     size = eligible.count()
     index_parts = max(1, min(parts, size // 4000))
     alone = eligible.withColumn("root", F.col("rid"))
-    stars = materialize(_verified(_pairs(_index(alone, percent, rare, long, index_parts), percent, False), eligible, percent), "stars")
+    stars = materialize(_verified(_pairs(_index(alone, percent, rare, long, index_parts, False), percent, False), eligible, percent), "stars")
     first = connected_components(stars)
     joined = eligible.join(first.withColumnRenamed("node", "rid"), "rid", "left").withColumn("root", F.coalesce("root", "rid"))
-    rest = _verified(_pairs(_index(joined, percent, rare, long, index_parts), percent, True), eligible, percent)
+    rest = _verified(_pairs(_index(joined, percent, rare, long, index_parts, True), percent, True), eligible, percent)
     links = materialize(first.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(rest), "found")
     roots = connected_components(links)
-    rows = of_rows.select("id", "n_shingles", "rid")
     named = rows.filter("rid > 0 and id is not null").groupBy("rid").agg(F.min("id").alias("least"))
     roots = named.join(roots.withColumnRenamed("node", "rid"), "rid", "left").withColumn("root", F.coalesce("root", "rid"))
     least = roots.groupBy("root").agg(F.min("least").alias("component_id"))
