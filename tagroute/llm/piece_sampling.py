@@ -143,19 +143,18 @@ def _edges(v: Pieces, data: np.ndarray, start: np.ndarray, end: np.ndarray) -> t
 class Lattice:
     """Forward sums of distinct units, as integer thresholds of each node's edges."""
 
-    def __init__(self, v: Pieces, units: list[bytes]):
-        size = np.array([len(u) for u in units], np.int64)
+    def __init__(self, v: Pieces, data: np.ndarray, size: np.ndarray):
+        """data: the units' bytes side by side; size: bytes of each."""
         end = np.cumsum(size)
         start = end - size
-        data = np.frombuffer(b"".join(units), np.uint8)
         a, b, piece = _edges(v, data, start, end)
         begin = np.repeat(start, size)  # of the unit of each byte
-        weight = np.where(piece >= 0, v.weight[piece], v.byte_weight * (b - a))
         # nodes: a unit's byte offsets 1.. are known by their last byte's place; offset 0 sums to 1
         node = b - 1
         depth = b - begin[a]
-        order = np.lexsort((piece, a, node, depth))
-        a, b, piece, weight, node, depth = (x[order] for x in (a, b, piece, weight, node, depth))
+        order = np.argsort((depth << 40) | (node << 8) | np.minimum(b - a, 255))
+        a, b, piece, node, depth = (x[order] for x in (a, b, piece, node, depth))
+        weight = np.where(piece >= 0, v.weight[piece], v.byte_weight * (b - a))
         alpha = np.zeros(len(data))
         chance = np.zeros(len(a))
         is_first = a == begin[a]
@@ -174,16 +173,15 @@ class Lattice:
             total = np.add.reduceat(part, g - lo)
             alpha[node[g]] = top + np.log(total)
             chance[lo:hi] = part / np.repeat(total, count)
-        # thresholds by node, in order of node
-        order = np.argsort(node, kind="stable")
-        self.a, self.piece, node, chance = a[order], piece[order], node[order], chance[order]
+        # thresholds by node: the last edge of each takes what rounding leaves
         share = np.floor(chance * float(_ONE)).astype(np.uint64)
-        group = np.flatnonzero(np.concatenate((np.ones(min(1, len(node)), bool), node[1:] != node[:-1])))
         count = np.diff(np.append(group, len(node)))
         run = np.cumsum(share)
         within = run - np.repeat(run[group] - share[group], count)
         within[np.append(group[1:], len(node))[: len(group)] - 1] = _ONE
-        self.limit = (node.astype(np.uint64) << _U(32)) + np.minimum(within, _ONE)
+        self.a, self.piece, self.limit = a, piece, within
+        self.edge = np.zeros(len(data), np.int64)
+        self.edge[node[group]] = group
         self.start, self.end, self.data, self.log_total = start, end, data, alpha[end - 1]
 
     def sample(self, unit: np.ndarray, noise: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -193,7 +191,11 @@ class Lattice:
         count = np.zeros(len(unit), np.int64)
         while len(live):
             u = mix(noise[live] + _U(step * 0x9E3779B97F4A7C15 & (2**64 - 1))) >> _U(32)
-            edge = np.searchsorted(self.limit, ((at - 1).astype(np.uint64) << _U(32)) + u, side="right")
+            edge = self.edge[at - 1]
+            on = np.flatnonzero(u >= self.limit[edge])
+            while len(on):
+                edge[on] += 1
+                on = on[u[on] >= self.limit[edge[on]]]
             taken.append((live, edge))
             count[live] += 1
             at = self.a[edge]
@@ -207,31 +209,29 @@ class Lattice:
         return out, count
 
 
-def _split(text: bytes) -> list[bytes]:
-    """Units: a word with the spaces before it."""
-    parts = text.split(b" ")
-    if b"" not in parts[1:]:
-        return [parts[0], *[b" " + p for p in parts[1:]]] if parts[0] else [b" " + p for p in parts[1:]]
-    units, spaces = [], b""
-    for i, p in enumerate(parts):
-        if i:
-            spaces += b" "
-        if p:
-            units.append(spaces + p)
-            spaces = b""
-    return [*units, spaces] if spaces else units
-
-
 def encode_texts(v: Pieces, texts: list[bytes], keys: np.ndarray, seed: int) -> list[np.ndarray]:
     """Piece ids of each text."""
     v.prepare()
-    known: dict[bytes, int] = {}
-    of_text = [_split(b" " + t if v.dummy_prefix else t) if t else [] for t in texts]
-    n = np.array([len(u) for u in of_text], np.int64)
-    unit = np.fromiter((known.setdefault(u, len(known)) for units in of_text for u in units), np.int64, int(n.sum()))
-    if not len(unit):
+    prefix = b" " if v.dummy_prefix else b""
+    data = np.frombuffer(b"".join([prefix + t if t else t for t in texts]), np.uint8)
+    if not len(data):
         return [np.zeros(0, np.int32)] * len(texts)
-    lattice = Lattice(v, list(known))
+    text_end = np.cumsum([len(t) + len(prefix) if t else 0 for t in texts])
+    # a unit starts with a text, and with the first of its spaces
+    space = data == 32
+    begins = space.copy()
+    begins[1:] &= ~space[:-1]
+    begins[0] = True
+    begins[text_end[text_end < len(data)]] = True
+    start = np.flatnonzero(begins)
+    size = np.diff(np.append(start, len(data)))
+    n = np.diff(np.concatenate(([0], np.searchsorted(start, text_end))))
+    up, down = _BYTES_POW.get(len(data) + 1)
+    total = np.zeros(len(data) + 1, np.uint64)
+    np.cumsum(_BYTE[data] * up[: len(data)], out=total[1:])
+    _, first, unit = np.unique(mix((total[start + size] - total[start]) * down[start] + size.astype(np.uint64)), return_index=True, return_inverse=True)
+    wide = size[first]
+    lattice = Lattice(v, data[np.arange(wide.sum()) - np.repeat(np.cumsum(wide) - wide - start[first], wide)], wide)
     place = np.arange(len(unit)) - np.repeat(np.cumsum(n) - n, n)
     base = mix(keys.astype(np.int64).view(np.uint64) + _U(seed & (2**64 - 1)))
     noise = mix(np.repeat(base, n) + place.astype(np.uint64) * _U(0xD1342543DE82EF95))
