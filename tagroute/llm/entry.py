@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import jpeg_thumbs, piece_sampling, quality_pu, toxicity_ws
+from . import jpeg_thumbs, piece_sampling, quality_pu, role_repair, toxicity_ws, warc_revisit
 from .decontam_sa import contamination
 from .secret_ownership import BASE_PATTERNS, OPAQUE_PATTERN, scan, told
 from .shingle_join import shingle_components
@@ -24,6 +24,13 @@ def op1_pu_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_pu.score(docs, model).select(F.col("id").alias("doc_id"), held.alias("held_out"), "score", F.when(F.col("score") >= 0.7, 1).otherwise(0).alias("predicted"))
 
 
+def op2_revisit_resolution(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per revisit record of a crawl over `pages`: its base response, what became of it, and the merged headers."""
+    found = warc_revisit.resolve(warc_revisit.records_of_pages(spark.read.parquet(f"{sf_dir}/pages.parquet")))
+    said = F.array_join(F.array_sort(F.transform(F.map_entries("headers"), lambda e: F.concat_ws(": ", e["key"], e["value"]))), "; ")
+    return found.select("rec_id", "canonical", "ts", "status", "base_id", "digest", said.alias("headers"))
+
+
 def op3_jpeg_thumbnails(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per document: its text stored as the DC levels of a JPEG, read back, with digests and thumbnail hash."""
     return jpeg_thumbs.features(jpeg_thumbs.store(_documents(spark, sf_dir))).withColumnRenamed("id", "doc_id")
@@ -48,6 +55,11 @@ def op6_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select(F.col("id").alias("doc_id"), "n_assign", "n_access", "n_hex", F.sha2(told(F.col("base")), 256).alias("base_sha256"), told(F.col("spans")).alias("spans"), "n_live", "n_shared")
 
 
+def op7_role_repair(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per turn: its role and its piece of the rendering after the cheapest repair of its conversation."""
+    return role_repair.repair(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
+
+
 def op8_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per document: size of its set of 5-word shingles, and the least document that links of Jaccard 0.8 reach."""
     return shingle_components(_documents(spark, sf_dir)).select(F.col("id").alias("doc_id"), "n_shingles", "component_id")
@@ -64,7 +76,7 @@ def op10_sampled_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_sampling.round_trip(_documents(spark, sf_dir), piece_sampling.default_model()).withColumnRenamed("id", "doc_id")
 
 
-QUERIES = {f.__name__: f for f in (op1_pu_quality, op3_jpeg_thumbnails, op4_weak_toxicity, op5_suffix_tree_dedup, op6_secret_ownership, op8_ngram_jaccard_join, op9_suffix_array_decontamination, op10_sampled_pieces)}
+QUERIES = {f.__name__: f for f in (op1_pu_quality, op2_revisit_resolution, op3_jpeg_thumbnails, op4_weak_toxicity, op5_suffix_tree_dedup, op6_secret_ownership, op7_role_repair, op8_ngram_jaccard_join, op9_suffix_array_decontamination, op10_sampled_pieces)}
 
 
 def _sql_text(s: str) -> str:
@@ -98,4 +110,39 @@ FROM documents d LEFT JOIN summed USING (doc_id)
 """
 
 
-ORACLE_SQL: dict[str, str] = {"op6_secret_ownership": _secrets_sql()}
+def _canonical_sql(url: str) -> str:
+    rest = f"regexp_replace(regexp_replace({url}, '#.*$', ''), '^[A-Za-z][A-Za-z0-9+.-]*://', '')"
+    host = f"regexp_replace(regexp_replace(lower(regexp_extract({rest}, '^([^/?]*)', 1)), ':(80|443)$', ''), '^www[0-9]*[.]', '')"
+    path = f"regexp_replace(regexp_extract({rest}, '^[^/?]*([^?]*)', 1), '/(index[.]html?)?$', '')"
+    query = f"array_to_string(list_sort(list_filter(string_split(regexp_extract({rest}, '[?](.*)$', 1), '&'), lambda p: p <> '' AND NOT regexp_matches(p, '{warc_revisit.TRACKING}'))), '&')"
+    return f"{host} || {path} || CASE WHEN {query} <> '' THEN '?' || {query} ELSE '' END"
+
+
+def _revisits_sql() -> str:
+    host = "regexp_extract(url, '^[a-z]+://([^/]+)', 1)"
+    version = f"{host} || '-' || CAST(page_id // 200 AS VARCHAR)"
+    permitted = ", ".join(f"'{h}'" for h in warc_revisit.PERMITTED_HEADERS)
+    return f"""
+WITH p AS (SELECT page_id, url, html FROM pages WHERE url IS NOT NULL),
+records AS (
+  SELECT page_id * 4 AS rec_id, 'response' AS rec_type, url, page_id * 100 AS ts, md5(html) AS etag, CAST(page_id AS VARCHAR) AS last_modified, sha256(html) AS digest,
+    ['Content-Type: text/html', 'Date: ' || CAST(page_id * 100 AS VARCHAR), 'ETag: ' || md5(html), 'Server: origin'] AS headers FROM p
+  UNION ALL SELECT page_id * 4 + 1, 'revisit', regexp_replace(url, '#.*$', '') || '#again', page_id * 100 + 1000 * (1 + page_id % 5),
+    CASE WHEN page_id % 7 = 0 THEN 'other' WHEN page_id % 3 = 0 THEN NULL ELSE md5(html) END, CASE WHEN page_id % 6 = 0 THEN NULL ELSE CAST(page_id AS VARCHAR) END, CASE WHEN page_id % 12 = 0 THEN NULL ELSE sha256(html) END,
+    ['date: ' || CAST(page_id * 100 + 1000 AS VARCHAR), 'Cache-Control: max-age=60', 'Content-Length: 0', 'Set-Cookie: a=b'] FROM p
+  UNION ALL SELECT page_id * 4 + 2, 'revisit', upper(regexp_extract(url, '^([a-z]+://[^/]+)', 1)) || regexp_extract(url, '^[a-z]+://[^/]+(.*)$', 1), page_id * 100 - 50, md5(html), NULL, NULL, ['Date: ' || CAST(page_id AS VARCHAR)] FROM p WHERE page_id % 11 = 0
+  UNION ALL SELECT page_id * 4 + 3, CASE WHEN page_id % 50 = 0 THEN 'response' ELSE 'revisit' END, 'http://' || {host} || ':80/robots.txt', page_id * 100 + 7, {version}, NULL, md5({version}), ['Date: ' || CAST(page_id * 100 AS VARCHAR), 'Vary: accept'] FROM p),
+named AS (SELECT *, {_canonical_sql('url')} AS canonical FROM records),
+joined AS (SELECT *, last_value(CASE WHEN rec_type = 'response' THEN {{'id': rec_id, 'etag': etag, 'last_modified': last_modified, 'digest': digest, 'headers': headers}} END IGNORE NULLS)
+  OVER (PARTITION BY canonical ORDER BY ts, rec_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS base FROM named),
+judged AS (SELECT *, CASE WHEN base IS NULL THEN 'orphan' WHEN etag IS NOT NULL THEN CASE WHEN etag IS NOT DISTINCT FROM base.etag THEN 'resolved' ELSE 'mismatch' END
+  WHEN last_modified IS NOT NULL THEN CASE WHEN last_modified IS NOT DISTINCT FROM base.last_modified THEN 'resolved' ELSE 'mismatch' END
+  WHEN digest IS NOT NULL THEN CASE WHEN digest IS NOT DISTINCT FROM base.digest THEN 'resolved' ELSE 'mismatch' END ELSE 'unchecked' END AS status,
+  list_filter(headers, lambda h: lower(string_split(h, ': ')[1]) IN ({permitted})) AS renewed FROM joined WHERE rec_type = 'revisit')
+SELECT rec_id, canonical, ts, status, base.id AS base_id, CASE WHEN status = 'resolved' THEN base.digest END AS digest,
+  CASE WHEN status = 'resolved' THEN array_to_string(list_sort(list_concat(list_filter(base.headers, lambda h: NOT list_contains(list_transform(renewed, lambda r: lower(string_split(r, ': ')[1])), lower(string_split(h, ': ')[1]))), renewed)), '; ') END AS headers
+FROM judged
+"""
+
+
+ORACLE_SQL: dict[str, str] = {"op2_revisit_resolution": _revisits_sql(), "op6_secret_ownership": _secrets_sql()}
