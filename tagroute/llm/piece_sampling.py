@@ -284,7 +284,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         v = sent.value
-        for part, texts in slice_batches(batches, "text", 4 << 20):
+        for part, texts in slice_batches(batches, "text", 1 << 19):
             ids = encode_texts(v, texts, part.column("key").to_numpy(zero_copy_only=False), seed)
             offsets = np.concatenate(([0], np.cumsum([len(x) for x in ids]))).astype(np.int32)
             out = {"id": part.column("id"), "n_bytes": pa.array([len(t) for t in texts], pa.int64()), "text_sha256": pa.array([hashlib.sha256(t).hexdigest() for t in texts]), "ids": pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(ids)))}
