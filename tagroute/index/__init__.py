@@ -8,6 +8,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.rounds import materialize
+
 
 def cross_edges(edges: DataFrame, cells: DataFrame) -> DataFrame:
     """(u, v, w, cu, cv): edges whose ends lie in different cells."""
@@ -95,3 +97,6 @@ def tag_cell_max(index: DataFrame) -> DataFrame:
     return index.groupBy("tag", "cell").agg(F.max("rating").alias("rating"), F.count("*").alias("n"))
 
 
+
+
+__all__ = ["borders", "closure", "cross_edges", "dijkstra", "inner_arcs", "materialize", "overlay", "tag_cell_max", "tag_index", "tag_max"]

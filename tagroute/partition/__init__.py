@@ -37,7 +37,9 @@ def propagate(edges: DataFrame, n_s: int = 64, rounds: int = 6) -> DataFrame:
     e = edges.select("u", "v", "w").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"), "w"))
     now = e.select(F.col("u").alias("v")).distinct().withColumn("cell", F.col("v"))
     for _ in range(rounds):
-        votes = e.join(now.select(F.col("v").alias("u"), "cell"), "u").groupBy("v", "cell").agg(F.sum(1.0 / F.col("w")).alias("s"))
+        told = e.join(now.select(F.col("v").alias("u"), "cell"), "u").select("v", "cell", (1.0 / F.col("w")).alias("s"))
+        held = now.join(e.groupBy("v").agg(F.avg(1.0 / F.col("w")).alias("s")), "v").select("v", "cell", "s")  # its own label counts as a neighbour's
+        votes = told.unionByName(held).groupBy("v", "cell").agg(F.sum("s").alias("s"))
         best = votes.groupBy("v").agg(F.max_by("cell", F.struct("s", -F.col("cell"))).alias("cell"))
         size = best.groupBy("cell").agg(F.count("*").alias("n"))
         keep = best.join(size, "cell").filter(F.col("n") <= n_s).select("v", "cell")

@@ -53,7 +53,7 @@ def with_sql(final: str, extra: dict[str, str] | None = None, recursive: dict[st
     early = dict(have)
     for n in [*_needs(final), *(e for e in extra if re.search(rf"\b{e}\b", final))]:
         add(n)
-    listed = [f"{n} AS ({early[n]})" for n in early] + [f"{h} AS ({t})" for h, t in parts] + [f"{n} AS ({have[n]})" for n in have if n not in early]
+    listed = [f"{n} AS MATERIALIZED ({early[n]})" for n in early] + [f"{h} AS ({t})" for h, t in parts] + [f"{n} AS MATERIALIZED ({have[n]})" for n in have if n not in early]
     if not listed:
         return final
     return ("WITH RECURSIVE " if parts else "WITH ") + ",\n".join(listed) + "\n" + final
