@@ -255,16 +255,17 @@ _PERMS = {"four": "SELECT 0 AS i UNION ALL SELECT 1 UNION ALL SELECT 2 UNION ALL
 
 def _routes_sql(sets: str, name: str, dest: bool = False, fixed: bool = False) -> dict[str, str]:
     pick = lambda what, o: f"[{', '.join(f'{what}{j}' for j in range(4))}][{o} + 1]"
-    last = " JOIN hop e ON e.s = z.a4 AND e.v = z.dest" if dest else ""
+    ordered = f"""SELECT z.qid, z.pois, z.members, z.rating, z.o1 * 1000 + z.o2 * 100 + z.o3 * 10 + z.o4 AS order_no, z.v_q, z.a1, z.a2, z.a3, z.a4, l1.dist + l2.dist + l3.dist + l4.dist AS dist FROM
+      (SELECT s.qid, s.rating, o1, o2, o3, o4, g.v_q, [{', '.join(pick('p', f'o{i}') for i in range(1, 5))}] AS pois, [p0, p1, p2, p3] AS members, {', '.join(f"{pick('v', f'o{i}')} AS a{i}" for i in range(1, 5))}
+        FROM {sets} s CROSS JOIN perms JOIN (SELECT DISTINCT qid, v_q FROM gold) AS g ON g.qid = s.qid {'WHERE o1 = 0 AND o2 = 1 AND o3 = 2' if fixed else ''}) AS z
+      JOIN hop l1 ON l1.s = z.v_q AND l1.v = z.a1 JOIN hop l2 ON l2.s = z.a1 AND l2.v = z.a2 JOIN hop l3 ON l3.s = z.a2 AND l3.v = z.a3 JOIN hop l4 ON l4.s = z.a3 AND l4.v = z.a4"""
+    out = {**_PERMS, "ends": "SELECT v FROM hit UNION SELECT dest FROM gold WHERE dest IS NOT NULL", "hop": "SELECT s.s, s.v, s.dist FROM sd s JOIN ends ON ends.v = s.v"}
+    if not dest:
+        return {**out, name: ordered}
     return {
-        **_PERMS,
-        "ends": "SELECT v FROM hit UNION SELECT dest FROM gold",
-        "hop": "SELECT s.s, s.v, s.dist FROM sd s JOIN ends ON ends.v = s.v",
-        name: f"""SELECT z.qid, z.pois, z.members, z.rating, z.o1 * 1000 + z.o2 * 100 + z.o3 * 10 + z.o4 AS order_no, z.v_q, z.a1, z.a2, z.a3, z.a4, l1.dist + l2.dist + l3.dist + l4.dist{' + e.dist' if dest else ''} AS dist FROM
-      (SELECT s.qid, s.rating, o1, o2, o3, o4, g.v_q, g.dest, [{', '.join(pick('p', f'o{i}') for i in range(1, 5))}] AS pois, [p0, p1, p2, p3] AS members, {', '.join(f"{pick('v', f'o{i}')} AS a{i}" for i in range(1, 5))}
-        FROM {sets} s CROSS JOIN perms JOIN (SELECT DISTINCT qid, v_q, dest FROM gold) AS g ON g.qid = s.qid {'WHERE o1 = 0 AND o2 = 1 AND o3 = 2' if fixed else ''}) AS z
-      JOIN hop l1 ON l1.s = z.v_q AND l1.v = z.a1 JOIN hop l2 ON l2.s = z.a1 AND l2.v = z.a2 JOIN hop l3 ON l3.s = z.a2 AND l3.v = z.a3 JOIN hop l4 ON l4.s = z.a3 AND l4.v = z.a4{last}""",
-    }
+        **out, f"{name}_open": ordered, "goal": "SELECT DISTINCT qid AS goal_qid, dest AS goal_v FROM gold", "home": "SELECT goal_qid, s AS home_s, dist AS home_dist FROM goal JOIN hop ON v = goal_v",
+        name: f"SELECT qid, pois, members, rating, order_no, v_q, a1, a2, a3, a4, dist + home_dist AS dist FROM {name}_open JOIN home ON goal_qid = qid AND home_s = a4",
+    }
 
 
 def _score_sql(alpha: float, dist: str = "dist", rating: str = "rating") -> str:
