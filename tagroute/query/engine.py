@@ -13,6 +13,7 @@ from .. import index as ix_frames
 from .. import network, partition
 from ..distance.arrays import collect_csr
 from ..plans.mode import LOCAL_ARCS
+from ..plans.rounds import materialize
 from .search import Arrays
 from .spec import QuerySpec, queries_frame
 
@@ -84,7 +85,7 @@ class Engine:
 
     def __init__(self, index: RouteIndex, limit: int = LOCAL_ARCS):
         self.index, self.spark = index, index.edges.sparkSession
-        self._sent, self.limit = None, limit
+        self._sent, self.limit, self._told = None, limit, {}
 
     @classmethod
     def build(cls, vertices: DataFrame, edges: DataFrame, pois: DataFrame, cells: DataFrame | None = None, side: int = 70, w_max: float = 19, r_max: float = 90, personal: DataFrame | None = None, limit: int = LOCAL_ARCS) -> Engine:
@@ -137,8 +138,11 @@ class Engine:
         return self._run(queries, method, variant, ANSWER_SCHEMA)
 
     def counters(self, queries: DataFrame, method: str = "ebs", **variant) -> DataFrame:
-        """What each query's search counted, and its seconds."""
-        return self._run(queries, method, variant, COUNTER_SCHEMA)
+        """What each query's search counted, and its seconds; run once for the same queries, method and variant."""
+        key = (queries.semanticHash(), method, repr(sorted(variant.items(), key=str)))
+        if key not in self._told:
+            self._told[key] = materialize(self._run(queries, method, variant, COUNTER_SCHEMA), "counters")
+        return self._told[key]
 
     def routes(self, v_q: int, tags: list[str], k: int = 4, alpha: float = 0.6, method: str = "ebs", **variant) -> DataFrame:
         spec = QuerySpec(v_q, tuple(tags), alpha, k, **{n: v for n, v in variant.items() if n in ("dest", "budget")})
