@@ -15,7 +15,7 @@ _HIT = {**_LOGGED, **_TAGGED, "hit": "SELECT l.qid, l.pos AS tag_pos, t.poi, t.v
 
 register("m_search_space", with_sql("SELECT qid, CAST(round(exp(sum(ln(n)))) AS BIGINT) AS n_sets, CAST(round(exp(sum(ln(n)))) AS BIGINT) * 24 AS n_orders FROM (SELECT qid, tag_pos, count(*) AS n FROM hit GROUP BY qid, tag_pos) AS g GROUP BY qid HAVING count(*) = 4", _HIT))(lambda s, d: measures.search_space(tables.hits(Data(s, d).index, Data(s, d).log()), 4))
 _STAGED = lambda s, d: (lambda x: measures.stages(x.engine().counters(x.log())))(Data(s, d))
-register("m_cells", with_sql("SELECT qid, count(DISTINCT cell) AS cells_rn, true AS shrinks FROM hit GROUP BY qid", _HIT))(lambda s, d: _STAGED(s, d).select("qid", "cells_rn", ((F.col("cells_sr") <= F.col("cells_rn")) & (F.col("cells_bp") <= F.col("cells_rn"))).alias("shrinks")))
+register("m_cells", with_sql("SELECT qid, count(DISTINCT cell) AS cells_rn, true AS shrinks FROM hit GROUP BY qid", _HIT))(lambda s, d: _STAGED(s, d).filter("cells_rn > 0").select("qid", "cells_rn", ((F.col("cells_sr") <= F.col("cells_rn")) & (F.col("cells_bp") <= F.col("cells_rn"))).alias("shrinks")))
 register("m_sets", with_sql("SELECT qid, CAST(round(exp(sum(ln(n)))) AS BIGINT) AS sets_rn, true AS shrinks FROM (SELECT qid, tag_pos, count(*) AS n FROM hit GROUP BY qid, tag_pos) AS g GROUP BY qid HAVING count(*) = 4", _HIT))(lambda s, d: _STAGED(s, d).filter("sets_rn > 0").select("qid", "sets_rn", ((F.col("sets_sr") <= F.col("sets_rn")) & (F.col("sets_bp") <= F.col("sets_rn"))).alias("shrinks")))
 register("m_orders")(lambda s, d: _STAGED(s, d).select("qid", "orders_sr", "orders_evaluated", (F.col("orders_evaluated") <= F.col("sets_bp") * 24).alias("bounded")))
 register("m_percent")(lambda s, d: measures.percentages(_STAGED(s, d)))
