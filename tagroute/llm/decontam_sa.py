@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .textblocks import WORD_ALNUM, Words, slice_batches
+from .textblocks import WORD_ALNUM, Words, slice_batches, tidy_map
 
 _U = np.uint64
 
@@ -197,7 +197,7 @@ def _scan(rows: DataFrame, sent, id_type: str, keep_text: bool, last: bool) -> D
             yield pa.record_batch(out)
 
     text = ", text string" if keep_text or not last else ""
-    return rows.mapInArrow(each, f"id {id_type}{text}, " + ("n_words long, n_hit long, n_items long, items array<string>, contaminated boolean" if last else "spans array<long>, items array<string>"))
+    return rows.mapInArrow(tidy_map(each), f"id {id_type}{text}, " + ("n_words long, n_hit long, n_items long, items array<string>, contaminated boolean" if last else "spans array<long>, items array<string>"))
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", window: int = 10, block_bytes: int = 2 << 20, keep_text: bool = True) -> DataFrame:
@@ -246,7 +246,7 @@ def longest_matches(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id
                     "item_word": pa.array(tests.at[a], pa.int64()), "n_words": pa.array(size, pa.int64()),
                 })
 
-        return rows.mapInArrow(each, schema)
+        return rows.mapInArrow(tidy_map(each), schema)
 
     out = None
     for items in item_blocks(benchmark, item_col, item_text, block_bytes):

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textblocks import slice_batches
+from .textblocks import slice_batches, tidy_map
 
 #: Blocks of a restart interval, and of the shortest picture row.
 UNIT = 192
@@ -373,7 +373,7 @@ def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
             media = [encode_payload(t + b" " * (-len(t) % UNIT or (0 if t else UNIT))) for t in texts]
             yield pa.record_batch({"id": part.column("id"), "n_bytes": pa.array([len(t) for t in texts], pa.int64()), "media": pa.array(media, pa.binary())})
 
-    return docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).mapInArrow(each, f"id {id_type}, n_bytes long, media binary")
+    return docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).mapInArrow(tidy_map(each), f"id {id_type}, n_bytes long, media binary")
 
 
 def features(media: DataFrame) -> DataFrame:
@@ -393,7 +393,7 @@ def features(media: DataFrame) -> DataFrame:
                 "media_bytes": pa.array(c[3], pa.int64()), "media_sha256": pa.array(c[4]), "feature": pa.array(c[5]),
             })
 
-    return media.mapInArrow(each, f"id {id_type}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return media.mapInArrow(tidy_map(each), f"id {id_type}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
 
 
 def thumbnails(media: DataFrame, id_col: str = "id", media_col: str = "media") -> DataFrame:
@@ -415,4 +415,4 @@ def thumbnails(media: DataFrame, id_col: str = "id", media_col: str = "media") -
             c = list(zip(*rows, strict=True)) or [(), (), (), ()]
             yield pa.record_batch({"id": b.column("id"), "width": pa.array(c[0], pa.int32()), "height": pa.array(c[1], pa.int32()), "thumb_hash": pa.array(c[2], pa.string()), "error": pa.array(c[3], pa.string())})
 
-    return media.select(F.col(id_col).alias("id"), F.col(media_col).alias("media")).mapInArrow(each, f"id {id_type}, width int, height int, thumb_hash string, error string")
+    return media.select(F.col(id_col).alias("id"), F.col(media_col).alias("media")).mapInArrow(tidy_map(each), f"id {id_type}, width int, height int, thumb_hash string, error string")

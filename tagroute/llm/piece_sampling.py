@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textblocks import _BYTE, _BYTES_POW, mix, slice_batches
+from .textblocks import _BYTE, _BYTES_POW, mix, slice_batches, tidy_map
 
 _U = np.uint64
 _ONE = np.uint64(1) << np.uint64(32)
@@ -293,7 +293,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
             yield pa.record_batch(out)
 
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).withColumn("key", F.xxhash64(F.col("id").cast("string")))
-    return rows.mapInArrow(each, f"id {id_type}, n_bytes long, text_sha256 string, ids array<int>" + (", text string" if keep_text else ""))
+    return rows.mapInArrow(tidy_map(each), f"id {id_type}, n_bytes long, text_sha256 string, ids array<int>" + (", text string" if keep_text else ""))
 
 
 def decode(encoded: DataFrame, model: str) -> DataFrame:
@@ -315,7 +315,7 @@ def decode(encoded: DataFrame, model: str) -> DataFrame:
                 out = {f.name: part.column(f.name) for f in kept}
                 yield pa.record_batch(out | {"n_pieces": pa.array([len(x) for x in ids], pa.int64()), "ids_sha256": pa.array([hashlib.sha256(np.ascontiguousarray(x, "<i4").tobytes()).hexdigest() for x in ids]), "text": pa.array([s.decode() for s in said], pa.string())})
 
-    return encoded.select(*(f.name for f in kept), "ids").mapInArrow(each, f"{schema}, n_pieces long, ids_sha256 string, text string")
+    return encoded.select(*(f.name for f in kept), "ids").mapInArrow(tidy_map(each), f"{schema}, n_pieces long, ids_sha256 string, text string")
 
 
 def round_trip(docs: DataFrame, model: str, **options) -> DataFrame:

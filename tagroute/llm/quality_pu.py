@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textblocks import WORD_BY_SPACE, Words, slice_batches
+from .textblocks import WORD_BY_SPACE, Words, slice_batches, tidy_map
 from .toxicity_ws import bounded_sample
 
 _CLASS = np.zeros(256, np.int64)
@@ -162,7 +162,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
         for part, texts in slice_batches(batches, "text", 4 << 20):
             yield pa.record_batch({"id": part.column("id").cast(pa.string()), "label": part.column("label"), "x": pa.array([r.tobytes() for r in features(texts)], pa.binary())})
 
-    got = sorted(rows.mapInArrow(numbers, "id string, label int, x binary").collect(), key=lambda r: (r[0], r[1]))
+    got = sorted(rows.mapInArrow(tidy_map(numbers), "id string, label int, x binary").collect(), key=lambda r: (r[0], r[1]))
     y = np.array([r["label"] for r in got])
     if not (y == 1).any():
         return None
@@ -204,4 +204,4 @@ def score(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_col
             s = sent.value.score(features(texts)) if sent.value else np.full(len(texts), 0.5)
             yield pa.record_batch([part.column("id"), pa.array(s, pa.float64())], ["id", "score"])
 
-    return docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).mapInArrow(each, f"id {docs.schema[id_col].dataType.simpleString()}, score double")
+    return docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).mapInArrow(tidy_map(each), f"id {docs.schema[id_col].dataType.simpleString()}, score double")

@@ -33,7 +33,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .textblocks import WORD_BY_SPACE, Words, by_range, delta, materialize, mix, pack, shuffle_parts, slice_batches, undelta, unpack
+from .textblocks import WORD_BY_SPACE, Words, by_range, delta, materialize, mix, pack, shuffle_parts, slice_batches, undelta, unpack, tidy_group, tidy_map
 
 _BITS = 48
 _U = np.uint64
@@ -72,10 +72,10 @@ def members(docs: DataFrame, id_col: str, text_col: str, k: int) -> DataFrame:
             sets = shingle_sets(texts, k)
             yield pa.record_batch({"id": part.column("id"), "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "rid": pa.array([_signature(s) for s in sets], pa.int64())})
 
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(each, f"id {id_type}, n_shingles long, rid long")
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy_map(each), f"id {id_type}, n_shingles long, rid long")
 
 
-def _census_blocks(docs: DataFrame, text_col: str, k: int, parts: int, hold: int = 4_000_000) -> DataFrame:
+def _census_blocks(docs: DataFrame, text_col: str, k: int, parts: int, hold: int = 1_500_000) -> DataFrame:
     """(part, block): shingle hashes by hash range with the sets that hold them; a set is told once a task's chunk."""
 
     def flush(held: dict[int, np.ndarray]) -> pa.RecordBatch:
@@ -105,7 +105,7 @@ def _census_blocks(docs: DataFrame, text_col: str, k: int, parts: int, hold: int
         if held:
             yield flush(held)
 
-    return docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(each, "part int, block binary, sets binary")
+    return docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(tidy_map(each), "part int, block binary, sets binary")
 
 
 def _census(blocks: DataFrame, parts: int) -> DataFrame:
@@ -150,7 +150,7 @@ def _census(blocks: DataFrame, parts: int) -> DataFrame:
             rows.append((p, pack(rid[who], size[who]), pack(delta(place.astype(np.uint64)), tokens[mine])))
         return pa.table({"part": pa.array([r[0] for r in rows], pa.int32()), "sets": pa.array([r[1] for r in rows], pa.binary()), "block": pa.array([r[2] for r in rows], pa.binary())})
 
-    return blocks.groupBy("part").applyInArrow(count, "part int, sets binary, block binary")
+    return blocks.groupBy("part").applyInArrow(tidy_group(count), "part int, sets binary, block binary")
 
 
 def _eligible(census: DataFrame, percent: int) -> DataFrame:
@@ -183,7 +183,7 @@ def _eligible(census: DataFrame, percent: int) -> DataFrame:
             "tokens": pa.array([tokens[a:b].tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary()),
         })
 
-    return census.groupBy("part").applyInArrow(gather, "rid long, n int, shared int, tokens binary")
+    return census.groupBy("part").applyInArrow(tidy_group(gather), "rid long, n int, shared int, tokens binary")
 
 
 def _ordered(tokens: bytes) -> np.ndarray:
@@ -199,7 +199,7 @@ def _outline(t: np.ndarray) -> np.ndarray:
     return np.packbits(on).view(np.uint64)
 
 
-def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int, outlines: bool, hold: int = 4_000_000) -> DataFrame:
+def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int, outlines: bool, hold: int = 1_500_000) -> DataFrame:
     """(part, block, sets): the index entries of eligible sets. sets: rid, n, shared, component, and outlines if asked for."""
 
     def entries(n: int, shared: int, t: np.ndarray) -> np.ndarray:
@@ -250,7 +250,7 @@ def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int,
         if held:
             yield flush(held)
 
-    return eligible.mapInArrow(each, "part int, block binary, sets binary")
+    return eligible.mapInArrow(tidy_map(each), "part int, block binary, sets binary")
 
 
 def _pairs(index: DataFrame, percent: int, rest: bool) -> DataFrame:
@@ -321,7 +321,7 @@ def _pairs(index: DataFrame, percent: int, rest: bool) -> DataFrame:
         found = sorted(found)
         return pa.table({"a": pa.array([f[0] for f in found], pa.int64()), "b": pa.array([f[1] for f in found], pa.int64())})
 
-    return index.groupBy("part").applyInArrow(each, "a long, b long").distinct()
+    return index.groupBy("part").applyInArrow(tidy_group(each), "a long, b long").distinct()
 
 
 def _verified(pairs: DataFrame, eligible: DataFrame, percent: int) -> DataFrame:
@@ -339,7 +339,7 @@ def _verified(pairs: DataFrame, eligible: DataFrame, percent: int) -> DataFrame:
                 keep.append(100 * common >= percent * (n1 + n2 - common))
             yield pa.record_batch([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "n1", "n2", "t1", "t2").mapInArrow(each, "a long, b long")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "n1", "n2", "t1", "t2").mapInArrow(tidy_map(each), "a long, b long")
 
 
 def shingle_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, percent: int = 80, rare: int = 8, long: int = 240) -> DataFrame:

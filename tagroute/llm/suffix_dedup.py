@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textblocks import WORD_BY_SPACE, Words, by_range, delta, mix, pack, shuffle_parts, slice_batches, undelta, unpack
+from .textblocks import WORD_BY_SPACE, Words, by_range, delta, mix, pack, shuffle_parts, slice_batches, undelta, unpack, tidy_group, tidy_map
 
 _U = np.uint64
 _MOST = np.uint64(2**64 - 1)
@@ -140,8 +140,8 @@ def _gathered(blocks: DataFrame, parts: int) -> DataFrame:
         cut = np.searchsorted(of, np.arange(len(rid) + 1)).tolist()
         return pa.table({"rid": pa.array(rid), "places": pa.array([pack(delta(np.unique(place[a:b]))) for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary())})
 
-    told = blocks.groupBy("part").applyInArrow(subtrees, "part int, ids binary, block binary")
-    return told.groupBy("part").applyInArrow(gather, "rid long, places binary").hint("shuffle_hash")
+    told = blocks.groupBy("part").applyInArrow(tidy_group(subtrees), "part int, ids binary, block binary")
+    return told.groupBy("part").applyInArrow(tidy_group(gather), "rid long, places binary").hint("shuffle_hash")
 
 
 def _places(blob: bytes | None) -> np.ndarray:
@@ -174,7 +174,7 @@ def repeats(rows: DataFrame, length: int, gram: int, parts: int) -> DataFrame:
             row, place = _per_text(w, at)
             held.append((h >> _U(8), row, place, part.column("rid").to_numpy(zero_copy_only=False)))
             total += len(h)
-            if total > 2_000_000:
+            if total > 1_000_000:
                 yield flush(held, 56)
                 held, total = [], 0
         if held:
@@ -199,14 +199,14 @@ def repeats(rows: DataFrame, length: int, gram: int, parts: int) -> DataFrame:
             row, place = _per_text(w, at)
             held.append((w.spans(at, np.full(len(at), length)), row, place, part.column("rid").to_numpy(zero_copy_only=False)))
             total += len(at)
-            if total > 2_000_000:
+            if total > 1_000_000:
                 yield flush(held, 64)
                 held, total = [], 0
         if held:
             yield flush(held, 64)
 
-    asked = rows.join(_gathered(rows.mapInArrow(census, _BLOCK), parts), "rid")
-    return _gathered(asked.mapInArrow(suffixes, _BLOCK), parts)
+    asked = rows.join(_gathered(rows.mapInArrow(tidy_map(census), _BLOCK), parts), "rid")
+    return _gathered(asked.mapInArrow(tidy_map(suffixes), _BLOCK), parts)
 
 
 def _covered(starts: np.ndarray, n: int, length: int) -> np.ndarray:
@@ -259,7 +259,7 @@ def drop_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             yield pa.record_batch(out)
 
     schema = f"id {id_type}, n_words long, n_removed long, kept_sha256 string" + (", text string" if keep_text else "")
-    return rows.join(found, "rid", "left").mapInArrow(cut, schema)
+    return rows.join(found, "rid", "left").mapInArrow(tidy_map(cut), schema)
 
 
 def maximal_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 35, gram: int = 8) -> DataFrame:
@@ -279,6 +279,6 @@ def maximal_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
                     size.append(int(run[-1] - run[0]) + length)
             yield pa.record_batch({"id": pa.array(ids, b.schema.field("id").type), "first_word": pa.array(first, pa.int64()), "n_words": pa.array(size, pa.int64())})
 
-    return rows.select("rid", "id").join(found, "rid").select("id", "places").mapInArrow(runs, f"id {id_type}, first_word long, n_words long")
+    return rows.select("rid", "id").join(found, "rid").select("id", "places").mapInArrow(tidy_map(runs), f"id {id_type}, first_word long, n_words long")
 
 

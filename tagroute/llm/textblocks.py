@@ -8,9 +8,9 @@ blocks: a Spark row then holds thousands of entries, as byte planes under zstd.
 
 from __future__ import annotations
 
-
+import ctypes
 import uuid
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -208,7 +208,51 @@ def slice_batches(batches: Iterable[pa.RecordBatch], column: str, limit: int = 1
             yield b.slice(s.start, s.stop - s.start), texts[s]
 
 
+def _give_back() -> None:
+    """Return freed memory to the system: Python workers wait for their next task, several to an executor."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+#: Bytes of an Arrow batch on its way to a Python worker; several workers and the JVM's own buffers share an executor.
+BATCH_BYTES = 4 << 20
+
+
+def _bound_batches() -> None:
+    """Lower the session's batch size to ours, where it is larger; called as a plan is made, on the driver."""
+    spark = SparkSession.getActiveSession()
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    if spark is not None and spark.conf.isModifiable(key):
+        now = spark.conf.get(key, "67108864b").rstrip("b")
+        if not now.isdigit() or int(now) > BATCH_BYTES or int(now) <= 0:
+            spark.conf.set(key, f"{BATCH_BYTES}b")
+
+
+def tidy_map(f: Callable[[Iterable[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable:
+    _bound_batches()
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from f(batches)
+        _give_back()
+
+    return run
+
+
+def tidy_group(f: Callable[[pa.Table], pa.Table]) -> Callable:
+    _bound_batches()
+
+    def run(table: pa.Table) -> pa.Table:
+        out = f(table)
+        _give_back()
+        return out
+
+    return run
+
+
 __all__ = [
     "SPACE", "WORD_ALNUM", "WORD_BY_SPACE", "WORD_LETTERS", "Words", "as_bytes", "by_range", "chunks", "delta", "materialize", "mix", "pack",
-    "shared_dir", "shuffle_parts", "slice_batches", "undelta", "unpack",
+    "shared_dir", "shuffle_parts", "slice_batches", "tidy_group", "tidy_map", "undelta", "unpack",
 ]

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textblocks import WORD_LETTERS, Words, slice_batches
+from .textblocks import WORD_LETTERS, Words, slice_batches, tidy_map
 
 #: Byte lengths of word heads; 0 is the whole word.
 HEADS = (0, 4, 5, 6, 7)
@@ -163,7 +163,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     n1, n0 = sizes.get(1, 0), sizes.get(0, 0)
     odds = F.log((F.col("toxic") + 0.5) / (n1 + 1.0)) - F.log((F.col("clean") + 0.5) / (n0 + 1.0))
     found = (
-        rows.mapInArrow(count, "kind int, h long, toxic long, clean long").groupBy("kind", "h").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
+        rows.mapInArrow(tidy_map(count), "kind int, h long, toxic long, clean long").groupBy("kind", "h").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
         .filter(F.col("toxic") >= max(min_rows, min_share * n1)).withColumn("odds", odds).filter(F.col("odds") >= log_odds)
         .orderBy(F.desc(F.col("toxic") * F.col("odds")), "h", "kind").limit(most_entries).collect()
     )
@@ -184,7 +184,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
             votes, x = _numbers(sent.value, texts)
             yield pa.record_batch({"id": part.column("id").cast(pa.string()), "votes": pa.array([v.astype(np.int8).tobytes() for v in votes], pa.binary()), "present": pa.array([np.flatnonzero(r[: len(lexicon.hash)]).astype(np.int16).tobytes() for r in x], pa.binary()), "counts": pa.array([r[len(lexicon.hash) :].tobytes() for r in x], pa.binary())})
 
-    got = sorted(rows.select("id", "text").mapInArrow(numbers, "id string, votes binary, present binary, counts binary").collect(), key=lambda r: r[0])
+    got = sorted(rows.select("id", "text").mapInArrow(tidy_map(numbers), "id string, votes binary, present binary, counts binary").collect(), key=lambda r: r[0])
     if not got or not len(h):
         return Model(lexicon, np.zeros(len(h) + 6), -30.0, {})
     votes = np.stack([np.frombuffer(r["votes"], np.int8) for r in got]).astype(np.float64)
@@ -211,4 +211,4 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
             kept = [n for n in part.schema.names if n != "_text"]
             yield pa.record_batch([*(part.column(n) for n in kept), s], [*kept, "toxic_score" if keep else "score"])
 
-    return rows.mapInArrow(each, schema)
+    return rows.mapInArrow(tidy_map(each), schema)
