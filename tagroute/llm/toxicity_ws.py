@@ -138,8 +138,12 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(x @ self.weight + self.bias, -30, 30)))
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, min_rows: int = 3, min_share: float = 0.02, log_odds: float = 3.0, most_entries: int = 600) -> Model:
-    """Lexicon, label model and classifier from at most `train_rows` labelled rows. Without such rows, nothing is ever toxic."""
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, min_rows: int = 3, min_share: float = 0.02, log_odds: float = 3.0, most_clean: float = 2e-4, most_entries: int = 600) -> Model:
+    """Lexicon, label model and classifier from at most `train_rows` labelled rows. Without such rows, nothing is ever toxic.
+
+    An entry of the lexicon occurs in `min_rows` toxic rows and a share of `min_share` of them, in a
+    share of `most_clean` of the clean rows at most, and has log odds of `log_odds` or more.
+    """
     sample = bounded_sample(labels, label_col, folds, held_out, train_rows)
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).join(F.broadcast(sample), "id")
 
@@ -164,17 +168,18 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     odds = F.log((F.col("toxic") + 0.5) / (n1 + 1.0)) - F.log((F.col("clean") + 0.5) / (n0 + 1.0))
     found = (
         rows.mapInArrow(tidy_map(count), "kind int, h long, toxic long, clean long").groupBy("kind", "h").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
-        .filter(F.col("toxic") >= max(min_rows, min_share * n1)).withColumn("odds", odds).filter(F.col("odds") >= log_odds)
+        .filter(F.col("toxic") >= max(min_rows, min_share * n1)).withColumn("odds", odds).filter((F.col("odds") >= log_odds) & (F.col("clean") <= most_clean * n0))
         .orderBy(F.desc(F.col("toxic") * F.col("odds")), "h", "kind").limit(most_entries).collect()
     )
     n_voters = 24
     kinds = np.array([r["kind"] for r in found], np.int64)
     h = np.array([r["h"] for r in found], np.int64).view(np.uint64)
-    # the strongest entries are dealt out in turn: whole words to the first voters, heads to the others
+    # entries of like strength share a voter, so that the label model can tell weak ones: whole words first, then heads
+    strength = np.array([r["odds"] for r in found])
     voter = np.zeros(len(found), np.int64)
     for whole, base, count_ in ((True, 0, 12), (False, 12, 12)):
         mine = np.flatnonzero((kinds == 0) == whole)
-        voter[mine] = base + np.arange(len(mine)) % count_
+        voter[mine[np.argsort(-strength[mine], kind="stable")]] = base + np.arange(len(mine)) * count_ // max(1, len(mine))
     order = np.argsort(h, kind="stable")
     lexicon = Lexicon(h[order], voter[order], kinds[order], n_voters)
     sent = docs.sparkSession.sparkContext.broadcast(lexicon)
