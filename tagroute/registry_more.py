@@ -101,7 +101,7 @@ def agent_routes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 register("net_components", with_sql("SELECT v, min(v) OVER () AS root FROM vertices"))(lambda s, d: operators.connected(Data(s, d).edges))
 register("rollup_pois", with_sql("SELECT r_name, n_name, count(*) AS n, round(avg(rating), 6) AS rating FROM suppliers JOIN nation ON n_name = tag JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, n_name)"))(lambda s, d: operators.rollup_pois(Data(s, d).pois, table(s, d, "nation"), table(s, d, "region")))
-register("cube_pois", with_sql("SELECT tag, floor(v / 500) AS zone, count(*) AS n, sum(rating) AS rating FROM customers GROUP BY CUBE (tag, floor(v / 500))"))(lambda s, d: network.pois_customer(s, d).withColumn("zone", F.floor(F.col("v") / 500).cast("double")).cube("tag", "zone").agg(F.count("*").alias("n"), F.sum("rating").alias("rating")))
+register("cube_pois", with_sql("SELECT tag, floor(v / 500) AS zone, count(*) AS n, CAST(sum(rating) AS BIGINT) AS rating FROM customers GROUP BY CUBE (tag, floor(v / 500))"))(lambda s, d: network.pois_customer(s, d).withColumn("zone", F.floor(F.col("v") / 500).cast("double")).cube("tag", "zone").agg(F.count("*").alias("n"), F.sum("rating").alias("rating")))
 register("pivot_pois", with_sql("SELECT floor(v / 500) AS zone, count(*) FILTER (tag = 'BUILDING') AS building, count(*) FILTER (tag = 'MACHINERY') AS machinery FROM customers GROUP BY floor(v / 500)"))(lambda s, d: network.pois_customer(s, d).withColumn("zone", F.floor(F.col("v") / 500).cast("double")).groupBy("zone").pivot("tag", ["BUILDING", "MACHINERY"]).agg(F.count("poi")).select("zone", F.coalesce("BUILDING", F.lit(0)).alias("building"), F.coalesce("MACHINERY", F.lit(0)).alias("machinery")))
 register("asof_rating", "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN value END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, side, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS rated FROM (SELECT *, CASE WHEN event_type = 'purchase' THEN 0 ELSE 1 END AS side FROM events) AS e QUALIFY event_type = 'view'")(lambda s, d: (lambda e: operators.asof_join(e.filter("event_type = 'view'").select("user_id", "ts", "event_id"), e.filter("event_type = 'purchase'").select("user_id", "ts", F.col("value").alias("rated")), "user_id", "ts", "rated").select("event_id", "rated"))(table(s, d, "events")))
 register("interval_events", "SELECT a.event_id AS viewed, b.event_id AS bought FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 6 HOUR WHERE a.event_type = 'view' AND b.event_type = 'purchase'")(lambda s, d: (lambda e: operators.interval_join(e.filter("event_type = 'view'").select("user_id", F.col("ts").alias("t1"), F.col("event_id").alias("viewed")), e.filter("event_type = 'purchase'").select("user_id", F.col("ts").alias("t2"), F.col("event_id").alias("bought")), "user_id", "t1", "t2", 6 * 3600).select("viewed", "bought"))(table(s, d, "events")))
