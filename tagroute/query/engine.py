@@ -130,8 +130,10 @@ class Engine:
                     yield pa.record_batch([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int32()), pa.array(c[2], pa.float64()), pa.array(c[3], pa.int64()), pa.array(c[4], pa.int64()), pa.array(c[5], pa.list_(pa.int64()))], ["qid", "rank", "score", "dist", "rating", "pois"])
 
         asked = queries.select("qid", "v_q", "tags", "alpha", "k", "dest", "budget").filter("v_q is not null and size(tags) > 0")
-        # queries that start together go to one task, which has their distances once
-        return asked.repartition(F.col("v_q")).sortWithinPartitions("v_q").mapInArrow(each, schema)
+        # queries that start together go to one task, which has their distances once; rows are few and dear, so the number
+        # of tasks is ours and not left to their bytes
+        parts = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        return asked.repartition(max(parts, 2 * self.spark.sparkContext.defaultParallelism), F.col("v_q")).sortWithinPartitions("v_q").mapInArrow(each, schema)
 
     def run_batch(self, queries: DataFrame, method: str = "ebs", **variant) -> DataFrame:
         """Answers of a batch: (qid, rank, score, dist, rating, pois in order of visit)."""
