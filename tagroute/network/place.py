@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..plans.rounds import materialize
 from ..sources import table
 
 
@@ -83,14 +84,31 @@ def split_edges(edges: DataFrame, places: DataFrame, first_new: int) -> tuple[Da
     return rest.unionByName(both.select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v"), "w")), new.select("u", "v", "offset", F.col("at").alias("vertex"))
 
 
-def snap_nearest(points: DataFrame, vertices: DataFrame, cell_size: int = 20) -> DataFrame:
-    """(id, v) of points(id, px, py): the nearest vertex, the least among the nearest, by an equi-join on grid cells.
-
-    A point finds vertices within cell_size; farther ones stay without a row, which a wider grid settles.
-    """
+def _snap_within(points: DataFrame, vertices: DataFrame, cell_size: int) -> DataFrame:
     cell = lambda c: F.floor(c / cell_size)
     around = F.explode(F.array(*(F.struct((cell(F.col("px")) + dx).alias("cx"), (cell(F.col("py")) + dy).alias("cy")) for dx in (-1, 0, 1) for dy in (-1, 0, 1))))
     asked = points.select("id", "px", "py", around.alias("c")).select("id", "px", "py", "c.cx", "c.cy")
     there = vertices.select("v", "x", "y", cell(F.col("x")).alias("cx"), cell(F.col("y")).alias("cy"))
     d = (F.col("px") - F.col("x")) * (F.col("px") - F.col("x")) + (F.col("py") - F.col("y")) * (F.col("py") - F.col("y"))
     return asked.join(there, ["cx", "cy"]).filter(d <= cell_size * cell_size).groupBy("id").agg(F.min_by("v", F.struct(d, "v")).alias("v"))
+
+
+def snap_nearest(points: DataFrame, vertices: DataFrame, cell_size: int = 20) -> DataFrame:
+    """(id, v) of points(id, px, py): the nearest vertex, the least among the nearest, by an equi-join on grid cells.
+
+    A grid finds what lies within a cell's side; points without a vertex there go on to one of twice the side, until
+    none is left. Only points without coordinates have no row.
+    """
+    placed = points.filter("px is not null and py is not null")
+    every = placed.select(F.col("px").alias("x"), F.col("py").alias("y")).unionByName(vertices.select("x", "y"))
+    span = every.agg((F.max("x") - F.min("x")).alias("dx"), (F.max("y") - F.min("y")).alias("dy")).first()
+    reach = (span.dx or 0) + (span.dy or 0)  # no two places are farther apart
+    out = found = materialize(_snap_within(placed, vertices, cell_size), "snapped")
+    while cell_size < reach:
+        placed = placed.join(found.select(F.col("id").alias("done")), F.col("id").eqNullSafe(F.col("done")), "left_anti")
+        if placed.isEmpty():
+            break
+        cell_size *= 2
+        found = materialize(_snap_within(placed, vertices, cell_size), "snapped")
+        out = out.unionByName(found)
+    return out
