@@ -12,10 +12,12 @@ from pyspark.sql import functions as F
 from .. import index as ix_frames
 from .. import network, partition
 from ..distance.arrays import collect_csr
-from ..plans.mode import LOCAL_ARCS
+from ..functions import RATIO
+from ..plans.mode import LOCAL_ARCS, choose_mode
 from ..plans.rounds import materialize
 from .search import Arrays
 from .spec import QuerySpec, queries_frame
+from .wide import VARIANTS, run_wide
 
 ANSWER_SCHEMA = "qid long, rank int, score double, dist long, rating long, pois array<long>"
 COUNTER_SCHEMA = "qid long, counters map<string,long>, seconds double"
@@ -80,12 +82,14 @@ class Engine:
     """Builds indexes and runs queries over them.
 
     Batches are spread over tasks by query; each task has the index as arrays, so the network's
-    size is checked first (`limit` arcs).  Larger networks go through `query.wide`.
+    size is checked first (`limit` arcs).  Batches over larger networks go through `query.wide`, which
+    has no baselines, counters, path ratings or choice of bounds and raises ValueError for these.
     """
 
     def __init__(self, index: RouteIndex, limit: int = LOCAL_ARCS):
         self.index, self.spark = index, index.edges.sparkSession
         self._sent, self.limit, self._told = None, limit, {}
+        self._mode, self._closed = None, None
 
     @classmethod
     def build(cls, vertices: DataFrame, edges: DataFrame, pois: DataFrame, cells: DataFrame | None = None, side: int = 70, w_max: float = 19, r_max: float = 90, personal: DataFrame | None = None, limit: int = LOCAL_ARCS) -> Engine:
@@ -101,6 +105,23 @@ class Engine:
             self._sent = self.spark.sparkContext.broadcast(self.index.arrays(self.limit))
         return self._sent
 
+    def mode(self) -> str:
+        if self._mode is None:
+            self._mode = "local" if self._sent is not None else choose_mode(network.arcs(self.index.edges), self.limit)
+        return self._mode
+
+    def _run_wide(self, queries: DataFrame, method: str, variant: dict) -> DataFrame:
+        if method != "ebs":
+            raise ValueError(f"{method} is not in the wide mode")
+        ix, usual = self.index, QuerySpec(0, ("",))
+        given = {n: v for n, v in variant.items() if n in ("v_q", "alpha", "k", "dest", "budget")}
+        rest = {n: v for n, v in variant.items() if n not in given and (n in VARIANTS or v != getattr(usual, n))}
+        asked = queries.withColumns({n: F.lit(v).cast(queries.schema[n].dataType) for n, v in given.items()}) if given else queries
+        asked = asked.select("qid", "v_q", "tags", "alpha", "k", "dest", "budget").filter("v_q is not null and size(tags) > 0")
+        if self._closed is None:
+            self._closed = materialize(ix_frames.closure(ix.edges, ix.cells), "closed")
+        return run_wide(ix_frames.tag_index(ix.pois, ix.cells), ix.cells, self._closed, ix.cross, asked, personal=ix.personal, w_max=ix.w_max, r_max=ix.r_max * RATIO / ix.ratio, **rest)
+
     def _run(self, queries: DataFrame, method: str, variant: dict, schema: str) -> DataFrame:
         sent = self.sent()
         counters_only = schema == COUNTER_SCHEMA
@@ -137,7 +158,7 @@ class Engine:
 
     def run_batch(self, queries: DataFrame, method: str = "ebs", **variant) -> DataFrame:
         """Answers of a batch: (qid, rank, score, dist, rating, pois in order of visit)."""
-        return self._run(queries, method, variant, ANSWER_SCHEMA)
+        return self._run_wide(queries, method, variant) if self.mode() == "wide" else self._run(queries, method, variant, ANSWER_SCHEMA)
 
     def counters(self, queries: DataFrame, method: str = "ebs", **variant) -> DataFrame:
         """What each query's search counted, and its seconds; run once for the same queries, method and variant."""

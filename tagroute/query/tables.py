@@ -72,12 +72,25 @@ def _at(order: list[Column], names: list[str], i: int) -> Column:
     return F.element_at(F.array(*(F.col(n) for n in names)), order[i] + 1)
 
 
-def routes(sets: DataFrame, queries: DataFrame, pair: DataFrame, m: int, dest: bool = False) -> DataFrame:
-    """(qid, pois, vs, order_no, dist, rating): every order of every cover set with its distance; orders without a way go."""
+def _before(a: str, b: str) -> Column:
+    """Whether an order (of positions from 0) has tag a before tag b; true if the query lacks one of them."""
+    at = lambda tag: F.array_position("tags", F.lit(tag))
+    visited = lambda tag: F.array_position("order", (at(tag) - 1).cast("int"))
+    return (at(a) == 0) | (at(b) == 0) | (visited(a) < visited(b))
+
+
+def routes(sets: DataFrame, queries: DataFrame, pair: DataFrame, m: int, dest: bool = False, order: bool = False, precedence: tuple[tuple[str, str], ...] = ()) -> DataFrame:
+    """(qid, pois, vs, order_no, dist, rating): every order (as listed, or by precedence) of every cover set with its distance; orders without a way go."""
     spark = sets.sparkSession
-    perms = F.broadcast(orders_table(spark, m))  # m! rows, m up to 8
     o = [F.col(f"o{i + 1}") for i in range(m)]
-    chosen = sets.crossJoin(perms).join(queries.select("qid", "v_q", F.col("dest").alias("end"), "budget"), "qid")
+    perms = orders_table(spark, m)  # m! rows, m up to 8
+    if order:
+        perms = perms.filter(reduce(lambda a, b: a & b, (c == i for i, c in enumerate(o))))
+    elif precedence:
+        asked = queries.select(F.col("qid").alias("of"), "tags").crossJoin(perms).withColumn("order", F.array(*o))
+        perms = asked.filter(reduce(lambda a, b: a & b, (_before(a, b) for a, b in precedence))).drop("tags", "order")
+    ordered = sets.join(perms, F.col("qid") == F.col("of")).drop("of") if "of" in perms.columns else sets.crossJoin(F.broadcast(perms))
+    chosen = ordered.join(queries.select("qid", "v_q", F.col("dest").alias("end"), "budget"), "qid")
     chosen = chosen.select("qid", "v_q", "end", "budget", "rating", F.array(*o).alias("order"), F.array(*(_at(o, [f"p{j}" for j in range(m)], i) for i in range(m))).alias("pois"), F.array(*(_at(o, [f"v{j}" for j in range(m)], i) for i in range(m))).alias("vs"), F.array(*(F.col(f"p{j}") for j in range(m))).alias("members"))
     stops = F.concat(F.array("v_q"), F.col("vs"), F.array("end")) if dest else F.concat(F.array("v_q"), F.col("vs"))
     out = chosen.withColumn("stops", stops).withColumn("dist", F.lit(0).cast("long"))
@@ -87,13 +100,13 @@ def routes(sets: DataFrame, queries: DataFrame, pair: DataFrame, m: int, dest: b
     return out
 
 
-def best_routes(found: DataFrame, queries: DataFrame, route_scope: str = "per_set") -> DataFrame:
-    """The k best of each query's routes: (qid, rank, score, dist, rating, pois)."""
-    scored = found.join(queries.select("qid", "alpha", "k"), "qid").withColumn("score", route_score(F.col("dist"), F.col("rating"), F.col("alpha"))).filter(F.col("budget").isNull() | (F.col("dist") <= F.col("budget")))
+def best_routes(found: DataFrame, queries: DataFrame, route_scope: str = "per_set", w_max: float = W_MAX, r_max: float = R_MAX) -> DataFrame:
+    """The k best of each query's routes: (qid, rank, score, dist, rating, pois). A route counts once, whichever of its POIs serves which tag."""
+    scored = found.join(queries.select("qid", "alpha", "k"), "qid").withColumn("score", route_score(F.col("dist"), F.col("rating"), F.col("alpha"), w_max, r_max)).filter(F.col("budget").isNull() | (F.col("dist") <= F.col("budget")))
     if route_scope == "per_set":
         scored = scored.groupBy("qid", "members", "rating", "k").agg(F.min(F.struct("dist", "pois", "score")).alias("b")).select("qid", "k", "rating", "b.dist", "b.pois", "b.score")
     rank = F.row_number().over(W.partitionBy("qid").orderBy(F.desc("score"), "dist", "pois"))
-    return scored.withColumn("rank", rank).filter(F.col("rank") <= F.col("k")).select("qid", "rank", "score", "dist", "rating", "pois")
+    return scored.dropDuplicates(["qid", "score", "dist", "rating", "pois"]).withColumn("rank", rank).filter(F.col("rank") <= F.col("k")).select("qid", "rank", "score", "dist", "rating", "pois")
 
 
 def floors(best: DataFrame, queries: DataFrame) -> DataFrame:
@@ -101,10 +114,10 @@ def floors(best: DataFrame, queries: DataFrame) -> DataFrame:
     return best.join(queries.select("qid", "k"), "qid").filter("rank = k").select("qid", F.col("score").alias("floor"))
 
 
-def region_radius(found: DataFrame, queries: DataFrame, floor: DataFrame) -> DataFrame:
+def region_radius(found: DataFrame, queries: DataFrame, floor: DataFrame, w_max: float = W_MAX, r_max: float = R_MAX) -> DataFrame:
     """(qid, floor, tau, radius) from the best ratings of all hits."""
     tau = found.groupBy("qid", "tag_pos").agg(F.max("rating").alias("r")).groupBy("qid").agg(F.sum("r").alias("tau"))
-    return queries.select("qid", "alpha").join(tau, "qid").join(floor, "qid", "left").select("qid", "floor", "tau", reach_radius(F.col("alpha"), F.col("tau"), F.col("floor")).alias("radius"))
+    return queries.select("qid", "alpha").join(tau, "qid").join(floor, "qid", "left").select("qid", "floor", "tau", reach_radius(F.col("alpha"), F.col("tau"), F.col("floor"), w_max, r_max).alias("radius"))
 
 
 def near_cells(live: DataFrame, border: DataFrame, cells: DataFrame, queries: DataFrame, sd: DataFrame) -> DataFrame:

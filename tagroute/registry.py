@@ -369,7 +369,7 @@ def wide(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The search by DataFrame rounds, for networks beyond a task."""
     d = Data(spark, sf_dir)
     closed = index.materialize(index.closure(d.edges, d.cells), "closed")
-    return flat(run_wide(d.index, d.cells, closed, d.cross, d.gold(), 4))
+    return flat(run_wide(d.index, d.cells, closed, d.cross, d.gold()))
 
 
 _ebs("topk_ebs", _answers_sql())

@@ -1,6 +1,11 @@
 """Whole results where a shortcut would lose some."""
 
+import pytest
+from pyspark.sql import functions as F
+
 from tagroute import network
+from tagroute.query import Engine, QuerySpec, queries_frame
+from tagroute.registry import Data
 
 
 def test_snap_finds_far_vertices(spark):
@@ -9,3 +14,22 @@ def test_snap_finds_far_vertices(spark):
     got = network.snap_nearest(spark.createDataFrame(points, "id long, px long, py long"), spark.createDataFrame(vertices, "v long, x long, y long"))
     nearest = {i: min(vertices, key=lambda r: ((r[1] - px) ** 2 + (r[2] - py) ** 2, r[0]))[0] for i, px, py in points if px is not None}
     assert {r.id: r.v for r in got.collect()} == nearest and got.count() == 5
+
+
+def test_networks_beyond_a_task_have_the_same_answers(spark, sf_dir):
+    """Mixed numbers of tags, destinations, orders and ratings, and POIs of two tags, in the wide mode that the engine chooses."""
+    d = Data(spark, sf_dir)
+    pois = d.pois.unionByName(d.pois.filter("poi % 2 = 0").withColumn("tag", F.lit("even"))).unionByName(d.pois.filter("poi % 4 = 0").withColumn("tag", F.lit("fourth")))
+    local = Engine.build(d.vertices, d.edges, pois, d.cells, personal=d.pois.select(F.lit(3).cast("long").alias("user"), "poi", (91 - F.col("rating")).alias("rating")))
+    wide = Engine(local.index, limit=100)
+    names = [r[0] for r in d.pois.select("tag").distinct().orderBy("tag").limit(2).collect()]
+    specs = [QuerySpec(100, ("even", "fourth"), 0.6, 4, 0), QuerySpec(7, ("fourth", names[0], "even"), 0.4, 3, 1, dest=150), QuerySpec(30, (names[1],), 0.2, 2, 2), QuerySpec(60, ("even", names[1]), 0.0, 5, 3, dest=3, budget=400)]
+    identical, personal = {"order": True, "ratings": "identical"}, {"precedence": (("even", "fourth"),), "user": 3, "rating_floor": 20, "route_scope": "all_orders"}
+    for some, variant in ((specs, {}), (specs[1:2], identical), (specs[:1], personal)):
+        asked = queries_frame(spark, some)
+        expected = sorted(map(tuple, local.run_batch(asked, **variant).collect()))
+        assert {r[0] for r in expected} == {s.qid for s in some}
+        assert sorted(map(tuple, wide.run_batch(asked, **variant).collect())) == expected, variant
+    for refused in ({"rating_scope": "path"}, {"epsilon": 0.1}, {"method": "progressive"}):
+        with pytest.raises(ValueError):
+            wide.run_batch(asked, **refused)
