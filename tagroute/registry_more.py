@@ -66,7 +66,7 @@ for _name in workloads.COMPARISONS:
     register(f"w_{_name}")(lambda s, d, n=_name: (lambda x: workloads.comparison(x.engine(), _with_dest(x), n))(Data(s, d)))
 register("w_budget")(lambda s, d: (lambda x: workloads.budget(x.engine(), x.log))(Data(s, d)))
 register("w_effectiveness")(lambda s, d: (lambda x: workloads.effectiveness(x.engine(), x.log))(Data(s, d)))
-register("w_model_vs_agent")(lambda s, d: (lambda x: workloads.effectiveness(x.engine(), lambda m, k, a: x.log(m, 2, a), ("ebs", "greedy_nearest", "greedy_rating"), 0.6))(Data(s, d)))
+register("w_model_vs_agent")(lambda s, d: (lambda x: workloads.best_of(x.engine(), lambda m, k, a: x.log(m, 2, a), ("ebs", "greedy_nearest", "greedy_rating"), 0.6))(Data(s, d)))
 register("w_dense_layer")(lambda s, d: (lambda x: flat(x.engine("part").run_batch(_brand_log(x))))(Data(s, d)))
 
 

@@ -2,34 +2,44 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
 from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import measures
+from ..plans.rounds import materialize
 from ..query import Engine
 
 #: Defaults of the experiments, and the grid around them.
 M, K, ALPHA = 4, 4, 0.6
 GRID = {"m": (3, 4, 5), "k": (2, 4, 6), "alpha": (0.2, 0.4, 0.6)}
-#: Settings of the comparisons: variant of the queries, and the methods that support it.
+#: Settings of the comparisons: variant of the queries, whether they have a destination, the parameters varied, and the methods that support it.
 COMPARISONS = {
-    "fixed_equal_dest": ({"order": True, "ratings": "identical"}, True, ("ebs", "dominance", "ordered_pref", "ordered_astar")),
-    "fixed_varying_dest": ({"order": True}, True, ("ebs", "ordered_pref")),
-    "fixed_varying_nodest": ({"order": True}, False, ("ebs", "ordered_pref")),
-    "flexible_equal": ({"ratings": "identical", "route_scope": "all_orders"}, False, ("ebs", "dominance")),
+    "fixed_equal_dest": ({"order": True, "ratings": "identical"}, True, ("m", "k"), ("ebs", "dominance", "ordered_pref", "ordered_astar", "budget_labels")),
+    "fixed_varying_dest": ({"order": True}, True, ("m", "k"), ("ebs", "ordered_pref", "budget_labels")),
+    "fixed_varying_nodest": ({"order": True}, False, ("m",), ("ebs", "ordered_pref", "budget_labels")),
+    "flexible_equal": ({"ratings": "identical", "route_scope": "all_orders"}, False, ("m", "k"), ("ebs", "dominance", "budget_labels")),
 }
+#: Methods that search within a budget, of so many times the longest of our k routes of the query.
+BUDGETED, BUDGET_FACTOR = {"ordered_pref", "ordered_astar", "budget_labels"}, 5
+#: Methods that leave POIs of lower ratings out. The reference gives no value; this one leaves about the best two thirds of ratings from 1 to 90.
+FLOORED, RATING_FLOOR = {"ordered_pref", "ordered_astar"}, 30
+#: The methods whose routes are compared, with the order of visits that they need.
+EFFECTIVENESS = {"ebs": {}, "dominance": {}, "ordered_pref": {"order": True}, "ordered_astar": {"order": True}, "budget_labels": {}, "greedy_nearest": {}, "greedy_rating": {}}
+#: Quarters of the POIs in the ablation.
+SHARES = (1, 2, 3, 4)
 #: Ablations: prunings in use.
 ABLATIONS = {"full": {"region", "cells", "sets", "orders"}, "no_region": {"cells", "sets", "orders"}, "no_cells": {"region", "sets", "orders"}, "no_orders": {"region", "cells", "sets"}}
 
 
-def points() -> list[tuple[str, int, int, float]]:
+def points(names: tuple[str, ...] | None = None, alpha: float = ALPHA) -> list[tuple[str, int, int, float]]:
     """(parameter, m, k, alpha): one parameter at a time."""
     out = []
-    for name, values in GRID.items():
-        for v in values:
-            p = {"m": M, "k": K, "alpha": ALPHA} | {name: v}
+    for name in names or tuple(GRID):
+        for v in GRID[name]:
+            p = {"m": M, "k": K, "alpha": alpha} | {name: v}
             out.append((name, p["m"], p["k"], p["alpha"]))
     return out
 
@@ -50,21 +60,45 @@ def query_time(engine: Engine, log) -> DataFrame:
     return _union(rows).groupBy("parameter", "m", "k", "alpha").agg(F.round(F.avg("seconds") * 1000, 3).alias("ms"))
 
 
+def _at(df: DataFrame, p: str, m: int, k: int, alpha: float) -> DataFrame:
+    return df.select(F.lit(p).alias("parameter"), F.lit(m).alias("m"), F.lit(k).alias("k"), F.lit(alpha).alias("alpha"), "*")
+
+
 def ablation(engine: Engine, log) -> DataFrame:
-    """Work of each ablation at the defaults; answers are equal by construction and by test."""
-    rows = [measures.stages(engine.counters(log(M, K, ALPHA), prune=frozenset(p))).select(F.lit(n).alias("variant"), "*") for n, p in ABLATIONS.items()]
-    return _union(rows).groupBy("variant").agg(F.round(F.avg("settled"), 2).alias("settled"), F.round(F.avg("sets_bp"), 2).alias("sets"), F.round(F.avg("orders_evaluated"), 2).alias("orders"), F.round(F.avg("seconds") * 1000, 3).alias("ms"))
+    """Work of each ablation by parameter, and by the quarters of the POIs that there are; answers are equal by construction and by test."""
+    work = [F.round(F.avg("settled"), 2).alias("settled"), F.round(F.avg("sets_bp"), 2).alias("sets"), F.round(F.avg("orders_evaluated"), 2).alias("orders"), F.round(F.avg("seconds") * 1000, 3).alias("ms")]
+    some = {s: engine if s == max(SHARES) else Engine(replace(engine.index, pois=engine.index.pois.filter(F.col("poi") % max(SHARES) < s)), engine.limit) for s in SHARES}
+    grid = [(p, max(SHARES)) for p in points()] + [(("pois", M, K, ALPHA), s) for s in SHARES]
+    rows = []
+    for (p, m, k, a), s in grid:
+        for n, prune in ABLATIONS.items():
+            found = measures.stages(some[s].counters(log(m, k, a), prune=frozenset(prune))).agg(*work)
+            rows.append(_at(found.select((F.lit(s) / max(SHARES)).alias("share"), F.lit(n).alias("variant"), "*"), p, m, k, a))
+    return _union(rows)
+
+
+def _budgeted(engine: Engine, queries: DataFrame, **variant) -> DataFrame:
+    """The queries with their budgets; one without a route keeps none."""
+    longest = engine.run_batch(queries, **variant).groupBy("qid").agg((F.max("dist") * BUDGET_FACTOR).alias("longest"))
+    return materialize(queries.join(longest, "qid", "left").withColumn("budget", F.col("longest")).drop("longest"), "budgeted")
+
+
+def _settings(method: str, queries: DataFrame, budgeted: DataFrame) -> tuple[DataFrame, dict]:
+    return budgeted if method in BUDGETED else queries, {"rating_floor": RATING_FLOOR} if method in FLOORED else {}
 
 
 def comparison(engine: Engine, log, name: str) -> DataFrame:
-    """Mean time, and mean best score, of the methods that support a setting. log(m, k, alpha, dest)."""
-    variant, dest, methods = COMPARISONS[name]
+    """Mean time, and mean best score, of the methods that support a setting, by parameter. log(m, k, alpha, dest)."""
+    variant, dest, names, methods = COMPARISONS[name]
     rows = []
-    for method in methods:
-        q = log(M, K, ALPHA, dest)
-        a = engine.run_batch(q, method, **variant).filter("rank = 1").agg(F.round(F.avg("score"), 4).alias("score"), F.count("*").alias("answered"))
-        t = engine.counters(q, method, **variant).agg(F.round(F.avg("seconds") * 1000, 3).alias("ms"))
-        rows.append(a.crossJoin(t).select(F.lit(name).alias("setting"), F.lit(method).alias("method"), "*"))
+    for p, m, k, alpha in points(names):
+        q = materialize(log(m, k, alpha, dest), "asked")
+        within = _budgeted(engine, q, **variant)
+        for method in methods:
+            asked, own = _settings(method, q, within)
+            a = engine.run_batch(asked, method, **variant, **own).filter("rank = 1").agg(F.round(F.avg("score"), 4).alias("score"), F.count("*").alias("answered"))
+            t = engine.counters(asked, method, **variant, **own).agg(F.round(F.avg("seconds") * 1000, 3).alias("ms"))
+            rows.append(_at(a.crossJoin(t).select(F.lit(name).alias("setting"), F.lit(method).alias("method"), "*"), p, m, k, alpha))
     return _union(rows)
 
 
@@ -79,6 +113,18 @@ def budget(engine: Engine, log, factors: tuple[int, ...] = (1, 2, 3, 4, 5)) -> D
     return _union(rows)
 
 
-def effectiveness(engine: Engine, log, methods: tuple[str, ...] = ("ebs", "greedy_nearest", "greedy_rating"), alpha: float = 0.8) -> DataFrame:
+def best_of(engine: Engine, log, methods: tuple[str, ...], alpha: float) -> DataFrame:
     """Mean distance, rating and score of the best routes of each method."""
     return _union([measures.effectiveness(engine.run_batch(log(M, K, alpha), m).filter("rank = 1").withColumn("method", F.lit(m)), "method") for m in methods])
+
+
+def effectiveness(engine: Engine, log, alpha: float = 0.8) -> DataFrame:
+    """Mean distance, rating and score of the routes of each method, by parameter: k and m at alpha, and alpha itself."""
+    rows = []
+    for p, m, k, a in [*points(alpha=alpha), ("alpha", M, K, alpha)]:
+        q = materialize(log(m, k, a), "asked")
+        within = _budgeted(engine, q)
+        for method, variant in EFFECTIVENESS.items():
+            asked, own = _settings(method, q, within)
+            rows.append(_at(measures.effectiveness(engine.run_batch(asked, method, **variant, **own)).select(F.lit(method).alias("method"), "*"), p, m, k, a))
+    return _union(rows)

@@ -3,7 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
-from tagroute import network
+from tagroute import network, workloads
 from tagroute.query import Engine, QuerySpec, queries_frame
 from tagroute.registry import Data
 
@@ -33,3 +33,23 @@ def test_networks_beyond_a_task_have_the_same_answers(spark, sf_dir):
     for refused in ({"rating_scope": "path"}, {"epsilon": 0.1}, {"method": "progressive"}):
         with pytest.raises(ValueError):
             wide.run_batch(asked, **refused)
+
+
+def test_workloads_run_their_grids(spark, sf_dir, monkeypatch):
+    """Every point with every method; the label search within its budget finds the best route that the others find."""
+    d = Data(spark, sf_dir)
+    few = lambda m, k, a, dest=False: d.log(m, k, a).filter("qid < 4")
+    engine, points = d.engine("documents"), len(workloads.GRID["m"])
+    tags = d.engine("documents").index.pois.select("tag").distinct().orderBy("tag").limit(5)
+    named = F.array(*(F.lit(r[0]) for r in tags.collect()))
+    log = lambda m, k, a, dest=False: few(m, k, a).withColumn("tags", F.slice(named, 1, m))
+    got = workloads.comparison(engine, log, "fixed_varying_nodest").collect()
+    assert len(got) == points * 3 and {r.m for r in got} == set(workloads.GRID["m"])
+    score = {(r.m, r.method): r.score for r in got}
+    for m in workloads.GRID["m"]:
+        assert score[m, "budget_labels"] == score[m, "ebs"] is not None
+    monkeypatch.setattr(workloads, "GRID", {"k": (2, 4)})
+    found = workloads.effectiveness(engine, log).collect()
+    assert len(found) == 3 * len(workloads.EFFECTIVENESS)
+    work = workloads.ablation(engine, log).collect()
+    assert len(work) == (2 + len(workloads.SHARES)) * len(workloads.ABLATIONS) and {r.share for r in work} == {0.25, 0.5, 0.75, 1.0}
