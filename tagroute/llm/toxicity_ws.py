@@ -18,6 +18,7 @@ Only the sample is gathered on the driver: at most `train_rows` rows of numbers.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
@@ -63,26 +64,36 @@ class Lexicon:
         return np.concatenate(text), np.concatenate(entry)
 
 
-def _numbers(lexicon: Lexicon, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Votes of each text, and its features: entries present, then counts."""
+def _shouting(text: bytes) -> float:
+    """Upper-case letters over bytes, of the whole text."""
+    raw = np.frombuffer(text, np.uint8)
+    wide = re.sub(rb"[\x00-\x7f]+", b"", text).decode("utf-8", "ignore") if (raw > 127).any() else ""
+    return (int(((raw >= 65) & (raw <= 90)).sum()) + sum(map(str.isupper, wide))) / max(1, len(raw))
+
+
+def _numbers(lexicon: Lexicon, texts: list[bytes], voting: bool = True) -> tuple[np.ndarray | None, np.ndarray]:
+    """Votes of each text (in training alone), and its features: entries present, then counts."""
     w = Words(texts, WORD_LETTERS, lower=True)
     n, k = len(texts), len(lexicon.hash)
     text, entry = lexicon.hits(w, n)
     present = np.zeros((n, k), np.float32)
     present[text, entry] = 1
-    by_voter = np.zeros((n, lexicon.n_voters), np.int64)
-    np.add.at(by_voter, (text, lexicon.voter[entry]), 1)
     words = np.maximum(np.diff(w.first), 1)
     total = np.bincount(text, minlength=n)
     distinct = present.sum(1)
-    shout = np.array([sum(map(str.isupper, t[:2000].decode("utf-8", "ignore"))) for t in texts]) / np.maximum([min(len(t), 2000) for t in texts], 1)
+    counts = np.stack([np.log1p(total), np.log1p(distinct), np.minimum(total * 100 / words, 10), (total > 0), (distinct > 1), (distinct > 2)], 1)
+    features = np.concatenate([present, counts.astype(np.float32)], 1)
+    if not voting:
+        return None, features
+    by_voter = np.zeros((n, lexicon.n_voters), np.int64)
+    np.add.at(by_voter, (text, lexicon.voter[entry]), 1)
+    shout = np.array([_shouting(x) for x in texts])
     pattern = np.stack([
         np.where(total * 300 >= words, 1, np.where(total == 0, -1, 0)), np.where(distinct >= 3, 1, np.where(distinct == 0, -1, 0)),
         np.where(total > distinct, 1, 0), np.where(total == 0, -1, 0), np.where(shout > 0.5, -1, 0) * (total == 0), np.where(distinct >= 6, 1, 0),
     ], 1)
     votes = np.concatenate([np.where(by_voter > 0, 1, 0), pattern], 1)
-    counts = np.stack([np.log1p(total), np.log1p(distinct), np.minimum(total * 100 / words, 10), (total > 0), (distinct > 1), (distinct > 2)], 1)
-    return votes.astype(np.float64), np.concatenate([present, counts.astype(np.float32)], 1)
+    return votes.astype(np.float64), features
 
 
 def label_model(votes: np.ndarray, rounds: int = 40) -> tuple[np.ndarray, dict[str, np.ndarray]]:
@@ -134,7 +145,7 @@ class Model:
     learned: dict[str, np.ndarray]
 
     def score(self, texts: list[bytes]) -> np.ndarray:
-        _, x = _numbers(self.lexicon, texts)
+        _, x = _numbers(self.lexicon, texts, voting=False)
         return 1 / (1 + np.exp(-np.clip(x @ self.weight + self.bias, -30, 30)))
 
 
