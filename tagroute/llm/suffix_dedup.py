@@ -1,4 +1,7 @@
-"""Removal of repeated passages by prefix-partitioned suffix trees.
+"""Removal of repeated passages by window fingerprints, where prefix-partitioned suffix trees would find the same.
+
+No tree is built and no suffixes are sorted: prefixes have two lengths, `gram` and `length` words, and
+are compared by hash.  What follows says in terms of suffixes what these hashes decide.
 
 A suffix starts at a word of a document and ends with the document.  Two places
 repeat a passage of `length` words if their suffixes meet in a node of the
@@ -11,8 +14,8 @@ held as a whole:
    over all documents.  A suffix under an anchor that occurs once is a leaf
    above the depth asked for, and is done.
 2. Partitions.  The other suffixes are partitioned by longer prefixes, of
-   `length` words, into ranges of prefix hashes that fit a task's memory: so the
-   prefix is short where it already tells a suffix from all others and long where
+   `length` words, into `spark.sql.shuffle.partitions` ranges of prefix hashes,
+   whatever the data: so the prefix is short where it already tells a suffix from all others and long where
    it doesn't.  Suffixes of one prefix that meet in a map task are settled there
    and only one of them goes on to its range, so a passage that a third of all
    documents share fills no task.
