@@ -3,6 +3,7 @@ import random
 import re
 from collections import Counter
 
+import numpy as np
 import pytest
 
 from tagroute.llm import decontam_sa, piece_sampling, secret_ownership, shingle_join, suffix_dedup
@@ -44,12 +45,32 @@ def test_suffix_dedup(make, rows):
                 gone[j : j + 35] = [True] * 35
         kept = " ".join(x for x, g in zip(w, gone, strict=True) if not g)
         expected.append((i, len(w), sum(gone), hashlib.sha256(kept.encode()).hexdigest(), kept))
-    got = [tuple(r) for r in suffix_dedup.drop_repeats(make(rows)).collect()]
-    assert sorted(got, key=repr) == sorted(expected, key=repr)
+    for most in (32_000, 24, 1):  # short prefixes, prefixes of both kinds, long ones
+        got = [tuple(r) for r in suffix_dedup.drop_repeats(make(rows), most=most).collect()]
+        assert sorted(got, key=repr) == sorted(expected, key=repr)
     runs = suffix_dedup.maximal_repeats(make(rows)).filter("id between 110 and 129").collect()
     assert len(runs) >= 20 and min(r.n_words for r in runs) >= 60
 
 
+def test_subtrees():
+    """Sorted suffixes, what neighbours have in common, and inner nodes, against plain Python."""
+    rnd = random.Random(8)
+    for longest in (1, 2, 9, 70):
+        segments = [[rnd.choice("abc") for _ in range(rnd.randrange(1, longest + 1))] for _ in range(30)]
+        segments += segments[:4]
+        number = {"a": 7, "b": 3, "c": 9}
+        size = np.array([len(s) for s in segments])
+        starts = np.array([rnd.randrange(1, n + 1) for n in size])
+        tree = suffix_dedup.Subtrees(np.array([number[x] for s in segments for x in s], np.uint64), size, starts)
+        said = [tuple(number[x] for x in segments[i][p:]) for i, p in zip(tree.segment, tree.place, strict=True)]
+        assert said == sorted(tuple(number[x] for x in s[p:]) for s, n in zip(segments, starts, strict=True) for p in range(n))
+        common = [next((i for i, (x, y) in enumerate(zip(a, b)) if x != y), min(len(a), len(b))) for a, b in zip(said, said[1:])]  # noqa: B905, RUF007
+        assert tree.common.tolist() == common
+        nodes = {(d, said[a][:d]): b - a + 1 for d, a, b in tree.nodes(2)}
+        assert nodes == {(d, w): sum(s[:d] == w for s in said) for i, d in enumerate(common) if d >= 2 for w in [said[i][:d]]}
+    assert not len(suffix_dedup.Subtrees(np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)).deep(2))
+
+
 def test_shingle_components(make, rows):
     sets = []
     for i, t in rows:
