@@ -1,16 +1,16 @@
 """Quality from positive and unlabelled texts, by the non-negative unbiased risk.
 
-Trusted positives are labelled rows of quality 1; the unlabelled sample is web
-text as it comes, labels unseen.  With the class prior p, the risk of the
+Trusted positives are labelled rows of quality 1; the unlabelled sample is drawn
+from all documents, labels unseen; no label 0 is read anywhere.  With the class prior p, the risk of the
 negative class is estimated as E_u[loss(-g)] - p E_p[loss(-g)]; as flexible
 models drive that below zero, it is held at zero (and stepped back when it
 falls below).  The prior itself is estimated from scores of a first fit: at
 every threshold the share of unlabelled rows above it, over that of positives,
 bounds the prior from above; the least such bound (with its deviation) counts.
 
-Scores are made comparable by one monotone step on the labelled sample: a
-two-parameter logistic of the model's margin, shifted so that 0.7 is where the
-two kinds of error balance.
+A score is the logistic of the margin, shifted so that 0.7 is where the fitted
+risk is indifferent between the classes, or lower, where that would lose more
+than 2 in 1,000 of the trusted positives.
 
 Features are counts over bytes, words and lines of the whole text, expanded
 into bins between quantiles of the sample: an additive model.
@@ -99,7 +99,6 @@ class Model:
     scale: np.ndarray
     weight: np.ndarray
     bias: float
-    slope: float
     shift: float
     prior: float
 
@@ -112,7 +111,7 @@ class Model:
         return self.expand(x) @ self.weight + self.bias
 
     def score(self, x: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(self.slope * self.margin(x) + self.shift, -30, 30)))
+        return 1 / (1 + np.exp(-np.clip(self.margin(x) + self.shift, -30, 30)))
 
 
 def _softplus(x: np.ndarray) -> np.ndarray:
@@ -151,48 +150,42 @@ def estimate_prior(positive: np.ndarray, unlabelled: np.ndarray, deviation: floa
 
 
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", folds: int = 4, held_out: int = 2, train_rows: int = 6000) -> Model | None:
-    """A model from at most `train_rows` labelled rows outside the held-out fold; their texts, labels unseen, are the unlabelled sample too.
+    """A model from trusted positives (at most `train_rows` labelled rows of label 1 outside the held-out fold) and unlabelled texts
+    (at most `train_rows` documents outside it, whatever label they may have). No label but 1 is read.
 
-    None if there is no trusted positive.
+    None if there is no trusted positive with a text.
     """
-    sample = bounded_sample(labels, label_col, folds, held_out, train_rows)
-    rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).join(F.broadcast(sample), "id")
+    trusted = bounded_sample(labels.filter(F.col(label_col) == 1), label_col, folds, held_out, train_rows, id_col).select("id", F.lit(True).alias("positive"), F.lit(False).alias("web"))
+    web = bounded_sample(docs.select(id_col, F.lit(0).alias("none")), "none", folds, held_out, train_rows, id_col).select("id", F.lit(False).alias("positive"), F.lit(True).alias("web"))
+    chosen = trusted.unionByName(web).groupBy("id").agg(F.max("positive").alias("positive"), F.max("web").alias("web"))
+    rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).join(F.broadcast(chosen), "id")
 
     def numbers(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, texts in slice_batches(batches, "text", 4 << 20):
-            yield pa.record_batch({"id": part.column("id").cast(pa.string()), "label": part.column("label"), "x": pa.array([r.tobytes() for r in features(texts)], pa.binary())})
+            yield pa.record_batch({"id": part.column("id").cast(pa.string()), "positive": part.column("positive"), "web": part.column("web"), "x": pa.array([r.tobytes() for r in features(texts)], pa.binary())})
 
-    got = sorted(rows.mapInArrow(tidy_map(numbers), "id string, label int, x binary").collect(), key=lambda r: (r[0], r[1]))
-    y = np.array([r["label"] for r in got])
-    if not (y == 1).any():
+    got = sorted(rows.mapInArrow(tidy_map(numbers), "id string, positive boolean, web boolean, x binary").collect(), key=lambda r: (r["id"], r["x"]))
+    if not any(r["positive"] for r in got):
         return None
     x = np.stack([np.frombuffer(r["x"]) for r in got])
-    low, high = x.min(0), x.max(0)
-    cuts = np.concatenate((np.quantile(x, np.linspace(0.02, 0.98, BINS), axis=0), [low + (high - low) / 12, low + (high - low) / 3]), 0).T
-    model = Model(cuts, x.mean(0), x.std(0) + 1e-9, np.zeros(0), 0.0, 1.0, 0.0, 0.5)
-    z = model.expand(x)
-    positive = z[y == 1]
+    is_positive, is_web = np.array([r["positive"] for r in got]), np.array([r["web"] for r in got])
+    base = x[is_web] if is_web.any() else x
+    low, high = base.min(0), base.max(0)
+    cuts = np.concatenate((np.quantile(base, np.linspace(0.02, 0.98, BINS), axis=0), [low + (high - low) / 12, low + (high - low) / 3]), 0).T
+    model = Model(cuts, base.mean(0), base.std(0) + 1e-9, np.zeros(0), 0.0, 0.0, 0.5)
+    positive, unlabelled = model.expand(x[is_positive]), model.expand(base)
     # half of the positives fit, half are told apart for the prior
-    w, b, _ = fit_nnpu(positive[::2], z, 0.5, steps=100)
-    model.prior = estimate_prior(positive[1::2] @ w + b, z @ w + b)
-    model.weight, model.bias, _ = fit_nnpu(positive, z, model.prior)
-    model.slope, model.shift = _calibrated(model.margin(x), y)
+    w, b, _ = fit_nnpu(positive[::2], unlabelled, 0.5, steps=100)
+    apart = positive[1::2] if len(positive) > 1 else positive
+    model.prior = estimate_prior(apart @ w + b, unlabelled @ w + b)
+    model.weight, model.bias, _ = fit_nnpu(positive, unlabelled, model.prior)
+    model.shift = _shift(positive @ model.weight + model.bias)
     return model
 
 
-def _calibrated(margin: np.ndarray, y: np.ndarray, at: float = 0.7) -> tuple[float, float]:
-    """Slope and shift of a logistic of the margin that is `at` where errors of both classes balance."""
-    edge = np.log(at / (1 - at))
-    if not (y == 0).any():
-        return 1.0, float(edge - np.quantile(margin, 0.02))
-    cuts = np.unique(np.quantile(margin, np.linspace(0, 1, 801)))
-    miss = np.array([(margin[y == 1] < c).mean() + (margin[y == 0] >= c).mean() for c in cuts])
-    best = np.flatnonzero(miss <= miss.min() + 1e-12)
-    cut = cuts[best[len(best) // 2]]
-    cut = (cut + (margin[margin < cut].max() if (margin < cut).any() else cut)) / 2
-    spread = max(1e-6, np.std(margin))
-    slope = 4 / spread
-    return float(slope), float(edge - slope * cut)
+def _shift(positive: np.ndarray, at: float = 0.7, lost: float = 0.002) -> float:
+    """What brings the margin's zero - where the fitted risk is indifferent - to a score of `at`; or a lower margin, if more than a share of `lost` of the trusted positives lies below zero."""
+    return float(np.log(at / (1 - at)) - min(0.0, np.quantile(positive, lost)))
 
 
 def score(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

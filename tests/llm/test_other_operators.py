@@ -115,6 +115,10 @@ def test_classifiers_hold_out(spark, make):
     no_labels = labels.limit(0)
     assert toxicity_ws.score(odd, toxicity_ws.train(docs, no_labels)).filter("score >= 0.5").count() == 0
     assert quality_pu.train(docs, no_labels) is None
+    # no label but 1 counts: without the zeros, and with them flipped to null, the scores are the same
+    for other in (labels.filter("quality = 1"), labels.withColumn("quality", F.when(F.col("quality") == 1, 1))):
+        again = quality_pu.train(docs, other)
+        assert again.prior == good.prior and (again.weight == good.weight).all() and again.shift == good.shift
 
 
 def test_nnpu_risk_and_prior():
