@@ -156,11 +156,13 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(x @ self.weight + self.bias, -30, 30)))
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, min_rows: int = 3, min_share: float = 0.02, log_odds: float = 3.0, most_clean: float = 2e-4, most_entries: int = 600) -> Model:
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, min_rows: int = 3, min_share: float = 0.02, log_odds: float = 3.0, most_clean: float = 2e-4) -> Model:
     """Lexicon, label model and classifier from at most `train_rows` labelled rows. Without such rows, nothing is ever toxic.
 
     An entry of the lexicon occurs in `min_rows` toxic rows and a share of `min_share` of them, in a
     share of `most_clean` of the clean rows at most, and has log odds of `log_odds` or more.
+    All such entries count: as each takes a share of the toxic rows, there are at most
+    1 / `min_share` times as many as a toxic row has entries, whatever the size of the corpus.
     """
     sample = bounded_sample(labels, label_col, folds, held_out, train_rows)
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).join(F.broadcast(sample), "id")
@@ -187,7 +189,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     found = (
         rows.mapInArrow(tidy_map(count), "kind int, h long, toxic long, clean long").groupBy("kind", "h").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
         .filter(F.col("toxic") >= max(min_rows, min_share * n1)).withColumn("odds", odds).filter((F.col("odds") >= log_odds) & (F.col("clean") <= most_clean * n0))
-        .orderBy(F.desc(F.col("toxic") * F.col("odds")), "h", "kind").limit(most_entries).collect()
+        .orderBy(F.desc(F.col("toxic") * F.col("odds")), "h", "kind").collect()
     )
     n_voters = 24
     kinds = np.array([r["kind"] for r in found], np.int64)
@@ -205,7 +207,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     def numbers(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, texts in slice_batches(batches, "text", 4 << 20):
             votes, x = _numbers(sent.value, texts)
-            yield pa.record_batch({"id": part.column("id").cast(pa.string()), "votes": pa.array([v.astype(np.int8).tobytes() for v in votes], pa.binary()), "present": pa.array([np.flatnonzero(r[: len(lexicon.hash)]).astype(np.int16).tobytes() for r in x], pa.binary()), "counts": pa.array([r[len(lexicon.hash) :].tobytes() for r in x], pa.binary())})
+            yield pa.record_batch({"id": part.column("id").cast(pa.string()), "votes": pa.array([v.astype(np.int8).tobytes() for v in votes], pa.binary()), "present": pa.array([np.flatnonzero(r[: len(lexicon.hash)]).astype(np.int32).tobytes() for r in x], pa.binary()), "counts": pa.array([r[len(lexicon.hash) :].tobytes() for r in x], pa.binary())})
 
     got = sorted(rows.select("id", "text").mapInArrow(tidy_map(numbers), "id string, votes binary, present binary, counts binary").collect(), key=lambda r: r[0])
     if not got or not len(h):
@@ -213,17 +215,19 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     votes = np.stack([np.frombuffer(r["votes"], np.int8) for r in got]).astype(np.float64)
     x = np.zeros((len(got), len(h) + 6))
     for i, r in enumerate(got):
-        x[i, np.frombuffer(r["present"], np.int16)] = 1
+        x[i, np.frombuffer(r["present"], np.int32)] = 1
         x[i, len(h) :] = np.frombuffer(r["counts"], np.float32)
     post, learned = label_model(votes)
     return Model(lexicon, *fit_logistic(x, post), learned)
 
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", keep: bool = False) -> DataFrame:
-    """(id, score) of every row, or with `keep` the rows' own columns and toxic_score. Null and empty texts score as texts without any hit; repeated rows score alike."""
+    """(id, score) of every row, or with `keep` the rows' own columns and toxic_score (ValueError if they have that, or _text, already). Null and empty texts score as texts without any hit; repeated rows score alike."""
     sent = docs.sparkSession.sparkContext.broadcast(model)
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     if keep:
+        if {"_text", "toxic_score"} & set(docs.columns):
+            raise ValueError("columns _text and toxic_score are the operator's own")
         rows, schema = docs.withColumn("_text", text), ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields) + ", toxic_score double"
     else:
         rows, schema = docs.select(F.col(id_col).alias("id"), text.alias("_text")), f"id {docs.schema[id_col].dataType.simpleString()}, score double"
