@@ -99,8 +99,8 @@ def _secrets_sql() -> str:
 WITH t AS (SELECT doc_id, source, lang, coalesce(text, '') AS text FROM documents),
 found AS (SELECT doc_id, source, lang, rank, kind, CAST(m.s AS BIGINT) AS s, CAST(m.s + m.n AS BIGINT) AS e, m.v AS v FROM ({spans})
   WHERE length(m.v) >= {least} AND (kind <> 'opaque' OR (regexp_matches(m.v, '[A-Z]') AND regexp_matches(m.v, '[a-z]') AND regexp_matches(m.v, '[0-9]')))),
-owned AS (SELECT v, count(DISTINCT coalesce(source, chr(1))) AS owners FROM found GROUP BY v),
-judged AS (SELECT f.*, o.owners <= 1 AS live FROM found f JOIN owned o ON f.v = o.v),
+owned AS (SELECT v, count(DISTINCT source) + max(CASE WHEN source IS NULL THEN 1 ELSE 0 END) AS owners, count(DISTINCT {{'s': source, 'l': lang}}) AS repos FROM found GROUP BY v),
+judged AS (SELECT f.*, o.owners <= 1 AND o.repos <= 2 AS live FROM found f JOIN owned o ON f.v = o.v),
 summed AS (SELECT doc_id, count(*) FILTER (kind = 'assign') AS n_assign, count(*) FILTER (kind = 'access') AS n_access, count(*) FILTER (kind = 'hex') AS n_hex,
   string_agg({at}, ',' ORDER BY s, rank) FILTER (kind <> 'opaque') AS base, string_agg({at}, ',' ORDER BY s, rank) FILTER (kind <> 'opaque' OR live) AS spans,
   count(DISTINCT v) FILTER (live) AS n_live, count(DISTINCT v) FILTER (NOT live) AS n_shared FROM judged GROUP BY doc_id)

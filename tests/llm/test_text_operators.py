@@ -132,6 +132,19 @@ def test_secrets(make):
     assert got[1].n_live >= 3
 
 
+def test_secret_places_and_owners(spark):
+    many = " é ".join(f"token=abcdefgh{i:04d}" for i in range(700))
+    key = lambda c: c * 9 + "Zx9" * 9
+    rows = [(1, many, "a", "en"), (2, key("A"), "a", "en"), (3, key("B"), "a", "en"), (4, key("B"), "b", "en"), (5, key("C"), "a", "en"), (6, key("C"), "a", "de"), (7, key("C"), "a", "fr"), (8, key("D"), None, None), (9, key("D"), "\x00", None), (10, key("D") + "\n" * 9, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, lang string")
+    got = {r.id: r for r in secret_ownership.scan(docs, keep_text=True).collect()}
+    spans = [(s["start"], s["end"]) for s in got[1].base]
+    assert spans == [m.span() for m in re.finditer(r"token=[a-z0-9]+", many)] and got[1].n_assign == 700
+    live = {i for i, r in got.items() if r.spans}
+    assert live == {1, 2}  # B has two owners, C three repositories, D a null owner and another
+    assert got[8].n_shared == 1 and got[2].n_live == 1 and got[1].text == many
+
+
 def test_pieces(make, rows):
     model = piece_sampling.default_model()
     extra = [*rows, (200, "▁lit ▁▁ \x00 end"), (201, "  two  spaces "), (202, "😀\ttab\n\n"), (203, "x" * 3000)]
