@@ -145,4 +145,59 @@ FROM judged
 """
 
 
-ORACLE_SQL: dict[str, str] = {"op2_revisit_resolution": _revisits_sql(), "op6_secret_ownership": _secrets_sql()}
+#: Words by ASCII white space, and by everything but ASCII letters, digits and bytes from 0x80 on; A-Z alone is lower-cased.
+_BY_SPACE = "regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')"
+_LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+
+
+def _runs(column: str, at: str, count: str) -> str:
+    return f"array_to_string({column}[{at}:{at} + {count} - 1], ' ')"
+
+
+def _repeats_sql(length: int = 35) -> str:
+    return f"""
+WITH w AS (SELECT doc_id, {_BY_SPACE} AS ws FROM documents),
+starts AS (SELECT doc_id, p, {_runs("ws", "p", str(length))} AS words FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - {length - 2})) AS p FROM w)),
+again AS (SELECT words FROM starts GROUP BY words HAVING count(*) > 1),
+deep AS (SELECT doc_id, p FROM starts WHERE words IN (SELECT words FROM again)),
+placed AS (SELECT doc_id, unnest(ws) AS word, unnest(range(1, len(ws) + 1)) AS i FROM w),
+judged AS (SELECT placed.*, coalesce(i - max(p) OVER (PARTITION BY placed.doc_id ORDER BY i) < {length}, false) AS gone FROM placed LEFT JOIN deep ON placed.doc_id = deep.doc_id AND i = p)
+SELECT w.doc_id, len(ws) AS n_words, coalesce(n, 0) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
+FROM w LEFT JOIN (SELECT doc_id, count(*) FILTER (gone) AS n, string_agg(word, ' ' ORDER BY i) FILTER (NOT gone) AS kept FROM judged GROUP BY doc_id) USING (doc_id)
+"""
+
+
+def _join_sql(k: int = 5, percent: int = 80) -> str:
+    """Links from counts of common shingles, then the least document that each reaches."""
+    return f"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all({_LOWER}, '[^\\x20\\x09-\\x0D]+') AS ws FROM documents),
+s AS (SELECT DISTINCT doc_id, {_runs("ws", "p", str(k))} AS shingle FROM (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - {k - 2}, 2))) AS p FROM w WHERE len(ws) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+common AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS c FROM s a JOIN s b ON a.shingle = b.shingle AND a.doc_id < b.doc_id GROUP BY a.doc_id, b.doc_id),
+links AS (SELECT a, b FROM common JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * c >= {percent} * (x.n + y.n - c)),
+reach AS (SELECT doc_id AS a, doc_id AS b FROM documents UNION SELECT reach.a, l.b FROM reach JOIN (SELECT a, b FROM links UNION ALL SELECT b, a FROM links) l ON reach.b = l.a)
+SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, r.least AS component_id
+FROM documents d LEFT JOIN n USING (doc_id) JOIN (SELECT a, min(b) AS least FROM reach GROUP BY a) r ON r.a = d.doc_id
+"""
+
+
+def _contamination_sql(window: int = 10) -> str:
+    words = f"regexp_extract_all({_LOWER}, '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+')"
+    return f"""
+WITH i AS (SELECT CAST(item_id AS VARCHAR) AS item, {words} AS ws FROM benchmark),
+asked AS (SELECT DISTINCT item, least(len(ws), {window}) AS n, {_runs("ws", "p", str(window))} AS words FROM (SELECT item, ws, unnest(range(1, greatest(len(ws) - {window - 2}, 2))) AS p FROM i WHERE len(ws) > 0)),
+w AS (SELECT doc_id, {words} AS ws FROM documents),
+sizes AS (SELECT DISTINCT n FROM asked),
+starts AS (SELECT doc_id, p, n, {_runs("ws", "p", "n")} AS words FROM (SELECT doc_id, ws, n, unnest(range(1, len(ws) - n + 2)) AS p FROM w, sizes)),
+hits AS (SELECT doc_id, p, starts.n, item FROM starts JOIN asked ON starts.words = asked.words AND starts.n = asked.n),
+words AS (SELECT doc_id, count(DISTINCT x) AS n_hit FROM (SELECT doc_id, unnest(range(p, p + n)) AS x FROM hits) GROUP BY doc_id),
+items AS (SELECT doc_id, count(DISTINCT item) AS n_items, array_to_string(list_sort(list(DISTINCT item)), ',') AS told FROM hits GROUP BY doc_id)
+SELECT doc_id, len(ws) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(told, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM w LEFT JOIN words USING (doc_id) LEFT JOIN items USING (doc_id)
+"""
+
+
+ORACLE_SQL: dict[str, str] = {
+    "op2_revisit_resolution": _revisits_sql(), "op5_suffix_tree_dedup": _repeats_sql(), "op6_secret_ownership": _secrets_sql(),
+    "op8_ngram_jaccard_join": _join_sql(), "op9_suffix_array_decontamination": _contamination_sql(),
+}
