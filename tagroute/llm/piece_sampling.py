@@ -16,6 +16,8 @@ U+2581 is spelled so too, which keeps decoding lossless.
 from __future__ import annotations
 
 import hashlib
+import itertools
+import math
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -59,10 +61,15 @@ def _hash(data: bytes) -> int:
 
 
 class Pieces:
-    """A vocabulary as bytes, with log weights by rank: -flatness * log(2 + rank), and byte pieces as the last rank."""
+    """A vocabulary as bytes, with log weights.
 
-    def __init__(self, pieces: list[bytes | None], byte_ids: list[int], dummy_prefix: bool = True, flatness: float = 1.0):
-        self.bytes, self.byte_ids, self.dummy_prefix, self.flatness = pieces, byte_ids, dummy_prefix, flatness
+    `scores` are log probabilities of a unigram model: weights are flatness * score, and a byte has the least score less 10.
+    Without them - merge models number their pieces in place of scores - weights go by rank: -flatness * log(2 + rank), a byte's
+    being 1.5 times the last one's.
+    """
+
+    def __init__(self, pieces: list[bytes | None], byte_ids: list[int], dummy_prefix: bool = True, flatness: float = 1.0, scores: list[float] | None = None):
+        self.bytes, self.byte_ids, self.dummy_prefix, self.flatness, self.scores = pieces, byte_ids, dummy_prefix, flatness, scores
         for p in pieces:
             if p and b" " in p.lstrip(b" "):
                 raise ValueError("a piece crosses words")
@@ -81,7 +88,10 @@ class Pieces:
             pieces.append(None if sp.is_byte(i) or sp.is_control(i) or sp.is_unknown(i) or sp.is_unused(i) else name.replace("▁", " ").encode())
         if min(byte_ids) < 0:
             raise ValueError("the vocabulary has no byte pieces")
-        return cls(pieces, byte_ids, dummy_prefix=sp.encode("a") != sp.encode("▁a") or sp.id_to_piece(sp.encode("a")[0]).startswith("▁"), flatness=flatness)
+        scores = [sp.get_score(i) for i in range(sp.vocab_size())]
+        told = [x for x, p in zip(scores, pieces, strict=True) if p]
+        unigram = any(x != round(x) for x in told)  # merge models have whole numbers
+        return cls(pieces, byte_ids, scores=scores if unigram else None, dummy_prefix=sp.encode("a") != sp.encode("▁a") or sp.id_to_piece(sp.encode("a")[0]).startswith("▁"), flatness=flatness)
 
     def prepare(self) -> Pieces:
         """Tables for tasks, made once a process."""
@@ -92,8 +102,12 @@ class Pieces:
             longer = {p[:n] for p, _ in real for n in range(1, len(p))}
             self.table = _Table(np.array([_hash(p) for p in prefixes], np.uint64), np.array([2 * (i + 1) + (p in longer) for p, i in prefixes.items()], np.int64))
             n = len(self.bytes)
-            self.weight = -self.flatness * np.log(2.0 + np.arange(n))
-            self.byte_weight = -self.flatness * np.log(2.0 + n) * 1.5
+            if self.scores is None:
+                self.weight = -self.flatness * np.log(2.0 + np.arange(n))
+                self.byte_weight = -self.flatness * np.log(2.0 + n) * 1.5
+            else:
+                self.weight = self.flatness * np.array(self.scores, float)
+                self.byte_weight = self.flatness * (min(x for x, p in zip(self.scores, self.bytes, strict=True) if p) - 10)
             self.spelled = [self.bytes[i] if self.bytes[i] else b"" for i in range(n)]
             for b, i in enumerate(self.byte_ids):
                 self.spelled[i] = bytes([b])
@@ -140,8 +154,12 @@ def _edges(v: Pieces, data: np.ndarray, start: np.ndarray, end: np.ndarray) -> t
     return np.concatenate(first), np.concatenate(last), np.concatenate(piece)
 
 
+#: Units of more bytes are summed one by one; shorter ones side by side, offset by offset.
+_LONG = 2048
+
+
 class Lattice:
-    """Forward sums of distinct units, as integer thresholds of each node's edges."""
+    """Forward sums of distinct units, as integer thresholds of each node's edges. The work is linear in the bytes, whatever the units' lengths."""
 
     def __init__(self, v: Pieces, data: np.ndarray, size: np.ndarray):
         """data: the units' bytes side by side; size: bytes of each."""
@@ -151,8 +169,9 @@ class Lattice:
         begin = np.repeat(start, size)  # of the unit of each byte
         # nodes: a unit's byte offsets 1.. are known by their last byte's place; offset 0 sums to 1
         node = b - 1
-        depth = b - begin[a]
-        order = np.argsort((depth << 40) | (node << 8) | np.minimum(b - a, 255))
+        long = np.repeat(size > _LONG, size)[a]
+        depth = np.where(long, _LONG + 1, b - begin[a])
+        order = np.argsort((depth << 40) | (node << 8) | np.minimum(b - a, 255), kind="stable")  # edges come shortest first
         a, b, piece, node, depth = (x[order] for x in (a, b, piece, node, depth))
         weight = np.where(piece >= 0, v.weight[piece], v.byte_weight * (b - a))
         alpha = np.zeros(len(data))
@@ -161,7 +180,9 @@ class Lattice:
         bounds = np.searchsorted(depth, np.arange(1, (depth.max() if len(depth) else 0) + 2))
         group = np.flatnonzero(np.concatenate((np.ones(min(1, len(node)), bool), node[1:] != node[:-1])))
         group_at = np.searchsorted(group, bounds)
-        for d in range(len(bounds) - 1):
+        if long.any():
+            self._one_by_one(bounds[_LONG], group, a, node, weight, is_first, alpha, chance)
+        for d in range(min(len(bounds) - 1, _LONG)):
             lo, hi = bounds[d], bounds[d + 1]
             if lo == hi:
                 continue
@@ -184,6 +205,24 @@ class Lattice:
         self.edge[node[group]] = group
         self.start, self.end, self.data, self.log_total = start, end, data, alpha[end - 1]
 
+    @staticmethod
+    def _one_by_one(first: int, group: np.ndarray, a: np.ndarray, node: np.ndarray, weight: np.ndarray, is_first: np.ndarray, alpha: np.ndarray, chance: np.ndarray) -> None:
+        """Forward sums of long units' nodes, edge by edge from the given one on."""
+        start = [*group[np.searchsorted(group, first) :].tolist(), len(node)]
+        before, w, fresh = (a[first:] - 1).tolist(), weight[first:].tolist(), is_first[first:].tolist()
+        at = node[first:].tolist()
+        sums: dict[int, float] = {}
+        shares = []
+        for lo, hi in itertools.pairwise(start):
+            value = [w[e] + (0.0 if fresh[e] else sums[before[e]]) for e in range(lo - first, hi - first)]
+            top = max(value)
+            part = [math.exp(x - top) for x in value]
+            total = sum(part)
+            sums[at[lo - first]] = top + math.log(total)
+            shares += [x / total for x in part]
+        chance[first:] = shares
+        alpha[np.fromiter(sums, np.int64, len(sums))] = np.fromiter(sums.values(), float, len(sums))
+
     def sample(self, unit: np.ndarray, noise: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(edge, edges of each occurrence) of occurrences of units, in reading order."""
         live, at, taken = np.arange(len(unit)), self.end[unit], []

@@ -157,6 +157,32 @@ def test_pieces(make, rows):
     assert {r.id: r.ids_sha256 for r in got} != {r.id: r.ids_sha256 for r in other}
 
 
+def test_pieces_law():
+    """Frequencies of sampled segmentations against all segmentations, enumerated, by rank and by the model's scores; units on either side of the bound."""
+    spelled = [b"a", b"b", b"ab", b"ba", b"aba", b" a", b" ab", b" "]
+    pieces = [*spelled, *[None] * 256]
+    for scores in (None, [-1.5, -2.25, -1.0, -3.5, -2.0, -1.25, -0.5, -4.0, *[0.0] * 256]):
+        v = piece_sampling.Pieces(pieces, list(range(len(spelled), len(pieces))), dummy_prefix=False, scores=scores).prepare()
+
+        def ways(t):
+            return [[]] if not t else [[i, *rest] for i, p in enumerate(spelled) if t.startswith(p) for rest in ways(t[len(p) :])]
+
+        text = b" ababa"
+        odds = {tuple(x): np.exp(sum(v.weight[i] for i in x)) for x in ways(text)}
+        total = sum(odds.values())
+        n = 60_000
+        drawn = Counter(tuple(x.tolist()) for x in piece_sampling.encode_texts(v, [text] * n, np.arange(n), 4))
+        assert set(drawn) <= set(odds)
+        for x, p in odds.items():
+            assert abs(drawn[x] / n - p / total) < 5 * np.sqrt(p / total / n) + 1e-4
+        long, bound = b"ab" * 3000, piece_sampling._LONG
+        one = piece_sampling.Lattice(v, np.frombuffer(long, np.uint8), np.array([len(long)]))
+        piece_sampling._LONG = 10**6
+        other = piece_sampling.Lattice(v, np.frombuffer(long, np.uint8), np.array([len(long)]))
+        piece_sampling._LONG = bound
+        assert np.allclose(one.log_total, other.log_total) and np.allclose(one.limit.astype(float), other.limit.astype(float), atol=64)
+
+
 def test_empty_tables(spark, make):
     none = make([])
     assert suffix_dedup.drop_repeats(none).count() == 0
