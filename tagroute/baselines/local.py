@@ -21,10 +21,11 @@ class _Legwork:
         self.tau = sum(max(self.hits.of(j, p) for p in found) for j, found in enumerate(self.lists)) if self.ok else 0
         self.budget = FAR if q.budget is None else q.budget
         self.counters = {"labels": 0, "routes": 0}
+        self.legs.wanted = [int(v) for v in dict.fromkeys(int(self.ix.poi_v[p]) for found in self.lists for p in found)]
 
     def leg(self, at: int, p: int) -> int:
-        """From a vertex to a POI."""
-        return int(self.ix.net.distances(int(self.ix.poi_v[p]))[at])
+        """From a vertex to a POI; FAR or more if that exceeds the budget."""
+        return min(self.legs.leg(at, p, int(self.budget)), int(FAR))
 
     def home(self, p: int) -> int:
         return int(self.legs.to_dest[self.ix.poi_v[p]]) if self.legs.to_dest is not None else 0
@@ -32,9 +33,6 @@ class _Legwork:
     def names(self, pois: tuple[int, ...]) -> tuple[int, ...]:
         return tuple(int(self.ix.poi[p]) for p in pois)
 
-    def sequences(self) -> bool:
-        return self.q.order
-
 
 def exhaustive(ix: Arrays, q: QuerySpec) -> tuple[list, dict[str, int]]:
     """Every order of every cover set."""

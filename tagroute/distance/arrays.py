@@ -11,18 +11,20 @@ from pyspark.sql import DataFrame
 from ..plans.mode import LOCAL_ARCS
 
 FAR = np.int64(1) << 60
+#: Bytes of distances that a task keeps, of whole rows and of rows between spots, and that it works on at once.
+KEPT_BYTES, WORK_BYTES = 64 << 20, 32 << 20
 
 
 class Csr:
     """A network as arrays: vertices by rank, arcs by their tail."""
 
-    def __init__(self, u: np.ndarray, v: np.ndarray, w: np.ndarray, extra: np.ndarray | None = None, kept: int = 256):
+    def __init__(self, u: np.ndarray, v: np.ndarray, w: np.ndarray, extra: np.ndarray | None = None):
         self.ids = np.unique(np.concatenate((u, v, extra if extra is not None else u[:0])))
         tail, head = np.searchsorted(self.ids, u), np.searchsorted(self.ids, v)
         order = np.lexsort((w, head, tail))
         self.head, self.w = head[order].astype(np.int32), w[order].astype(np.int64)
         self.ptr = np.concatenate(([0], np.cumsum(np.bincount(tail, minlength=len(self.ids)))))
-        self.kept, self._rows = kept, OrderedDict()
+        self._rows = OrderedDict()
 
     def __getstate__(self) -> dict:
         return self.__dict__ | {"_rows": OrderedDict()}
@@ -31,30 +33,53 @@ class Csr:
         i = int(np.searchsorted(self.ids, vertex))
         return i if i < len(self.ids) and self.ids[i] == vertex else None
 
-    def distances(self, source: int, limit: int | None = None) -> np.ndarray:
-        """From a vertex (by rank) to all, by rounds over the vertices that improved; FAR where there is no way (within the limit)."""
-        if limit is None and source in self._rows:
-            self._rows.move_to_end(source)
-            return self._rows[source]
-        dist = np.full(len(self.ids), FAR)
-        dist[source] = 0
-        front = np.array([source])
+    def _relax(self, dist: np.ndarray, front: np.ndarray, limit: int | None) -> None:
+        """Rounds over the entries that improved, until none does. dist may hold several rows, one after the other."""
+        n = len(self.ids)
         while len(front):
-            count = self.ptr[front + 1] - self.ptr[front]
-            at = np.repeat(self.ptr[front], count) + np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
-            head, d = self.head[at], np.repeat(dist[front], count) + self.w[at]
+            u = front % n
+            count = self.ptr[u + 1] - self.ptr[u]
+            at = np.repeat(self.ptr[u] - np.cumsum(count) + count, count) + np.arange(count.sum())
+            head, d = self.head[at] + np.repeat(front - u, count), np.repeat(dist[front], count) + self.w[at]
             ok = d < dist[head]
             if limit is not None:
                 ok &= d <= limit
             head, d = head[ok], d[ok]
             np.minimum.at(dist, head, d)
             front = np.unique(head)
+
+    def distances(self, source: int, limit: int | None = None) -> np.ndarray:
+        """From a vertex (by rank) to all; FAR where there is no way (within the limit). Rows without a limit are kept, as far as KEPT_BYTES go."""
+        if limit is None and source in self._rows:
+            self._rows.move_to_end(source)
+            return self._rows[source]
+        dist = np.full(len(self.ids), FAR)
+        dist[source] = 0
+        self._relax(dist, np.array([source]), limit)
         if limit is None:
             self._rows[source] = dist
-            if len(self._rows) > self.kept:
+            if len(self._rows) > max(2, KEPT_BYTES // max(1, dist.nbytes)):
                 self._rows.popitem(last=False)
         return dist
 
+    def reach(self, at: np.ndarray, start: np.ndarray, limit: int | None) -> np.ndarray:
+        """From several vertices with distances of their own to all."""
+        dist = np.full(len(self.ids), FAR)
+        np.minimum.at(dist, at, start)
+        if limit is not None:
+            dist[dist > limit] = FAR
+        self._relax(dist, np.unique(at[dist[at] < FAR]), limit)
+        return dist
+
+    def many(self, sources: np.ndarray, limit: int | None) -> np.ndarray:
+        """Rows of distances from several vertices, side by side."""
+        n = len(self.ids)
+        dist = np.full(len(sources) * n, FAR)
+        front = np.arange(len(sources)) * n + sources
+        dist[front] = 0
+        self._relax(dist, front, limit)
+        return dist.reshape(len(sources), n)
+
     def pair(self, a: int, b: int, bound: Callable[[int], float] | None = None) -> int:
         """Least distance of two vertices by A*: bound(v) never exceeds the distance from v to b."""
         lb = bound or (lambda v: 0)
@@ -82,6 +107,52 @@ class Csr:
         return out[::-1]
 
 
+class SpotRows:
+    """Distances between marked vertices (spots: where POIs are), as far as they were asked for.
+
+    A row is made by a search bounded by the distance that the asker needs, for several spots at a time, and
+    keeps what lies on spots; so neither time nor memory is that of the whole network.
+    """
+
+    def __init__(self, net: Csr, spots: np.ndarray):
+        self.net, self.spots = net, np.unique(spots)
+        self.place = np.full(len(net.ids), -1, np.int32)
+        self.place[self.spots] = np.arange(len(self.spots), dtype=np.int32)
+        self.rows: OrderedDict[int, tuple[int, np.ndarray]] = OrderedDict()
+
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"rows": OrderedDict()}
+
+    def between(self, a: int, b: int, limit: int, wanted: list[int]) -> int:
+        """Distance of two spots; FAR or more if it exceeds the limit. wanted: spots that may be asked for next."""
+        if a == b:
+            return 0
+        for u, v in ((a, b), (b, a)):
+            if (row := self.rows.get(u)) is not None:
+                d = int(row[1][self.place[v]])
+                if d < FAR or row[0] >= limit:
+                    return d
+        return int(self._made(a, limit, wanted)[self.place[b]])
+
+    def _made(self, a: int, limit: int, wanted: list[int]) -> np.ndarray:
+        far = int(FAR) if limit >= FAR else limit + limit // 2
+        most = max(1, min(64, WORK_BYTES // (8 * len(self.net.ids))))
+        batch = [a]
+        for v in wanted:
+            if len(batch) == most:
+                break
+            if v != a and ((row := self.rows.get(v)) is None or row[0] < limit):
+                batch.append(v)
+        batch = list(dict.fromkeys(batch))
+        found = self.net.many(np.array(batch), None if limit >= FAR else far)[:, self.spots]
+        for v, row in zip(batch, found, strict=True):
+            self.rows.pop(v, None)
+            self.rows[v] = (far, row.copy())
+        while len(self.rows) > max(most, KEPT_BYTES // (8 * max(1, len(self.spots)))):
+            self.rows.popitem(last=False)
+        return found[0]
+
+
 def collect_csr(arcs: DataFrame, vertices: DataFrame | None = None, limit: int = LOCAL_ARCS) -> Csr:
     """The network on the driver, only if it has at most `limit` arcs."""
     rows = arcs.select("u", "v", "w").limit(limit + 1).toArrow()

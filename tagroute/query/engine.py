@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from .. import index as ix_frames
 from .. import network, partition
-from ..distance.arrays import collect_csr
+from ..distance.arrays import Csr, collect_csr
 from ..functions import RATIO
 from ..plans.mode import LOCAL_ARCS, choose_mode
 from ..plans.rounds import materialize
@@ -20,6 +20,8 @@ from .spec import QuerySpec, queries_frame
 from .wide import VARIANTS, run_wide
 
 ANSWER_SCHEMA = "qid long, rank int, score double, dist long, rating long, pois array<long>"
+#: Shortcuts that may be sent for each arc that may.
+SHORTCUTS_AN_ARC = 8
 COUNTER_SCHEMA = "qid long, counters map<string,long>, seconds double"
 
 
@@ -52,8 +54,22 @@ class RouteIndex:
         s = spark.read.parquet(f"{path}/scale").first()
         return cls(*(spark.read.parquet(f"{path}/{t}") for t in cls._TABLES), s.w_max, s.r_max, s.ratio)
 
+    def own(self, user: int) -> dict[int, int]:
+        """A user's own ratings by POI: one number a POI of the layer at most."""
+        if self.personal is None:
+            return {}
+        found = self.personal.filter(F.col("user") == user).groupBy("poi").agg(F.max("rating").alias("rating")).join(self.pois.select("poi").distinct(), "poi", "left_semi").toArrow()
+        return dict(zip(found.column("poi").to_pylist(), found.column("rating").to_pylist(), strict=True))
+
+    def fits(self, limit: int) -> bool:
+        """Whether arcs, POIs, borders and shortcuts are few enough to be sent to tasks; counted up to the limits alone."""
+        most = ((network.arcs(self.edges), limit), (self.pois, limit), (self.border, limit), (self.shortcuts, SHORTCUTS_AN_ARC * limit))
+        return all(choose_mode(df, n) == "local" for df, n in most)
+
     def arrays(self, limit: int = LOCAL_ARCS) -> Arrays:
         """On the driver, for networks of a checked size; the caller broadcasts it."""
+        if not self.fits(limit):
+            raise ValueError(f"more than {limit} arcs or POIs: use the wide mode")
         net = collect_csr(network.arcs(self.edges), self.vertices, limit)
         v = self.vertices.join(self.cells, "v").select("v", "x", "y", "cell").toArrow()
         order = np.searchsorted(net.ids, v.column("v").to_numpy())
@@ -63,19 +79,19 @@ class RouteIndex:
         border[np.searchsorted(net.ids, self.border.select("v").toArrow().column("v").to_numpy())] = True
         shortcuts: dict[int, list[tuple[int, int]]] = {}
         s = self.shortcuts.select("u", "v", "dist").toArrow()
-        for a, b, d in zip(np.searchsorted(net.ids, s.column("u").to_numpy()).tolist(), np.searchsorted(net.ids, s.column("v").to_numpy()).tolist(), s.column("dist").to_pylist(), strict=True):
+        su, sv, sd = np.searchsorted(net.ids, s.column("u").to_numpy()), np.searchsorted(net.ids, s.column("v").to_numpy()), s.column("dist").to_numpy()
+        for a, b, d in zip(su.tolist(), sv.tolist(), sd.tolist(), strict=True):
             shortcuts.setdefault(a, []).append((b, d))
+        tail = np.repeat(np.arange(len(net.ids)), np.diff(net.ptr))
+        cross = cell[tail] != cell[net.head]
+        overlay = Csr(np.concatenate((su, tail[cross])), np.concatenate((sv, net.head[cross])), np.concatenate((sd, net.w[cross])), np.flatnonzero(border))
         p = self.pois.select("poi", "v", "tag", "rating").orderBy("poi", "tag").toArrow()
         at = np.searchsorted(net.ids, p.column("v").to_numpy())
         ok = (at < len(net.ids)) & (net.ids[np.minimum(at, len(net.ids) - 1)] == p.column("v").to_numpy())
         p, at = p.filter(pa.array(ok)), at[ok]
         tags = np.array(p.column("tag").to_pylist(), object)
         by_tag = {t: np.flatnonzero(tags == t) for t in set(tags.tolist())}
-        personal: dict[int, dict[int, int]] = {}
-        if self.personal is not None:
-            for user, poi, rating in self.personal.select("user", "poi", "rating").toArrow().to_pandas().itertuples(index=False):
-                personal.setdefault(int(user), {})[int(poi)] = int(rating)
-        return Arrays(net, x, y, cell, border, shortcuts, p.column("poi").to_numpy(), at, p.column("rating").to_numpy(), by_tag, personal, self.w_max, self.r_max, self.ratio)
+        return Arrays(net, x, y, cell, border, shortcuts, p.column("poi").to_numpy(), at, p.column("rating").to_numpy(), by_tag, {}, self.w_max, self.r_max, self.ratio, overlay)
 
 
 class Engine:
@@ -107,7 +123,7 @@ class Engine:
 
     def mode(self) -> str:
         if self._mode is None:
-            self._mode = "local" if self._sent is not None else choose_mode(network.arcs(self.index.edges), self.limit)
+            self._mode = "local" if self._sent is not None else ("local" if self.index.fits(self.limit) else "wide")
         return self._mode
 
     def _run_wide(self, queries: DataFrame, method: str, variant: dict) -> DataFrame:
@@ -125,6 +141,8 @@ class Engine:
     def _run(self, queries: DataFrame, method: str, variant: dict, schema: str) -> DataFrame:
         sent = self.sent()
         counters_only = schema == COUNTER_SCHEMA
+        user = variant.get("user")
+        own = self.spark.sparkContext.broadcast({user: self.index.own(user)} if user is not None else {})
 
         def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             import time
@@ -132,6 +150,7 @@ class Engine:
             from ..baselines.local import METHODS
 
             index, search = sent.value, METHODS[method]
+            index.personal = own.value
             for b in batches:
                 rows = []
                 for q in b.to_pylist():

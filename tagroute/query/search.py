@@ -6,16 +6,18 @@ import bisect
 import heapq
 import math
 from dataclasses import dataclass
-from functools import lru_cache
+from functools import cached_property, lru_cache
 from itertools import permutations
 
 import numpy as np
 
-from ..distance.arrays import FAR, Csr
+from ..distance.arrays import FAR, Csr, SpotRows
 from ..index import dijkstra
 from .spec import QuerySpec
 
 SLACK = 2e-6  # scores are compared rounded to six digits
+#: Tags up to which the orders of a set are listed.
+MOST_LISTED = 8
 
 
 @dataclass
@@ -36,6 +38,10 @@ class Arrays:
     w_max: float
     r_max: float
     ratio: float = 10.0
+    overlay: Csr | None = None  # borders by rank of vertex: shortcuts and cross arcs
+
+    def __post_init__(self) -> None:
+        self.rows = SpotRows(self.net, self.poi_v) if self.net is not None else None
 
     def score(self, dist: float, rating: float, alpha: float) -> float:
         return round(-alpha * dist / self.w_max + (1 - alpha) * self.ratio * rating / self.r_max, 6)
@@ -114,17 +120,48 @@ class Legs:
         if q.dest is not None and (d := ix.net.rank(q.dest)) is not None:
             self.to_dest = ix.net.distances(d)
         place = {t: i for i, t in enumerate(q.tags)}
-        self.orders = _orders(len(q.tags), q.order, tuple((place[a], place[b]) for a, b in q.precedence if a in place and b in place))
-        self.order_array = np.array(self.orders, np.int64).reshape(-1, len(q.tags))
+        self.before = tuple((place[a], place[b]) for a, b in q.precedence if a in place and b in place)
+        #: Of many tags the best order of a set comes from its subsets, and no list of orders is made.
+        self.by_subsets = len(q.tags) > MOST_LISTED and not q.order
         self.evaluated = 0
+        #: What the exploration has seen: distances of POIs, how far it is, and the POIs' vertices.
+        self.dist_of: dict[int, int] = {}
+        self.seen_to: int | None = None
+        self.wanted: list[int] = []
+
+    @cached_property
+    def orders(self) -> tuple[tuple[int, ...], ...]:
+        return _orders(len(self.q.tags), self.q.order, self.before)
 
-    def route(self, pois: list[int]) -> int:
-        ix = self.ix
-        at, total = self.start, 0
+    @cached_property
+    def order_array(self) -> np.ndarray:
+        return np.array(self.orders, np.int64).reshape(-1, len(self.q.tags))
+
+    @property
+    def n_orders(self) -> int:
+        """Orders of a cover set; of many tags, precedence is not taken off."""
+        return math.factorial(len(self.q.tags)) if self.by_subsets else len(self.orders)
+
+    def leg(self, at: int, p: int, limit: int = int(FAR)) -> int:
+        """From the start or a POI's vertex to a POI; FAR or more if that exceeds the limit."""
+        ix, v = self.ix, int(self.ix.poi_v[p])
+        if at == self.start and (d := self.dist_of.get(p)) is not None:
+            return d
+        if ix.rows.place[at] < 0:
+            return int(ix.net.distances(at)[v])
+        return ix.rows.between(at, v, limit, self.wanted)
+
+    def route(self, pois: list[int], longest: float = math.inf) -> int:
+        """Length of a route; FAR if it exceeds the longest that counts, or has no way."""
+        ix, at, total = self.ix, self.start, 0
         for p in pois:
-            v = int(ix.poi_v[p])
-            total += int(ix.net.distances(v)[at])
-            at = v
+            # two POIs seen from the start are no farther apart than the sum of their distances
+            far = 2 * self.seen_to if self.seen_to is not None else math.inf
+            left = min(longest - total, far)
+            total += self.leg(at, p, int(left) + 1 if left < FAR else int(FAR))
+            if total > longest:
+                return int(FAR)
+            at = int(ix.poi_v[p])
         total += int(self.to_dest[at]) if self.to_dest is not None else 0
         return min(total, int(FAR))
 
@@ -140,6 +177,8 @@ class Legs:
 
     def best_order(self, members: list[int], longest: float) -> tuple[int, tuple[int, ...]] | None:
         """Least (distance, POIs) over the orders: in order of line length, until that exceeds the best distance."""
+        if self.by_subsets:
+            return self._best_by_subsets(members, longest)
         lb = self.line_bounds(members)
         best: tuple[int, tuple[int, ...]] | None = None
         pick = np.argsort(lb, kind="stable") if "orders" in self.q.prune else np.arange(len(lb))
@@ -147,13 +186,35 @@ class Legs:
             if "orders" in self.q.prune and lb[i] > (longest if best is None else min(best[0], longest)) + 1e-6:
                 break
             pois = [members[j] for j in self.orders[i]]
-            d = self.route(pois)
+            d = self.route(pois, longest if best is None else min(best[0], longest))
             self.evaluated += 1
             found = (d, tuple(int(self.ix.poi[p]) for p in pois))
             if d < FAR and (best is None or found < best):
                 best = found
         return best
 
+    def _best_by_subsets(self, members: list[int], longest: float) -> tuple[int, tuple[int, ...]] | None:
+        """The same, from the least (distance, POIs) of every subset and its last member."""
+        ix, m = self.ix, len(members)
+        v, names = [int(ix.poi_v[p]) for p in members], [int(ix.poi[p]) for p in members]
+        needs = [sum(1 << a for a, b in self.before if b == j) for j in range(m)]
+        limit = int(min(longest, 2 * self.seen_to if self.seen_to is not None else math.inf, int(FAR) - 1)) + 1
+        step = [[self.leg(v[i], members[j], limit) if i != j else 0 for j in range(m)] for i in range(m)]
+        layer = {(1 << j, j): (self.leg(self.start, members[j], limit), (names[j],)) for j in range(m) if not needs[j]}
+        for _ in range(m - 1):
+            grown: dict[tuple[int, int], tuple[int, tuple[int, ...]]] = {}
+            for (mask, i), (d, said) in layer.items():
+                for j in range(m):
+                    if mask >> j & 1 or needs[j] & ~mask or d + step[i][j] > longest or d + step[i][j] >= FAR:
+                        continue
+                    found = (d + step[i][j], (*said, names[j]))
+                    if (mask | 1 << j, j) not in grown or found < grown[mask | 1 << j, j]:
+                        grown[mask | 1 << j, j] = found
+            layer = grown
+        self.evaluated += len(layer)
+        ended = [(d + (int(self.to_dest[v[i]]) if self.to_dest is not None else 0), said) for (_, i), (d, said) in layer.items()]
+        return min((x for x in ended if x[0] < FAR and x[0] <= longest), default=None)
+
     def walk(self, pois: list[int]) -> list[int]:
         """Vertices (by rank) of the route over POIs."""
         out, at = [self.start], self.start
@@ -202,14 +263,23 @@ def explore_and_bound(ix: Arrays, q: QuerySpec, trace: list | None = None) -> tu
     touched: set[int] = set()
     first_at: dict[int, int] = {}
 
-    def near_cells() -> list[tuple[int, int]]:
-        """(nearest distance, cell) of live cells, the home cell at 0."""
-        dist = net.distances(legs.start)
+    inside_home: dict[int, list[tuple[int, int]]] = {}
+    for u in np.flatnonzero(ix.cell == home).tolist():
+        inside_home[u] = [(int(net.head[i]), int(net.w[i])) for i in range(net.ptr[u], net.ptr[u + 1]) if ix.cell[net.head[i]] == home]
+    #: (border, distance inside the cell) of the start's cell
+    exits = [(v, d) for v, d in dijkstra(inside_home, legs.start).items() if ix.border[v]]
+
+    def near_cells(radius: float) -> list[tuple[int, int]]:
+        """(nearest distance, cell) of live cells within the radius, the home cell at 0: a search over borders alone."""
+        over = ix.overlay
         reach: dict[int, int] = {}
-        for v in np.flatnonzero((ix.border) & (dist < FAR)).tolist():
-            c = int(ix.cell[v])
-            if c in cell_max and dist[v] < reach.get(c, FAR):
-                reach[c] = int(dist[v])
+        if exits:
+            rank = np.searchsorted(over.ids, [v for v, _ in exits])
+            dist = over.reach(rank, np.array([d for _, d in exits], np.int64), int(radius) if radius < FAR else None)
+            near = np.flatnonzero(dist < FAR)
+            for d, c in zip(dist[near].tolist(), ix.cell[over.ids[near]].tolist(), strict=True):
+                if c in cell_max and d < reach.get(c, FAR):
+                    reach[c] = d
         if home in cell_max:
             reach[home] = 0
         return sorted((d, c) for c, d in reach.items())
@@ -218,7 +288,7 @@ def explore_and_bound(ix: Arrays, q: QuerySpec, trace: list | None = None) -> tu
         """Radius from the maxima of the cells within the radius, until neither moves."""
         floor = pool.floor
         radius = min(budget, ix.radius(alpha, float(tag_max.sum()), floor))
-        cells = near_cells()
+        cells = near_cells(radius)
         maxima = tag_max
         while True:
             inside = [c for d, c in cells if d <= radius]
@@ -234,7 +304,7 @@ def explore_and_bound(ix: Arrays, q: QuerySpec, trace: list | None = None) -> tu
             radius = shrunk
         counters["cells_sr"] = len(inside)
         counters["sets_sr"] = math.prod(int(x) for x in np.sum([cell_count[c] for c in inside], axis=0)) if inside else 0
-        counters["orders_sr"] = counters["sets_sr"] * len(legs.orders)
+        counters["orders_sr"] = counters["sets_sr"] * legs.n_orders
         state.update(tau=float(maxima.sum()), radius=radius, maxima=maxima if q.tau_scope == "region" else tag_max, cells=set(inside))
 
     def offered(members: list[int], rating: int) -> None:
@@ -253,7 +323,7 @@ def explore_and_bound(ix: Arrays, q: QuerySpec, trace: list | None = None) -> tu
             if "orders" in q.prune and lb[i] > longest + 1e-6:
                 break
             pois = [members[j] for j in legs.orders[i]]
-            d = legs.route(pois)
+            d = legs.route(pois, longest)
             legs.evaluated += 1
             if d >= FAR or d > budget:
                 continue
@@ -275,7 +345,7 @@ def explore_and_bound(ix: Arrays, q: QuerySpec, trace: list | None = None) -> tu
     lists: list[list[int]] = [[] for _ in range(m)]
     seen_max = [0] * m
     arrays: list[tuple[int, np.ndarray, np.ndarray, np.ndarray] | None] = [None] * m
-    dist_of: dict[int, int] = {}
+    dist_of = legs.dist_of
 
     def columns(j: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         if arrays[j] is None or arrays[j][0] != len(lists[j]):
@@ -311,12 +381,14 @@ def explore_and_bound(ix: Arrays, q: QuerySpec, trace: list | None = None) -> tu
                     vc = ix.poi_v[cand[keep]]
                     legs_lb = np.full(len(keep), np.inf)
                     spots = [*v, vc]
+                    first = [ix.line(np.array(legs.start), x, q.lower_bound) for x in spots]
+                    between = [[ix.line(x, y, q.lower_bound) if a < b else None for b, y in enumerate(spots)] for a, x in enumerate(spots)]
                     for o in permutations(range(len(spots))):
                         if q.order and [([*members, t])[i] for i in o] != sorted([*members, t]):
                             continue
-                        length = ix.line(np.array(legs.start), spots[o[0]], q.lower_bound)
+                        length = first[o[0]]
                         for a, b in zip(o[:-1], o[1:], strict=True):
-                            length = length + ix.line(spots[a], spots[b], q.lower_bound)
+                            length = length + between[min(a, b)][max(a, b)]
                         legs_lb = np.minimum(legs_lb, length)
                     reach[keep] = np.maximum(reach[keep], legs_lb)
                     keep = keep[ix.bound(reach[keep], whole[keep], alpha) >= floor - SLACK]
@@ -333,12 +405,7 @@ def explore_and_bound(ix: Arrays, q: QuerySpec, trace: list | None = None) -> tu
         grow(0, {j: p}, hits.of(j, p), float(far))
 
     # ---- exploration
-    inner_of_start: list[tuple[int, int]] | None = None
-    if home not in live:
-        inside: dict[int, list[tuple[int, int]]] = {}
-        for u in np.flatnonzero(ix.cell == home).tolist():
-            inside[u] = [(int(net.head[i]), int(net.w[i])) for i in range(net.ptr[u], net.ptr[u + 1]) if ix.cell[net.head[i]] == home]
-        inner_of_start = [(v, d) for v, d in dijkstra(inside, legs.start).items() if ix.border[v] and v != legs.start]
+    inner_of_start = [(v, d) for v, d in exits if v != legs.start] if home not in live else None
 
     def neighbours(u: int) -> list[tuple[int, int]]:
         c = int(ix.cell[u])
@@ -377,7 +444,8 @@ def explore_and_bound(ix: Arrays, q: QuerySpec, trace: list | None = None) -> tu
         for j, p in () if c in pruned else at_vertex.get(u, ()):
             if legs.to_dest is not None and d + int(legs.to_dest[u]) > state["radius"] + 1e-6:
                 continue
-            dist_of[p] = d
+            dist_of[p], legs.seen_to = d, d
+            legs.wanted.append(u)
             lists[j].append(p)
             seen_max[j] = max(seen_max[j], hits.of(j, p))
             if all(lists):
@@ -398,6 +466,6 @@ def explore_and_bound(ix: Arrays, q: QuerySpec, trace: list | None = None) -> tu
     counters["orders_evaluated"] = legs.evaluated
     if not started or "region" not in q.prune:
         counters["cells_sr"], counters["sets_sr"] = counters["cells_rn"], counters["sets_rn"]
-        counters["orders_sr"] = counters["sets_sr"] * len(legs.orders)
+        counters["orders_sr"] = counters["sets_sr"] * legs.n_orders
     counters["cells_bp"] = len([c for c in {int(ix.cell[x]) for x in done} if c in cell_max and c not in pruned])
     return pool.answers(), counters

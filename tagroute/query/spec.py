@@ -47,8 +47,6 @@ class QuerySpec:
             raise ValueError("alpha is 0 to 1")
         if self.k < 1:
             raise ValueError("k is 1 at least")
-        if len(self.tags) > 8:
-            raise ValueError("up to 8 tags")
 
 
 def queries_frame(spark: SparkSession, specs: Iterable[QuerySpec]) -> DataFrame:

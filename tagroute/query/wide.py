@@ -25,7 +25,7 @@ def run_wide(index: DataFrame, cells: DataFrame, closed: DataFrame, cross: DataF
     good = F.coalesce(F.col("alpha").between(0, 1) & (F.col("k") >= 1) & (size <= 8), F.lit(False))
     kinds = asked.groupBy(size.alias("m"), F.col("dest").isNotNull().alias("dest")).agg(F.min(good).alias("good")).collect()  # 16 rows at most, or an error
     if not all(x.good for x in kinds):
-        raise ValueError("alpha is 0 to 1, k is 1 at least, and a query has up to 8 tags")
+        raise ValueError("alpha is 0 to 1, k is 1 at least, and a query has up to 8 tags in the wide mode")
     if asked.groupBy("qid").count().filter("count > 1 or qid is null").limit(1).count():
         raise ValueError("each query has a qid of its own")
     parts = [_of_kind(index, cells, closed, cross, asked.filter((size == x.m) & (F.col("dest").isNotNull() == x.dest)), x.m, x.dest, personal, (w_max, r_max), **variant) for x in kinds]

@@ -1,9 +1,13 @@
+import itertools
 import random
+from dataclasses import replace
 
+import numpy as np
 import pytest
 
 from tagroute.baselines import METHODS
-from tagroute.query import QuerySpec
+from tagroute.distance.arrays import FAR, SpotRows
+from tagroute.query import QuerySpec, search
 from tagroute.query.search import Arrays
 from tagroute.registry import Data
 
@@ -19,7 +23,10 @@ KNOWN = {
 def index(spark):
     d = Data(spark, "/root/testdata/sf0.01")
     names = {r.key: r.tag for r in d.nations.collect()}
-    return d.engine().sent().value, names
+    ix = d.engine().sent().value
+    ix.personal = {3: d.engine().index.own(3)}
+    assert len(ix.personal[3]) > 10
+    return ix, names
 
 
 def test_known_answers(index):
@@ -63,6 +70,44 @@ def test_all_variants_equal_brute_force(index):
                     assert r[1] <= exact[0][1] + 1e-6
 
 
+def test_many_tags(index, monkeypatch):
+    """Best orders from subsets equal those from lists; nine tags, and orders of precedence."""
+    ix, names = index
+    rnd = random.Random(5)
+    for _ in range(12):
+        tags = tuple(names[k] for k in rnd.sample(range(25), 4))
+        q = QuerySpec(rnd.randrange(2000), tags, 0.6, 3, dest=rnd.choice([None, 77]), budget=rnd.choice([None, 700]), precedence=rnd.choice([(), ((tags[0], tags[2]), (tags[2], tags[1]))]))
+        listed = METHODS["ebs"](ix, q)[0]
+        with monkeypatch.context() as m:
+            m.setattr(search, "MOST_LISTED", 1)
+            assert METHODS["ebs"](ix, q)[0] == listed
+    few = {t: found[:2] for t, found in ix.by_tag.items()}
+    small = replace(ix, by_tag=few)
+    q = QuerySpec(1000, tuple(names[k] for k in range(9)), 0.6, 3)
+    best = METHODS["ebs"](small, q)[0]
+    legs, ranked = search.Legs(small, q), []
+    for members in itertools.product(*(few[t].tolist() for t in q.tags)):
+        d, pois = legs.best_order(list(members), float("inf"))
+        rating = sum(int(small.poi_rating[p]) for p in members)
+        ranked.append((-small.score(d, rating, 0.6), d, pois, rating))
+    assert [(-s, d, list(p)) for s, d, p, _ in sorted(ranked)[:3]] == [(r[1], r[2], r[4]) for r in best]
+    order = list(itertools.islice(itertools.permutations(range(9)), 0, 362880, 997))
+    members = [int(few[t][0]) for t in q.tags]
+    assert legs.best_order(members, float("inf"))[0] <= min(legs.route([members[j] for j in o]) for o in order)
+
+
+def test_spot_rows_keep_what_was_asked(index):
+    ix, _ = index
+    rows = SpotRows(ix.net, ix.poi_v)
+    for limit in (40, 200, 10**6, int(FAR)):
+        for a, b in itertools.islice(itertools.product(rows.spots.tolist(), repeat=2), 0, None, 97):
+            exact, got = int(ix.net.distances(a)[b]), rows.between(a, b, limit, rows.spots[:9].tolist())
+            assert got == exact if exact <= limit else got > limit
+    dist = ix.overlay.reach(np.array([5, 9]), np.array([0, 30]), 500)
+    exact = np.minimum(ix.net.distances(int(ix.overlay.ids[5])), ix.net.distances(int(ix.overlay.ids[9])) + 30)[ix.overlay.ids]
+    assert (dist == np.where(exact <= 500, exact, FAR)).all()
+
+
 def test_edges_of_the_definition(index):
     ix, names = index
     assert METHODS["ebs"](ix, QuerySpec(0, ("no such tag",)))[0] == []
