@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 def search_space(found: DataFrame, m: int) -> DataFrame:
     """(qid, n_sets, n_orders): cover sets and their orders, never made. found: hits."""
     by_tag = found.groupBy("qid", "tag_pos").agg(F.count("*").alias("n"))
-    product = F.round(F.exp(F.sum(F.log("n")))).cast("long")
+    product = F.aggregate(F.collect_list("n"), F.lit(1).cast("long"), lambda a, n: a * n)  # a number a tag
     return by_tag.groupBy("qid").agg(product.alias("n_sets"), F.count("*").alias("tags")).filter(F.col("tags") == m).select("qid", "n_sets", (F.col("n_sets") * math.factorial(m)).alias("n_orders"))
 
 

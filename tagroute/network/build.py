@@ -50,7 +50,9 @@ def proximity(spark: SparkSession, sf_dir: str, neighbours: int = 6, block: int
     rows = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     # pairs of blocks: each task holds two blocks, and keeps the nearest of one in the other
     blocks = rows.withColumn("b", F.floor(F.col("vec_id") / block)).groupBy("b").agg(F.collect_list("vec_id").alias("ids"), F.collect_list("embedding").alias("e"))
-    pairs = blocks.select(F.col("b").alias("b1"), F.col("ids").alias("i1"), F.col("e").alias("e1"), F.lit(1).alias("k")).join(blocks.select(F.col("b").alias("b2"), F.col("ids").alias("i2"), F.col("e").alias("e2"), F.lit(1).alias("k")), "k").select("i1", "e1", "i2", "e2")
+    others = rows.select(F.floor(F.col("vec_id") / block).alias("b2")).distinct().agg(F.collect_set("b2").alias("all"))  # one number a block
+    asked = blocks.crossJoin(F.broadcast(others)).select(F.col("ids").alias("i1"), F.col("e").alias("e1"), F.explode("all").alias("b2"))
+    pairs = asked.join(blocks.select(F.col("b").alias("b2"), F.col("ids").alias("i2"), F.col("e").alias("e2")), "b2").select("i1", "e1", "i2", "e2")
 
     def near(batches):
         for pdf in batches:

@@ -17,17 +17,22 @@ def tiles(vertices: DataFrame, side: int = 70) -> DataFrame:
 def kd(vertices: DataFrame, n_s: int = 64) -> DataFrame:
     """Balanced bisection, by turns across x and y, until no cell has more than n_s vertices.
 
-    A level costs one aggregate of exact medians by cell and one join; cells are numbered by the
-    path of halves. Vertices that share the median's coordinate are told apart by their number.
+    Cells are numbered by the path of halves; vertices that share the median's coordinate are told apart by
+    the other one and by their number. A level deals the vertices out by ranges of (cell, key): a vertex' rank in its
+    cell is that within its range, plus what the cell has in earlier ranges (one row a cell and range).
     """
     n = vertices.count()
     now = vertices.select("v", "x", "y", F.lit(1).cast("long").alias("cell"))
     level = 0
     while n > n_s:
-        key = F.struct(*((F.col("x"), F.col("y")) if level % 2 == 0 else (F.col("y"), F.col("x"))), F.col("v"))
-        rank = F.row_number().over(W.partitionBy("cell").orderBy(key))
-        size = F.count("*").over(W.partitionBy("cell"))
-        now = materialize(now.select("v", "x", "y", (F.col("cell") * 2 + (rank > F.ceil(size / 2)).cast("long")).alias("cell")), "kd")
+        key = ("x", "y", "v") if level % 2 == 0 else ("y", "x", "v")
+        dealt = materialize(now.repartitionByRange("cell", *key).withColumn("pid", F.spark_partition_id()), "dealt")
+        counts = dealt.groupBy("cell", "pid").agg(F.count("*").alias("c"))
+        of_cell = W.partitionBy("cell")
+        before = counts.select("cell", "pid", (F.sum("c").over(of_cell.orderBy("pid")) - F.col("c")).alias("before"), F.sum("c").over(of_cell).alias("size"))
+        within = dealt.withColumn("r", F.row_number().over(W.partitionBy("cell", "pid").orderBy(*key)))
+        upper = (F.col("before") + F.col("r") > F.ceil(F.col("size") / 2)).cast("long")
+        now = materialize(within.join(before, ["cell", "pid"]).select("v", "x", "y", (F.col("cell") * 2 + upper).alias("cell")), "kd")
         n, level = -(-n // 2), level + 1
     return now.select("v", "cell")
 

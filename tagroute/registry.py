@@ -93,7 +93,10 @@ register("net_lattice_degree", with_sql("SELECT degree, count(*) AS n FROM (SELE
 register("net_large_lattice", with_sql("SELECT u, v, w FROM big_edges"))(lambda s, d: network.lattice_from_orders(s, d)[1])
 _TRADE = "SELECT least(2 * o_custkey, 2 * l_suppkey + 1) AS u, greatest(2 * o_custkey, 2 * l_suppkey + 1) AS v, CAST(1 + floor(1000 / (1 + count(*))) AS BIGINT) AS w FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_custkey, l_suppkey"
 register("net_trade_edges", _TRADE)(network.trade)
-register("net_proximity_edges")(network.proximity)
+_PROXIMITY = """SELECT u, v, min(w) AS w FROM (SELECT least(a, b) AS u, greatest(a, b) AS v, CAST(ceil(d * 1e6) AS BIGINT) AS w FROM
+  (SELECT a, b, d, row_number() OVER (PARTITION BY a ORDER BY d, b) AS r FROM (SELECT x.vec_id AS a, y.vec_id AS b, list_distance(CAST(x.embedding AS DOUBLE[]), CAST(y.embedding AS DOUBLE[])) AS d FROM embeddings x JOIN embeddings y ON x.vec_id <> y.vec_id) AS p) AS q
+  WHERE r <= 6) AS z GROUP BY u, v"""
+register("net_proximity_edges", _PROXIMITY)(network.proximity)
 register("poi_supplier", with_sql("SELECT poi, v, tag, rating FROM suppliers"))(network.pois_supplier)
 register("poi_customer", with_sql("SELECT poi, v, tag, rating FROM customers"))(network.pois_customer)
 register("poi_part", with_sql("SELECT poi, v, tag, rating FROM parts"))(network.pois_part)
@@ -114,7 +117,7 @@ def net_edge_pois(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @register("poi_snap_nearest", with_sql("""SELECT id, min_by(v, struct_pack(d := d, v := v)) AS v FROM (SELECT s_suppkey AS id, v, (px - x) * (px - x) + (py - y) * (py - y) AS d FROM
-  (SELECT s_suppkey, CAST((s_suppkey * 37) % (10 * wide) AS BIGINT) AS px, CAST((s_suppkey * 91) % (10 * wide) AS BIGINT) AS py FROM supplier, dims) AS p JOIN vertices ON x BETWEEN px - 20 AND px + 20 AND y BETWEEN py - 20 AND py + 20) AS z WHERE d <= 400 GROUP BY id"""))
+  (SELECT s_suppkey, CAST((s_suppkey * 37) % (10 * wide) AS BIGINT) AS px, CAST((s_suppkey * 91) % (10 * wide) AS BIGINT) AS py FROM supplier, dims) AS p CROSS JOIN vertices) AS z GROUP BY id"""))
 def poi_snap_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Places off the network, each at its nearest vertex."""
     d = Data(spark, sf_dir)
@@ -128,7 +131,19 @@ register("scale_factors", with_sql("SELECT w_max, r_max, 1.0 / w_max AS w_factor
 # ------------------------------------------------------------------ partition and index
 
 register("cells_tiles", with_sql("SELECT v, cell FROM cells"))(lambda s, d: Data(s, d).cells)
-register("cells_kd")(lambda s, d: partition.quality(partition.kd(Data(s, d).vertices, 64), Data(s, d).edges))
+
+
+def _kd_sql(n_s: int = 64, levels: int = 24) -> str:
+    """Halves by rank, as many levels as the number of vertices asks for."""
+    parts = {"kd0": "SELECT v, x, y, CAST(1 AS BIGINT) AS cell FROM vertices"}
+    for i in range(levels):
+        by = "x, y, v" if i % 2 == 0 else "y, x, v"
+        parts[f"kd{i + 1}"] = f"SELECT v, x, y, CASE WHEN (SELECT ceil(n / {2**i}) FROM dims) > {n_s} THEN cell * 2 + CASE WHEN row_number() OVER (PARTITION BY cell ORDER BY {by}) > ceil(count(*) OVER (PARTITION BY cell) / 2) THEN 1 ELSE 0 END ELSE cell END AS cell FROM kd{i}"
+    parts["kd_cut"] = f"SELECT e.u, e.v, a.cell AS cu, b.cell AS cv FROM edges e JOIN kd{levels} a ON e.u = a.v JOIN kd{levels} b ON e.v = b.v WHERE a.cell <> b.cell"
+    return with_sql(f"SELECT count(*) AS cells, max(n) AS max_size, round(avg(n), 6) AS mean_size, (SELECT count(*) FROM kd_cut) AS cut_edges, (SELECT count(*) FROM (SELECT cu, u FROM kd_cut UNION SELECT cv, v FROM kd_cut) AS b) AS border_vertices FROM (SELECT cell, count(*) AS n FROM kd{levels} GROUP BY cell) AS g", parts)
+
+
+register("cells_kd", _kd_sql())(lambda s, d: partition.quality(partition.kd(Data(s, d).vertices, 64), Data(s, d).edges))
 register("cells_multilevel")(lambda s, d: partition.quality(partition.multilevel(Data(s, d).edges, 64), Data(s, d).edges))
 register("cells_propagate")(lambda s, d: partition.quality(partition.propagate(Data(s, d).edges, 64), Data(s, d).edges))
 register("cells_quality", with_sql("SELECT count(*) AS cells, max(n) AS max_size, round(avg(n), 6) AS mean_size, (SELECT count(*) FROM cut) AS cut_edges, (SELECT count(*) FROM borders) AS border_vertices FROM (SELECT cell, count(*) AS n FROM cells GROUP BY cell) AS g"))(lambda s, d: partition.quality(Data(s, d).cells, Data(s, d).edges))
@@ -385,13 +400,12 @@ _IDENTICAL = with_sql(_flat_sql(_top_sql("route")), _SAME | _FULL | _routes_sql(
 _IDENTICAL_ORDERS = with_sql(_flat_sql(_top_sql("route", per_set=False)), _SAME | _FULL | _routes_sql("cover", "route"), _SD)
 _IDENTICAL_FIXED = with_sql(_flat_sql(_top_sql("route", per_set=False)), _SAME | _FULL | _routes_sql("cover", "route", fixed=True), _SD)
 _ebs("topk_identical", _IDENTICAL, ratings="identical")
-_ebs("topk_precedence", gold_sql(_flat_sql(_top_sql("(SELECT * FROM route WHERE list_position(pois, members[1]) < list_position(pois, members[2])) AS r")), _FULL | _routes_sql("cover", "route")), precedence="first_two")
 for _flag, _prune in (("no_region", {"cells", "sets", "orders"}), ("no_cells", {"region", "sets", "orders"}), ("no_orders", {"region", "cells", "sets"}), ("no_sets", {"region", "cells", "orders"})):
     _ebs(f"topk_{_flag}", _answers_sql(), prune=frozenset(_prune))
 _ebs("topk_grid_bound", _answers_sql(), lower_bound="grid")
 
 
-@register("topk_precedence", ORACLE_SQL["topk_precedence"])
+@register("topk_precedence", gold_sql(_flat_sql(_top_sql("(SELECT * FROM route WHERE list_position(pois, members[1]) < list_position(pois, members[2])) AS r")), _FULL | _routes_sql("cover", "route")))
 def precedence(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The first tag before the second, the others at will."""
     x = Data(spark, sf_dir)
@@ -411,7 +425,18 @@ _BATCH = {
 }
 _BATCH_SQL = with_sql(_flat_sql(_top_sql("route")), _BATCH, sssp_sql("SELECT DISTINCT v_q AS s FROM logged UNION SELECT DISTINCT v FROM suppliers"))
 register("topk_batch", _BATCH_SQL)(lambda s, d: (lambda x: flat(x.engine().run_batch(x.log())))(Data(s, d)))
-register("route_unfold")(lambda s, d: (lambda x: x.engine().unfold(x.engine().run_batch(x.gold()), x.gold()).select("qid", "rank", F.size("path").alias("vertices"), F.xxhash64("path").alias("path_hash")))(Data(s, d)))
+
+
+@register("route_unfold", gold_sql("SELECT t.qid, t.rank, t.dist AS length, g.v_q AS first, h.v AS last FROM (" + _top_sql("route") + ") AS t JOIN (SELECT DISTINCT qid, v_q FROM gold) AS g ON g.qid = t.qid JOIN (SELECT DISTINCT poi, v FROM hit) AS h ON h.poi = t.pois[4]", _FULL | _routes_sql("cover", "route")))
+def unfolded(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Routes vertex by vertex: where they start and end, and the length of their edges; a step that is no edge would leave its route short."""
+    x = Data(spark, sf_dir)
+    paths = x.engine().unfold(x.engine().run_batch(x.gold()), x.gold())
+    steps = paths.select("qid", "rank", F.explode(F.arrays_zip(F.slice("path", F.lit(1), F.size("path") - 1).alias("u"), F.slice("path", F.lit(2), F.size("path") - 1).alias("v"))).alias("step")).select("qid", "rank", "step.u", "step.v")
+    length = steps.join(x.arcs.groupBy("u", "v").agg(F.min("w").alias("w")), ["u", "v"]).groupBy("qid", "rank").agg(F.sum("w").alias("length"))
+    ends = paths.select("qid", "rank", F.element_at("path", 1).alias("first"), F.element_at("path", -1).alias("last"))
+    return ends.join(length, ["qid", "rank"], "left").select("qid", F.col("rank").cast("long").alias("rank"), F.coalesce("length", F.lit(0).cast("long")).alias("length"), "first", "last")
+
 
 # ------------------------------------------------------------------ baselines
 
@@ -425,7 +450,20 @@ _ebs("base_ordered_astar", with_sql(_flat_sql(_top_sql("route", per_set=False)),
 _ebs("base_budget_labels", gold_sql(_flat_sql(_top_sql("route", k=1, budget=900)), _FULL | _routes_sql("cover", "route", True)), "budget_labels", dest=True, budget=900)
 _ebs("base_budget_labels_nodest", _answers_sql(k=1, budget=900), "budget_labels", budget=900)
 _ebs("base_budget_labels_fixed", _answers_sql(k=1, budget=900, fixed=True), "budget_labels", budget=900, order=True)
-_ebs("base_greedy_nearest", None, "greedy_nearest")
-_ebs("base_greedy_rating", None, "greedy_rating")
+
+
+def _greedy_sql(key: str) -> dict[str, str]:
+    """greedy(qid, score, dist, rating, pois): hop by hop the least POI by a key of (dist, rating), its tag and number, among the tags still open."""
+    parts = {"at0": "SELECT DISTINCT qid, v_q AS at, CAST(0 AS BIGINT) AS dist, CAST(0 AS BIGINT) AS rating, CAST([] AS BIGINT[]) AS pois, CAST([] AS BIGINT[]) AS taken FROM gold"}
+    for i in range(4):
+        parts[f"at{i + 1}"] = f"""SELECT qid, to_v AS at, dist + hop_dist AS dist, CAST(rating + hop_rating AS BIGINT) AS rating, list_append(pois, poi) AS pois, list_append(taken, tag_pos) AS taken FROM (
+          SELECT a.*, h.v AS to_v, h.poi, CAST(h.tag_pos AS BIGINT) AS tag_pos, h.rating AS hop_rating, s.dist AS hop_dist, row_number() OVER (PARTITION BY a.qid ORDER BY {key}, h.tag_pos, h.poi) AS r
+          FROM at{i} a JOIN hit h ON h.qid = a.qid AND NOT list_contains(a.taken, h.tag_pos) JOIN sd s ON s.s = a.at AND s.v = h.v) AS z WHERE r = 1"""
+    return parts | {"greedy": f"SELECT qid, {_score_sql(0.6)} AS score, dist, rating, pois FROM at4"}
+
+
+_NEAREST, _BEST_RATED = "s.dist, -h.rating", "-h.rating, s.dist"
+for _name, _key in (("greedy_nearest", _NEAREST), ("greedy_rating", _BEST_RATED)):
+    _ebs(f"base_{_name}", gold_sql("SELECT qid, CAST(1 AS BIGINT) AS rank, score, dist, rating, array_to_string(pois, '-') AS pois FROM greedy", _greedy_sql(_key)), _name)
 
 from . import registry_more  # noqa: E402, F401

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from . import agent, measures, network, operators, streaming, workloads
 from .query import tables
-from .registry import _BATCH, _LOGGED, _TAGGED, _top_sql, Data, LOG_QUERIES, flat, register
+from .registry import _BATCH, _CLOSED, _LOGGED, _NEAREST, _OVERLAY, _TAGGED, ORACLE_SQL, Data, LOG_QUERIES, _greedy_sql, _top_sql, flat, register
 from .sources import table
 from .sql import sssp_sql, with_sql
 
@@ -19,10 +19,12 @@ register("m_cells", with_sql("SELECT qid, count(DISTINCT cell) AS cells_rn, true
 register("m_sets", with_sql("SELECT qid, CAST(round(exp(sum(ln(n)))) AS BIGINT) AS sets_rn, true AS shrinks FROM (SELECT qid, tag_pos, count(*) AS n FROM hit GROUP BY qid, tag_pos) AS g GROUP BY qid HAVING count(*) = 4", _HIT))(lambda s, d: _STAGED(s, d).filter("sets_rn > 0").select("qid", "sets_rn", ((F.col("sets_sr") <= F.col("sets_rn")) & (F.col("sets_bp") <= F.col("sets_rn"))).alias("shrinks")))
 register("m_orders")(lambda s, d: _STAGED(s, d).select("qid", "orders_sr", "orders_evaluated", (F.col("orders_evaluated") <= F.col("sets_bp") * 24).alias("bounded")))
 register("m_percent")(lambda s, d: measures.percentages(_STAGED(s, d)))
-_BATCH_SQL = with_sql(f"SELECT CAST(count(*) AS BIGINT) AS routes, round(avg(dist), 4) AS dist, round(avg(rating), 4) AS rating, round(avg(score), 4) AS score FROM ({_top_sql('route')}) AS b", _BATCH, sssp_sql("SELECT DISTINCT v_q AS s FROM logged UNION SELECT DISTINCT v FROM suppliers"))
+_BATCH_DISTANCES = sssp_sql("SELECT DISTINCT v_q AS s FROM logged UNION SELECT DISTINCT v FROM suppliers")
+_BATCH_SQL = with_sql(f"SELECT CAST(count(*) AS BIGINT) AS routes, round(avg(dist), 4) AS dist, round(avg(rating), 4) AS rating, round(avg(score), 4) AS score FROM ({_top_sql('route')}) AS b", _BATCH, _BATCH_DISTANCES)
 register("m_effectiveness", _BATCH_SQL)(lambda s, d: (lambda x: measures.effectiveness(x.engine().run_batch(x.log())))(Data(s, d)))
-register("m_gap")(lambda s, d: (lambda x: measures.gap(x.engine().run_batch(x.log(), "greedy_nearest"), x.engine().run_batch(x.log())))(Data(s, d)))
-register("m_index_bytes")(lambda s, d: (lambda x: measures.index_bytes(x.engine().index.shortcuts, x.cells))(Data(s, d)))
+_GAP_SQL = with_sql(f"SELECT g.qid, round(max(t.score) - any_value(g.score), 6) AS gap, bool_or(list_sort(t.pois) = list_sort(g.pois)) AS hit FROM greedy g JOIN ({_top_sql('route')}) AS t ON t.qid = g.qid GROUP BY g.qid", {**_BATCH, **_greedy_sql(_NEAREST)}, _BATCH_DISTANCES)
+register("m_gap", _GAP_SQL)(lambda s, d: (lambda x: measures.gap(x.engine().run_batch(x.log(), "greedy_nearest"), x.engine().run_batch(x.log())))(Data(s, d)))
+register("m_index_bytes", with_sql("SELECT (SELECT count(*) FROM shorts) * 24 AS index_bytes, count(*) * count(*) * 8 AS all_pairs_bytes FROM cells", _OVERLAY, _CLOSED))(lambda s, d: (lambda x: measures.index_bytes(x.engine().index.shortcuts, x.cells))(Data(s, d)))
 
 
 @register("m_scope", """SELECT m, round(3.14 * pow((0.5 * m * 0.5 + 0.5 * diameter) / 0.5, 2) / 1e6 * 100, 6) AS omega_pct, round(3.14 * pow((0.5 * m * 0.5 + diameter) / 0.5, 2) / 1e6 * 100, 6) AS printed_pct
@@ -114,7 +116,7 @@ register("stream_profiles", "SELECT user_id, event_type, count(*) AS n, round(av
 register("stream_dedup", "SELECT event_type, count(*) AS n FROM events GROUP BY event_type")(lambda s, d: streaming.drain(streaming.deduplicated(streaming.events(s, d)).select("event_id", "event_type"), "append").groupBy("event_type").agg(F.count("*").alias("n")))
 
 
-@register("stream_routes")
+@register("stream_routes", ORACLE_SQL["topk_batch"])
 def stream_routes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Queries of the log as a stream of files, answered by micro-batch."""
     import uuid
