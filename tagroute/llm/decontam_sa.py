@@ -7,7 +7,7 @@ vocabulary, and 0 stands for any other word, so a suffix that starts with 0 can
 match nothing and is left out of the array.  Suffixes are compared over their
 first `window` words, as far as a decision needs; matches are then extended.
 
-Test items are sent to the tasks in blocks of a bounded size, one pass a block.
+Test items are sent to the tasks in blocks of a bounded size, several to a pass.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .textblocks import WORD_ALNUM, Words, slice_batches, tidy_map
+from .textblocks import WORD_ALNUM, Words, materialize, slice_batches, tidy_map
 
 _U = np.uint64
 
@@ -92,9 +92,9 @@ def _bound(array: list[np.ndarray], wanted: list[np.ndarray], upper: bool) -> np
 class Shard:
     """The suffix array of a chunk of texts, over the suffixes that test words can meet."""
 
-    def __init__(self, texts: list[bytes], tests: TestSuffixes):
+    def __init__(self, w: Words, tests: TestSuffixes):
         self.tests, window = tests, tests.window
-        self.w = w = Words(texts, WORD_ALNUM, lower=True)
+        self.w = w
         n = len(w)
         self.words = np.append(tests.number(w.hash), np.zeros(window + 1, np.int64)) if len(tests.vocabulary) else np.zeros(n + window + 1, np.int64)
         here = np.flatnonzero(self.words[:n])
@@ -159,8 +159,12 @@ def item_blocks(benchmark: DataFrame, item_col: str, text_col: str, limit: int)
         yield held
 
 
-def _scan(rows: DataFrame, sent, id_type: str, keep_text: bool, last: bool) -> DataFrame:
-    """One pass of one block of test items. Spans of hit words and items add up; the last pass tells their sums."""
+#: Blocks of test items that one pass of the documents looks up; passes after which what was found is written.
+_BLOCKS_A_PASS, _PASSES_A_WRITE = 8, 8
+
+
+def _scan(rows: DataFrame, sent: list, id_type: str, keep_text: bool, last: bool) -> DataFrame:
+    """One pass of some blocks of test items. Spans of hit words and items add up; the last pass tells their sums."""
 
     def sums(n: int, spans: list[int], items: list[str]) -> tuple[int, list[str]]:
         change = np.zeros(n + 1, np.int64)
@@ -169,23 +173,24 @@ def _scan(rows: DataFrame, sent, id_type: str, keep_text: bool, last: bool) -> D
         return int((np.cumsum(change[:-1]) > 0).sum()), sorted(set(items))
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tests = sent.value
         for part, texts in slice_batches(batches, "text"):
-            s = Shard(texts, tests)
-            which, place = s.matches()
-            text, at = s.text[place], s.at[place]
-            size = np.minimum(tests.left[which], tests.window)
-            order = np.argsort(text, kind="stable")
-            cut = np.searchsorted(text[order], np.arange(len(texts) + 1))
-            old_spans, old_items = part.column("spans").to_pylist(), part.column("items").to_pylist()
-            spans, items = [], []
-            for i in range(len(texts)):
-                o = order[cut[i] : cut[i + 1]]
-                begin = at[o] - s.w.first[i]
-                pairs = np.unique(np.stack([begin, begin + size[o]], 1), axis=0) if len(o) else np.zeros((0, 2), np.int64)
-                spans.append(old_spans[i] + pairs.ravel().tolist())
-                items.append(old_items[i] + [str(tests.ids[j]) for j in np.unique(tests.item[which[o]])])
-            n_words = np.diff(s.w.first).tolist()
+            w = Words(texts, WORD_ALNUM, lower=True)
+            spans, items, longest = part.column("spans").to_pylist(), part.column("items").to_pylist(), part.column("longest").to_pylist()
+            for tests in (x.value for x in sent):
+                s = Shard(w, tests)
+                which, place = s.matches()
+                if not len(which):
+                    continue
+                text, at = s.text[place], s.at[place]
+                size, common = np.minimum(tests.left[which], tests.window), s.longest(which, place)
+                order = np.argsort(text, kind="stable")
+                hit, cut = np.unique(text[order], return_index=True)
+                for i, o in zip(hit.tolist(), np.split(order, cut[1:]), strict=True):
+                    begin = at[o] - w.first[i]
+                    spans[i] = spans[i] + np.unique(np.stack([begin, begin + size[o]], 1), axis=0).ravel().tolist()
+                    items[i] = items[i] + [str(tests.ids[j]) for j in np.unique(tests.item[which[o]])]
+                    longest[i] = max(longest[i], int(common[o].max()))
+            n_words = np.diff(w.first).tolist()
             out = {"id": part.column("id")}
             if keep_text or not last:
                 out["text"] = part.column("text")
@@ -194,32 +199,39 @@ def _scan(rows: DataFrame, sent, id_type: str, keep_text: bool, last: bool) -> D
                 out |= {"n_words": pa.array(n_words, pa.int64()), "n_hit": pa.array([h for h, _ in told], pa.int64()), "n_items": pa.array([len(i) for _, i in told], pa.int64()), "items": pa.array([i for _, i in told], pa.list_(pa.string())), "contaminated": pa.array([h > 0 for h, _ in told], pa.bool_())}
             else:
                 out |= {"spans": pa.array(spans, pa.list_(pa.int64())), "items": pa.array(items, pa.list_(pa.string()))}
-            yield pa.record_batch(out)
+            yield pa.record_batch(out | {"longest": pa.array(longest, pa.int64())})
 
     text = ", text string" if keep_text or not last else ""
-    return rows.mapInArrow(tidy_map(each), f"id {id_type}{text}, " + ("n_words long, n_hit long, n_items long, items array<string>, contaminated boolean" if last else "spans array<long>, items array<string>"))
+    found = "n_words long, n_hit long, n_items long, items array<string>, contaminated boolean" if last else "spans array<long>, items array<string>"
+    return rows.mapInArrow(tidy_map(each), f"id {id_type}{text}, {found}, longest long")
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", window: int = 10, block_bytes: int = 2 << 20, keep_text: bool = True) -> DataFrame:
-    """(id[, text], n_words, n_hit, n_items, items, contaminated) of every document.
+    """(id[, text], n_words, n_hit, n_items, items, contaminated, longest) of every document.
 
     Words are runs of ASCII letters, digits and bytes from 0x80 on, with A-Z lower-cased.
     A document word is hit if it lies in any occurrence of `window` successive words of a
     test item, or of a whole item of fewer words.  items: the items with such occurrences,
-    as distinct strings in order.  Items and documents without words hit nothing; a null
-    text has no words, a null item id counts as the string "None".  Repeated rows give
-    repeated results, repeated items count once an id.  An empty benchmark hits nothing.
-    Test items go out in blocks of `block_bytes`; documents are passed once for each block.
+    as distinct strings in order.  longest: words of the longest verbatim match among them, 0 without any.
+    Items and documents without words hit nothing; a null text has no words, a null item id
+    counts as the string "None".  Repeated rows give repeated results, repeated items count
+    once an id.  An empty benchmark hits nothing, an empty table gives an empty result, and
+    columns beside those named are not read.
+    Test items go out in blocks of `block_bytes` (an item that is longer is a block alone), some
+    blocks to each pass of the documents.
     """
     spark = docs.sparkSession
     id_type = docs.schema[id_col].dataType.simpleString()
-    now = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"), F.array().cast("array<long>").alias("spans"), F.array().cast("array<string>").alias("items"))
-    before: list[tuple[object, bytes]] = []
+    none = (F.array().cast("array<long>").alias("spans"), F.array().cast("array<string>").alias("items"), F.lit(0).cast("long").alias("longest"))
+    now = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"), *none)
+    held, passes = [], 0
     for items in item_blocks(benchmark, item_col, item_text, block_bytes):
-        if before:
-            now = _scan(now, spark.sparkContext.broadcast(TestSuffixes(before, window)), id_type, keep_text, False)
-        before = items
-    return _scan(now, spark.sparkContext.broadcast(TestSuffixes(before, window)), id_type, keep_text, True)
+        if len(held) == _BLOCKS_A_PASS:
+            now, held, passes = _scan(now, held, id_type, keep_text, False), [], passes + 1
+            if passes % _PASSES_A_WRITE == 0:
+                now = materialize(now, "contamination")
+        held.append(spark.sparkContext.broadcast(TestSuffixes(items, window)))
+    return _scan(now, held, id_type, keep_text, True)
 
 
 def longest_matches(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", window: int = 10, block_bytes: int = 2 << 20) -> DataFrame:
@@ -233,7 +245,7 @@ def longest_matches(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id
         def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             tests = sent.value
             for part, texts in slice_batches(batches, "text"):
-                s = Shard(texts, tests)
+                s = Shard(Words(texts, WORD_ALNUM, lower=True), tests)
                 which, place = s.matches()
                 size = s.longest(which, place)
                 # maximal: the words before differ, or one of the texts starts here

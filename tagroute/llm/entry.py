@@ -66,9 +66,9 @@ def op8_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_suffix_array_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Per document: words, words in windows of test items, and the items found."""
+    """Per document: words, words in windows of test items, the items found, and the longest match."""
     found = contamination(_documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"), keep_text=False)
-    return found.select(F.col("id").alias("doc_id"), "n_words", "n_hit", "n_items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
+    return found.select(F.col("id").alias("doc_id"), "n_words", "n_hit", "n_items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated", "longest")
 
 
 def op10_sampled_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -185,15 +185,16 @@ def _contamination_sql(window: int = 10) -> str:
     words = f"regexp_extract_all({_LOWER}, '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+')"
     return f"""
 WITH i AS (SELECT CAST(item_id AS VARCHAR) AS item, {words} AS ws FROM benchmark),
-asked AS (SELECT DISTINCT item, least(len(ws), {window}) AS n, {_runs("ws", "p", str(window))} AS words FROM (SELECT item, ws, unnest(range(1, greatest(len(ws) - {window - 2}, 2))) AS p FROM i WHERE len(ws) > 0)),
+asked AS (SELECT item, p AS q, least(len(ws), {window}) AS n, {_runs("ws", "p", str(window))} AS words FROM (SELECT item, ws, unnest(range(1, greatest(len(ws) - {window - 2}, 2))) AS p FROM i WHERE len(ws) > 0)),
 w AS (SELECT doc_id, {words} AS ws FROM documents),
 sizes AS (SELECT DISTINCT n FROM asked),
 starts AS (SELECT doc_id, p, n, {_runs("ws", "p", "n")} AS words FROM (SELECT doc_id, ws, n, unnest(range(1, len(ws) - n + 2)) AS p FROM w, sizes)),
-hits AS (SELECT doc_id, p, starts.n, item FROM starts JOIN asked ON starts.words = asked.words AND starts.n = asked.n),
+hits AS (SELECT doc_id, p, starts.n, item, q FROM starts JOIN asked ON starts.words = asked.words AND starts.n = asked.n),
+matches AS (SELECT doc_id, max(size) AS longest FROM (SELECT doc_id, count(*) + n - 1 AS size FROM (SELECT doc_id, n, item, p - q AS off, p - row_number() OVER (PARTITION BY doc_id, n, item, p - q ORDER BY p) AS run FROM (SELECT DISTINCT * FROM hits)) GROUP BY doc_id, n, item, off, run) GROUP BY doc_id),
 words AS (SELECT doc_id, count(DISTINCT x) AS n_hit FROM (SELECT doc_id, unnest(range(p, p + n)) AS x FROM hits) GROUP BY doc_id),
 items AS (SELECT doc_id, count(DISTINCT item) AS n_items, array_to_string(list_sort(list(DISTINCT item)), ',') AS told FROM hits GROUP BY doc_id)
-SELECT doc_id, len(ws) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(told, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
-FROM w LEFT JOIN words USING (doc_id) LEFT JOIN items USING (doc_id)
+SELECT doc_id, len(ws) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(told, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated, coalesce(longest, 0) AS longest
+FROM w LEFT JOIN words USING (doc_id) LEFT JOIN items USING (doc_id) LEFT JOIN matches USING (doc_id)
 """
 
 

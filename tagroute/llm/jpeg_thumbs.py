@@ -365,7 +365,11 @@ def average_hash(thumbnail: np.ndarray, side: int = 8) -> str:
 
 
 def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, n_bytes, media): each text as UTF-8, padded with spaces to a positive multiple of 192, as JPEG. Null is empty."""
+    """(id, n_bytes, media): each text as UTF-8, padded with spaces to a positive multiple of 192, as JPEG.
+
+    Null is empty; long texts become several pictures, one after the other.  Repeated rows give
+    repeated results, an empty table an empty one; columns beside id and text are not read.
+    """
     id_type = docs.schema[id_col].dataType.simpleString()
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -377,7 +381,10 @@ def store(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
 
 def features(media: DataFrame) -> DataFrame:
-    """(id, n_bytes, media) -> sizes, digests of what is read back and of the stored form, picture sizes and thumbnail hashes."""
+    """(id, n_bytes, media) -> sizes, digests of what is read back and of the stored form, picture sizes and thumbnail hashes.
+
+    Media are those of `store`; null reads as no picture.  Rows repeat as they come, an empty table gives an empty result.
+    """
     id_type = media.schema["id"].dataType.simpleString()
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

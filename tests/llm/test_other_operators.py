@@ -1,4 +1,6 @@
+import hashlib
 import itertools
+import zlib
 
 import numpy as np
 import pytest
@@ -52,6 +54,16 @@ def test_jpeg_columns(spark, make):
     rows = jpeg_thumbs.features(jpeg_thumbs.store(docs)).collect()
     by = {r.id: r for r in rows}
     assert len(rows) == 5 and by[2].payload_bytes == 192 and by[2].payload_sha256 == by[3].payload_sha256 and by[4].n_bytes == 1000 and by[4].payload_bytes == 1152
+    texts = {1: "abc", 2: "", 3: "", 4: "é" * 500, 5: "x y\n" * 30_000}
+    stored = {r.id: r.media for r in jpeg_thumbs.store(make([(i, t or None) for i, t in texts.items()])).collect()}
+    for r in jpeg_thumbs.features(jpeg_thumbs.store(make(list(texts.items())))).collect():
+        raw = texts[r.id].encode()
+        payload = raw + b" " * (-len(raw) % 192 if raw else 192)
+        assert (r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) == (len(raw), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]))
+        assert (r.media_bytes, r.media_sha256) == (len(stored[r.id]), hashlib.sha256(stored[r.id]).hexdigest()) and r.feature
+        assert b"".join(t.tobytes() for _, t in jpeg_thumbs.decode([bytes(stored[r.id])])[0]) == payload
+    good = jpeg_thumbs.thumbnails(spark.createDataFrame([(1, stored[4], "x"), (1, stored[4], "y")], "id long, media binary, width string")).collect()
+    assert len(good) == 2 and good[0].error is None and good[0].width * good[0].height == 64 * 1152 and good[0] == good[1]
     bad = spark.createDataFrame([(1, b"no"), (2, None)], "id long, media binary")
     assert all(r.error for r in jpeg_thumbs.thumbnails(bad).collect())
     assert jpeg_thumbs.features(jpeg_thumbs.store(make([]))).count() == 0

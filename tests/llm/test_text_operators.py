@@ -97,7 +97,7 @@ def test_shingle_components(make, rows):
     assert sorted(got, key=repr) == sorted(expected, key=repr)
 
 
-def test_decontamination(spark, make, rows):
+def test_decontamination(spark, make, rows, monkeypatch):
     items = [(1, " ".join(rows[110][1].split()[22:40])), (2, "ONE, two"), (3, None), (4, ""), (5, "no such words here at all in any document of these"), (2, "one two"), (6, rows[10][1])]
     bench = spark.createDataFrame(items, "item_id long, text string")
     windows = {}
@@ -114,10 +114,14 @@ def test_decontamination(spark, make, rows):
                     hit |= set(range(j, j + len(win)))
                     found |= ids
         expected.append((i, len(w), len(hit), sorted(found), bool(hit)))
-    for block in (2 << 20, 40):  # one block of items, and one an item
+    for block, passes in ((2 << 20, 8), (40, 8), (40, 1)):  # one block of items, one an item, and a pass for each
+        monkeypatch.setattr(decontam_sa, "_BLOCKS_A_PASS", passes)
+        monkeypatch.setattr(decontam_sa, "_PASSES_A_WRITE", passes)
         got = [(r.id, r.n_words, r.n_hit, r["items"], r.contaminated) for r in decontam_sa.contamination(make(rows), bench, block_bytes=block).collect()]
         assert sorted(got, key=repr) == sorted(expected, key=repr)
     assert decontam_sa.contamination(make(rows), bench.limit(0)).filter("contaminated").count() == 0
+    longest = {r.id: r.longest for r in decontam_sa.contamination(make(rows), bench).collect()}
+    assert longest[10] == len(ALNUM.findall(low(rows[10][1]))) and longest[110] == 18 and longest[131] == 0
     whole = decontam_sa.longest_matches(make(rows), bench).filter("id = 10 and item = '6'").collect()
     assert (0, 0) in {(r.doc_word, r.item_word) for r in whole}
 
