@@ -63,7 +63,7 @@ def pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("toxicity", toxicity), ("near_duplicates", near_duplicates), ("decontamination", decontamination), ("secrets", secrets), ("pieces", pieces)]
 
-#: Classifiers, components and sampling are beyond SQL; tests hold the operators, and near_duplicates as a stage, against brute force.
+#: Classifiers and sampling are beyond SQL; a test holds the whole run against plain Python.
 ORACLE_SQL = None
 
 
