@@ -7,6 +7,8 @@ from itertools import permutations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .arrow import geometric_mean, register_orders, score_udf  # noqa: F401
+
 #: Scaling of the lattices: longest edge, best rating, and the ratio of their ranges.
 W_MAX, R_MAX, RATIO = 19, 90, 10
 

@@ -85,7 +85,7 @@ def overlay(closed: DataFrame, border: DataFrame, cross: DataFrame) -> DataFrame
 
 
 def tag_index(pois: DataFrame, cells: DataFrame) -> DataFrame:
-    """(tag, poi, v, cell, rating), the best ratings of a tag first within a file."""
+    """(tag, poi, v, cell, rating)."""
     return pois.join(cells, "v").select("tag", "poi", "v", "cell", "rating")
 
 
@@ -98,5 +98,24 @@ def tag_cell_max(index: DataFrame) -> DataFrame:
 
 
 
+def spread_landmarks(vertices: DataFrame, n: int = 8) -> DataFrame:
+    """(v): n vertices at even steps of a dense numbering."""
+    total = vertices.count()
+    return vertices.select("v").filter(F.col("v").isin([i * total // n for i in range(n)]))
 
-__all__ = ["borders", "closure", "cross_edges", "dijkstra", "inner_arcs", "materialize", "overlay", "tag_cell_max", "tag_index", "tag_max"]
+
+def landmarks(arcs: DataFrame, chosen: DataFrame) -> DataFrame:
+    """(landmark, v, dist) over the whole network."""
+    from ..distance.arrays import sssp
+
+    return sssp(arcs, chosen.select(F.col("v").alias("s"))).withColumnRenamed("s", "landmark")
+
+
+def landmark_bound(pairs: DataFrame, table: DataFrame) -> DataFrame:
+    """pairs (..., a, b) -> their columns and bound: the farthest that the distances from any landmark lie apart."""
+    a = table.select("landmark", F.col("v").alias("a"), F.col("dist").alias("d1"))
+    b = table.select("landmark", F.col("v").alias("b"), F.col("dist").alias("d2"))
+    return pairs.join(a, "a").join(b, ["b", "landmark"]).groupBy(*pairs.columns).agg(F.max(F.abs(F.col("d1") - F.col("d2"))).alias("bound"))
+
+
+__all__ = ["borders", "closure", "cross_edges", "dijkstra", "inner_arcs", "landmark_bound", "landmarks", "materialize", "overlay", "spread_landmarks", "tag_cell_max", "tag_index", "tag_max"]

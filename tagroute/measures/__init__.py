@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -44,6 +44,25 @@ def index_bytes(shortcuts: DataFrame, cells: DataFrame) -> DataFrame:
     return shortcuts.agg((F.count("*") * 24).alias("index_bytes")).crossJoin(cells.agg((F.count("*") * F.count("*") * 8).alias("all_pairs_bytes")))
 
 
+def graph_size(graph: DataFrame, arcs: DataFrame) -> DataFrame:
+    """(qid, graph_arcs, network_arcs): arcs of each query's graph beside those of the network."""
+    return graph.groupBy("qid").agg(F.count("*").alias("graph_arcs")).crossJoin(F.broadcast(arcs.agg(F.count("*").alias("network_arcs"))))  # one row
+
+
+def scope_measured(queries: DataFrame, sd: DataFrame, radius: DataFrame, n: DataFrame) -> DataFrame:
+    """(qid, members, share): vertices within each query's radius, and their percentage of n (one row)."""
+    inside = queries.select("qid", F.col("v_q").alias("s")).join(sd, "s").join(radius.filter("floor is not null").select("qid", "radius"), "qid").filter("dist <= radius")
+    return inside.groupBy("qid").agg(F.count("*").alias("members")).crossJoin(F.broadcast(n)).select("qid", "members", F.round(100.0 * F.col("members") / F.col("n"), 4).alias("share"))
+
+
+def engine(spark: SparkSession, answers: DataFrame) -> DataFrame:
+    """One row: queries answered and routes, as a run observes them, and whether the plan has an exchange."""
+    seen = Observation("batch")
+    answers.observe(seen, F.count_if(F.col("rank") == 1).alias("queries"), F.count(F.lit(1)).alias("routes")).write.format("noop").mode("overwrite").save()
+    spread = "Exchange" in answers._jdf.queryExecution().executedPlan().toString()
+    return spark.createDataFrame([(seen.get["queries"], seen.get["routes"], spread)], "queries long, routes long, spread boolean")
+
+
 def scope_estimate(z: Column, m: int, k: int, n_p: Column, alpha: float, d_tau: float) -> tuple[Column, Column]:
     """Predicted share of the network in the region: derived anew, and by the formula as printed (which lets an alpha drop)."""
     spread = 2.0 * F.pow(F.lit(float(k)), 1.0 / m) / F.sqrt(3.14 * n_p)

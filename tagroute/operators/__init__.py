@@ -44,6 +44,37 @@ def connected(edges: DataFrame, max_rounds: int = 200) -> DataFrame:
     raise RuntimeError("components did not settle")
 
 
+def set_counts(a: DataFrame, b: DataFrame) -> DataFrame:
+    """(kind, n): distinct rows of both, of the first alone, and of any."""
+    kinds = (("both", a.intersect(b)), ("supplier only", a.exceptAll(b).distinct().join(b, a.columns, "left_anti")), ("any", a.union(b).distinct()))
+    counted = [df.agg(F.count("*").alias("n")).select(F.lit(k).alias("kind"), "n") for k, df in kinds]
+    return counted[0].unionByName(counted[1]).unionByName(counted[2])
+
+
+def hash_sample(rows: DataFrame, key: str, share: float) -> DataFrame:
+    """Rows of about a share of the keys: the same ones on every run, and all rows of a key or none."""
+    return rows.filter(F.substring(F.md5(F.col(key).cast("string")), 1, 2) < f"{int(share * 256):02x}")
+
+
+def approximate(pois: DataFrame) -> DataFrame:
+    """(tag, places, close, median_close): distinct vertices, and whether a sketch of them and one of the median rating come near."""
+    exact, sketch = F.count_distinct("v"), F.approx_count_distinct("v", 0.02)
+    median = F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY rating)")
+    return pois.groupBy("tag").agg(exact.alias("places"), (F.abs(sketch - exact) <= 0.1 * exact).alias("close"), (F.abs(F.percentile_approx("rating", 0.5, 10_000) - median) <= 1).alias("median_close"))
+
+
+def k_hop(arcs: DataFrame, start: DataFrame, k: int) -> DataFrame:
+    """(v, hop): vertices within k arcs of the start, by rounds."""
+    from ..plans.rounds import materialize
+
+    seen = front = materialize(start.select(F.col("v").cast("long").alias("v"), F.lit(0).cast("long").alias("hop")), "hops")
+    for _ in range(k):
+        told = arcs.select("u", F.col("v").alias("to")).join(front.select(F.col("v").alias("u"), "hop"), "u").select(F.col("to").alias("v"), (F.col("hop") + 1).alias("hop")).distinct()
+        front = materialize(told.join(seen.select("v"), "v", "left_anti"), "hops")
+        seen = seen.unionByName(front)
+    return seen
+
+
 def rollup_pois(pois: DataFrame, nations: DataFrame, regions: DataFrame) -> DataFrame:
     """POIs and mean ratings by region and nation, with subtotals."""
     named = pois.join(F.broadcast(nations.join(regions, nations.n_regionkey == regions.r_regionkey)), F.col("tag") == F.col("n_name"))

@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..plans.rounds import materialize
 from ..functions import RATIO, R_MAX, W_MAX, line_length, orders_table, reach_radius, route_score
 
 
@@ -142,6 +143,20 @@ def region_fixpoint(near: DataFrame, found: DataFrame, queries: DataFrame, floor
     return at.groupBy("qid").agg(F.max_by(F.struct("d_ub", "tau_u", "n_cells"), F.col("n_cells")).alias("f")).select("qid", F.round("f.d_ub", 4).alias("d_ub"), "f.tau_u", F.col("f.n_cells").cast("long").alias("n_cells"))
 
 
+def region_trace(near: DataFrame, found: DataFrame, start: DataFrame, queries: DataFrame, floor: DataFrame, m: int, steps: int) -> DataFrame:
+    """(qid, step, radius, n_cells, tau): radii of the shrinking rounds, each from the best ratings of the cells within the one before."""
+    best = found.groupBy("qid", "cell").agg(*(F.max(F.when(F.col("tag_pos") == j, F.col("rating"))).alias(f"b{j}") for j in range(m)))
+    cells = materialize(near.join(best, ["qid", "cell"]), "near")
+    now = region_radius(start, queries, floor).filter("floor is not null").join(queries.select("qid", "alpha"), "qid").select("qid", "alpha", "floor", "radius")
+    tau = reduce(lambda a, b: a + b, (F.coalesce(F.max(f"b{j}"), F.lit(0)) for j in range(m)))
+    rounds = []
+    for i in range(steps):
+        inside = materialize(now.join(cells, "qid").filter("near <= radius").groupBy("qid", "alpha", "floor", "radius").agg(tau.cast("long").alias("tau"), F.count("*").alias("n_cells")), "trace")
+        rounds.append(inside.select("qid", F.lit(i).cast("long").alias("step"), F.round("radius", 4).alias("radius"), "n_cells", "tau"))
+        now = inside.select("qid", "alpha", "floor", F.least("radius", reach_radius(F.col("alpha"), F.col("tau"), F.col("floor"))).alias("radius"))
+    return reduce(lambda a, b: a.unionByName(b), rounds)
+
+
 def cell_bounds(near: DataFrame, found: DataFrame, queries: DataFrame, floor: DataFrame, m: int) -> DataFrame:
     """(qid, cell, near, tau_cell, bound, pruned): the best score of a route over any POI of a cell, against the floor."""
     best = found.groupBy("qid", "cell").agg(*(F.max(F.when(F.col("tag_pos") == j, F.col("rating"))).alias(f"b{j}") for j in range(m)))

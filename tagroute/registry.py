@@ -466,4 +466,4 @@ _NEAREST, _BEST_RATED = "s.dist, -h.rating", "-h.rating, s.dist"
 for _name, _key in (("greedy_nearest", _NEAREST), ("greedy_rating", _BEST_RATED)):
     _ebs(f"base_{_name}", gold_sql("SELECT qid, CAST(1 AS BIGINT) AS rank, score, dist, rating, array_to_string(pois, '-') AS pois FROM greedy", _greedy_sql(_key)), _name)
 
-from . import registry_more  # noqa: E402, F401
+from . import registry_more, registry_tools  # noqa: E402, F401

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.rounds import shared_dir
@@ -41,6 +41,28 @@ def clicks_to_purchases(stream: DataFrame, within: str = "1 hour") -> DataFrame:
     return a.join(b, F.expr(f"u1 = u2 AND t2 >= t1 AND t2 <= t1 + interval {within}")).select(F.col("u1").alias("user_id"), "viewed", "bought")
 
 
+def with_pois(stream: DataFrame, pois: DataFrame, poi: Column) -> DataFrame:
+    """Events of POIs by tag: each micro-batch is joined with the static table."""
+    return stream.withColumn("poi", poi).join(pois.select("poi", "tag"), "poi").groupBy("tag", "event_type").agg(F.count("*").alias("n"))
+
+
+def late_counts(spark: SparkSession, folder: str, path: str, late: str = "1 day") -> DataFrame:
+    """One row: events of a folder, a file a batch, and how many lay so far behind the newest event of the batches before.
+
+    What was newest is written by batch, so a batch that is retried counts alike.
+    """
+    rows = spark.readStream.schema(EVENTS).option("recursiveFileLookup", True).option("maxFilesPerTrigger", 1).parquet(folder)
+
+    def count(batch: DataFrame, number: int) -> None:
+        before = spark.read.schema("newest timestamp_ntz").parquet(f"{path}/newest/{number - 1}").first()[0] if number else None
+        behind = F.lit(False) if before is None else F.col("ts") < F.lit(before) - F.expr(f"interval {late}")
+        batch.agg(F.count("*").alias("n"), F.count_if(behind).alias("late")).write.mode("overwrite").parquet(f"{path}/counts/batch={number}")
+        batch.agg(F.greatest(F.max("ts"), F.lit(before).cast("timestamp_ntz")).alias("newest")).coalesce(1).write.mode("overwrite").parquet(f"{path}/newest/{number}")
+
+    rows.writeStream.foreachBatch(count).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema("n long, late long, batch int").parquet(f"{path}/counts").agg(F.sum("n").alias("n"), F.sum("late").alias("late"))
+
+
 def profiles(stream: DataFrame) -> DataFrame:
     """Running preference of each user by type, kept as state with Arrow batches: (user_id, event_type, n, mean_value)."""
     import pandas as pd
@@ -66,7 +88,7 @@ def drain(result: DataFrame, mode: str = "complete") -> DataFrame:
 
     q = result.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.read.schema(result.schema).parquet(f"{base}/out/{'last' if mode == 'complete' else ''}")
+    return spark.read.schema(result.schema).parquet(f"{base}/out/{'last' if mode == 'complete' else ''}").select(*result.columns)
 
 
 def routes(stream_queries: DataFrame, engine: Engine, path: str):

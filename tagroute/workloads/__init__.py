@@ -118,6 +118,30 @@ def best_of(engine: Engine, log, methods: tuple[str, ...], alpha: float) -> Data
     return _union([measures.effectiveness(engine.run_batch(log(M, K, alpha), m).filter("rank = 1").withColumn("method", F.lit(m)), "method") for m in methods])
 
 
+def small_network(engine: Engine, rows: int = 22, step: int = 10) -> Engine:
+    """The first rows of a lattice with what lies on them, as a network of its own."""
+    ix = engine.index
+    v = materialize(ix.vertices.filter(F.col("y") < rows * step), "small")
+    kept = v.select("v")
+    edges = ix.edges.join(kept.withColumnRenamed("v", "u"), "u", "left_semi").join(kept, "v", "left_semi")
+    return Engine.build(v, edges, ix.pois.join(kept, "v", "left_semi"), ix.cells.join(kept, "v", "left_semi"), limit=engine.limit)
+
+
+def model_vs_agent(engine: Engine, queries: DataFrame, methods: tuple[str, ...] = ("ebs", "greedy_nearest", "greedy_rating")) -> DataFrame:
+    """Mean score and time of the search as an agent's tool and of two stand-ins for a model that picks places by itself, over the queries that have an answer."""
+    rows = []
+    for m in methods:
+        found = engine.run_batch(queries, m).filter("rank = 1").agg(F.count("*").alias("answered"), F.round(F.avg("score"), 4).alias("score"), F.round(F.avg("dist"), 4).alias("dist"), F.round(F.avg("rating"), 4).alias("rating"))
+        took = engine.counters(queries, m).agg(F.round(F.avg("seconds") * 1000, 3).alias("ms"))
+        rows.append(found.crossJoin(took).select(F.lit(m).alias("method"), "*"))
+    return _union(rows)
+
+
+def remaining(layers: dict[str, tuple[Engine, DataFrame]]) -> DataFrame:
+    """Shares of cells, cover sets and orders that remain, by layer of POIs."""
+    return _union([measures.percentages(measures.stages(e.counters(q))).select(F.lit(name).alias("layer"), "*") for name, (e, q) in layers.items()])
+
+
 def effectiveness(engine: Engine, log, alpha: float = 0.8) -> DataFrame:
     """Mean distance, rating and score of the routes of each method, by parameter: k and m at alpha, and alpha itself."""
     rows = []
