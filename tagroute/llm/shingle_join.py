@@ -39,21 +39,35 @@ _BITS = 48
 _U = np.uint64
 
 
-def shingle_sets(texts: list[bytes], k: int) -> list[np.ndarray]:
-    """Sorted distinct 48-bit hashes of each text's k-word shingles (A-Z lower-cased, words by ASCII white space)."""
+#: Counts of sets that hold a shingle go up to this; above it, it is just frequent.
+_OFTEN = 64
+
+
+def _whole_sets(texts: list[bytes], k: int) -> list[np.ndarray]:
+    """Sorted distinct 64-bit hashes of each text's k-word shingles (A-Z lower-cased, words by ASCII white space)."""
     w = Words(texts, WORD_BY_SPACE, lower=True)
-    runs = w.runs(k) >> _U(64 - _BITS)
-    out = []
+    runs, out = w.runs(k), []
     for a, b in zip(w.first[:-1].tolist(), w.first[1:].tolist(), strict=True):
         if b - a >= k:
             out.append(np.unique(runs[a : b - k + 1]))
         elif b > a:
-            out.append(w.spans(np.array([a]), np.array([b - a])) >> _U(64 - _BITS))
+            out.append(w.spans(np.array([a]), np.array([b - a])))
         else:
             out.append(np.zeros(0, np.uint64))
     return out
 
 
+def _shortened(whole: np.ndarray) -> np.ndarray:
+    """The same in 48 bits."""
+    s = whole >> _U(64 - _BITS)
+    return s[np.concatenate((np.ones(min(1, len(s)), bool), s[1:] != s[:-1]))]
+
+
+def shingle_sets(texts: list[bytes], k: int) -> list[np.ndarray]:
+    """Sorted distinct 48-bit hashes of each text's shingles."""
+    return [_shortened(s) for s in _whole_sets(texts, k)]
+
+
 def _signature(s: np.ndarray) -> int:
     """A set's identity: positive 63 bits, 0 for the empty set."""
     if not len(s):
@@ -69,28 +83,41 @@ def members(docs: DataFrame, id_col: str, text_col: str, k: int) -> DataFrame:
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, texts in slice_batches(batches, "text"):
-            sets = shingle_sets(texts, k)
-            yield pa.record_batch({"id": part.column("id"), "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "rid": pa.array([_signature(s) for s in sets], pa.int64())})
+            sets = _whole_sets(texts, k)
+            yield pa.record_batch({"id": part.column("id"), "n_shingles": pa.array([len(s) for s in sets], pa.int64()), "rid": pa.array([_signature(_shortened(s)) for s in sets], pa.int64())})
 
     return docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy_map(each), f"id {id_type}, n_shingles long, rid long")
 
 
 def _census_blocks(docs: DataFrame, text_col: str, k: int, parts: int, hold: int = 1_500_000) -> DataFrame:
-    """(part, block): shingle hashes by hash range with the sets that hold them; a set is told once a task's chunk."""
+    """(part, done, block, sets): shingle hashes by hash range with the sets that hold them; a set is told once a task's chunk.
+
+    A shingle that _OFTEN sets of a chunk hold is known to be frequent: its sets are told so at once (done, by ranges
+    of sets), and one entry with that count goes to its range, so that no range has to hold all sets of a common line.
+    """
 
     def flush(held: dict[int, np.ndarray]) -> pa.RecordBatch:
         rids = np.fromiter(held, np.uint64, len(held))
         sizes = np.array([len(s) for s in held.values()], np.uint64)
         keys, owner = np.concatenate(list(held.values())), np.repeat(np.arange(len(rids), dtype=np.uint32), sizes.astype(np.int64))
-        order, cut = by_range(keys, _BITS, parts)
+        order = np.argsort(keys, kind="stable")
         keys, owner = keys[order], owner[order]
-        rows = []
+        start = np.flatnonzero(np.concatenate((np.ones(min(1, len(keys)), bool), keys[1:] != keys[:-1])))
+        times = np.diff(np.append(start, len(keys)))
+        often = np.repeat(times >= _OFTEN, times)
+        rows = _by_set(keys[often] << _U(8) | _U(_OFTEN), owner[often], rids, sizes, parts)
+        one = np.zeros(len(keys), bool)
+        one[start] = True
+        weight = np.where(often, _OFTEN, 1).astype(np.uint64)
+        keys, owner, weight = keys[~often | one], owner[~often | one], weight[~often | one]
+        order, cut = by_range(keys, _BITS, parts)
+        keys, owner, weight = keys[order], owner[order], weight[order]
         for p in range(parts):
             a, b = cut[p], cut[p + 1]
             if a < b:
                 used, place = np.unique(owner[a:b], return_inverse=True)
-                rows.append((p, pack(delta(keys[a:b]), place), pack(rids[used], sizes[used])))
-        return pa.record_batch({"part": pa.array([r[0] for r in rows], pa.int32()), "block": pa.array([r[1] for r in rows], pa.binary()), "sets": pa.array([r[2] for r in rows], pa.binary())})
+                rows.append((p, False, pack(rids[used], sizes[used]), pack(delta(keys[a:b]), place, weight[a:b])))
+        return pa.record_batch({"part": pa.array([r[0] for r in rows], pa.int32()), "done": pa.array([r[1] for r in rows], pa.bool_()), "sets": pa.array([r[2] for r in rows], pa.binary()), "block": pa.array([r[3] for r in rows], pa.binary())})
 
     def each(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, total = {}, 0
@@ -105,49 +132,61 @@ def _census_blocks(docs: DataFrame, text_col: str, k: int, parts: int, hold: int
         if held:
             yield flush(held)
 
-    return docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(tidy_map(each), "part int, block binary, sets binary")
+    return docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(tidy_map(each), "part int, done boolean, sets binary, block binary")
+
+
+def _by_set(tokens: np.ndarray, owner: np.ndarray, rid: np.ndarray, size: np.ndarray, parts: int) -> list[tuple[int, bool, bytes, bytes]]:
+    """Tokens on their way back to their sets."""
+    order = np.lexsort((tokens, owner))
+    tokens, owner = tokens[order], owner[order]
+    to = (rid % _U(parts)).astype(np.int32)[owner]
+    rows = []
+    for p in np.unique(to).tolist():
+        mine = to == p
+        who, place = np.unique(owner[mine], return_inverse=True)
+        rows.append((p, True, pack(rid[who], size[who]), pack(delta(place.astype(np.uint64)), tokens[mine])))
+    return rows
 
 
 def _census(blocks: DataFrame, parts: int) -> DataFrame:
-    """(part, sets, block): shingles that several sets hold, by ranges of sets; a token is hash << 8 | min(count, 255)."""
+    """(part, sets, block): shingles that several sets hold, by ranges of sets; a token is hash << 8 | min(count, _OFTEN)."""
 
     def count(table: pa.Table) -> pa.Table:
-        keys, owner, rids, sizes, base = [], [], [], [], 0
-        for block, sets in zip(table.column("block").to_pylist(), table.column("sets").to_pylist(), strict=True):
-            gaps, place = unpack(block)
+        keys, owner, weight, rids, sizes, base, rows = [], [], [], [], [], 0, []
+        for i in range(table.num_rows):
+            block, sets = table.column("block")[i].as_py(), table.column("sets")[i].as_py()
+            if table.column("done")[i].as_py():
+                rows.append((table.column("part")[i].as_py(), sets, block))
+                continue
+            gaps, place, w = unpack(block)
             rid, size = unpack(sets)
             keys.append(undelta(gaps))
             owner.append(place.astype(np.uint32) + np.uint32(base))
+            weight.append(w.astype(np.uint8))
             rids.append(rid)
             sizes.append(size)
             base += len(rid)
-        rid, known = np.unique(np.concatenate(rids), return_inverse=True)
-        size = np.zeros(len(rid), np.uint64)
-        size[known] = np.concatenate(sizes)
-        keys, owner = np.concatenate(keys), known.astype(np.uint32)[np.concatenate(owner)]
-        order = np.argsort(keys, kind="stable")
-        keys, owner = keys[order], owner[order]
-        # a hash that only one entry has is out at once; of the rest, one set counts once
-        same = keys[1:] == keys[:-1]
-        many = np.concatenate((same, [False])) | np.concatenate(([False], same))
-        keys, owner = keys[many], owner[many]
-        order = np.lexsort((owner, keys))
-        keys, owner = keys[order], owner[order]
-        fresh = np.concatenate((np.ones(min(1, len(keys)), bool), (keys[1:] != keys[:-1]) | (owner[1:] != owner[:-1])))
-        keys, owner = keys[fresh], owner[fresh]
-        start = np.flatnonzero(np.concatenate((np.ones(min(1, len(keys)), bool), keys[1:] != keys[:-1])))
-        times = np.diff(np.append(start, len(keys)))
-        each = np.repeat(times, times)
-        keep = each > 1
-        tokens, owner = (keys[keep] << _U(8)) | np.minimum(each[keep], 255).astype(np.uint64), owner[keep]
-        order = np.lexsort((tokens, owner))
-        tokens, owner = tokens[order], owner[order]
-        to = (rid % _U(parts)).astype(np.int32)[owner]
-        rows = []
-        for p in np.unique(to).tolist():
-            mine = to == p
-            who, place = np.unique(owner[mine], return_inverse=True)
-            rows.append((p, pack(rid[who], size[who]), pack(delta(place.astype(np.uint64)), tokens[mine])))
+        if keys:
+            rid, known = np.unique(np.concatenate(rids), return_inverse=True)
+            size = np.zeros(len(rid), np.uint64)
+            size[known] = np.concatenate(sizes)
+            keys, owner, weight = np.concatenate(keys), known.astype(np.uint32)[np.concatenate(owner)], np.concatenate(weight)
+            order = np.argsort(keys, kind="stable")
+            keys, owner, weight = keys[order], owner[order], weight[order]
+            # a hash that only one entry has is out at once, unless that stands for many; of the rest, one set counts once
+            same = keys[1:] == keys[:-1]
+            many = np.concatenate((same, [False])) | np.concatenate(([False], same)) | (weight > 1)
+            keys, owner, weight = keys[many], owner[many], weight[many]
+            order = np.lexsort((-weight.astype(np.int16), owner, keys))
+            keys, owner, weight = keys[order], owner[order], weight[order]
+            fresh = np.concatenate((np.ones(min(1, len(keys)), bool), (keys[1:] != keys[:-1]) | (owner[1:] != owner[:-1])))
+            keys, owner, weight = keys[fresh], owner[fresh], weight[fresh]
+            start = np.flatnonzero(np.concatenate((np.ones(min(1, len(keys)), bool), keys[1:] != keys[:-1])))
+            times = np.diff(np.append(start, len(keys)))
+            # sets that are told at once are at least as many as one entry stands for
+            total = np.repeat(np.minimum(np.add.reduceat(weight.astype(np.int64), start) if len(start) else times, _OFTEN), times)
+            keep = total > 1
+            rows += [(p, sets, block) for p, _, sets, block in _by_set((keys[keep] << _U(8)) | total[keep].astype(np.uint64), owner[keep], rid, size, parts)]
         return pa.table({"part": pa.array([r[0] for r in rows], pa.int32()), "sets": pa.array([r[1] for r in rows], pa.binary()), "block": pa.array([r[2] for r in rows], pa.binary())})
 
     return blocks.groupBy("part").applyInArrow(tidy_group(count), "part int, sets binary, block binary")
@@ -170,25 +209,32 @@ def _eligible(census: DataFrame, percent: int) -> DataFrame:
         size = np.zeros(len(rid), np.int64)
         size[known] = np.concatenate(sizes)
         owner, tokens = known[np.concatenate(owner)], np.concatenate(tokens)
+        order = np.lexsort((tokens, owner))
+        owner, tokens = owner[order], tokens[order]
+        # a set may hear of a frequent shingle more than once
+        fresh = np.concatenate((np.ones(min(1, len(owner)), bool), (owner[1:] != owner[:-1]) | (tokens[1:] != tokens[:-1])))
+        owner, tokens = owner[fresh], tokens[fresh]
         shared = np.bincount(owner, minlength=len(rid))
         fit = shared * 100 >= percent * size
         keep = fit[owner]
         owner, tokens = owner[keep], tokens[keep]
-        order = np.argsort(owner, kind="stable")
-        owner, tokens = owner[order], tokens[order]
         who = np.flatnonzero(fit)
         cut = np.searchsorted(owner, np.append(who, len(rid))).tolist()
         return pa.table({
             "rid": pa.array(rid[who].astype(np.int64)), "n": pa.array(size[who].astype(np.int32)), "shared": pa.array(shared[who].astype(np.int32)),
-            "tokens": pa.array([tokens[a:b].tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary()),
+            "tokens": pa.array([pack(delta(tokens[a:b])) for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary()),
         })
 
     return census.groupBy("part").applyInArrow(tidy_group(gather), "rid long, n int, shared int, tokens binary")
 
 
+def _tokens(blob: bytes) -> np.ndarray:
+    return undelta(unpack(blob)[0])
+
+
 def _ordered(tokens: bytes) -> np.ndarray:
     """A set's shared tokens, rarest first, then by hash."""
-    t = np.frombuffer(tokens, np.uint64)
+    t = _tokens(tokens)
     return t[np.lexsort((t, t & _U(255)))]
 
 
@@ -334,7 +380,7 @@ def _verified(pairs: DataFrame, eligible: DataFrame, percent: int) -> DataFrame:
             keep = []
             t1, t2 = b.column("t1").to_pylist(), b.column("t2").to_pylist()
             for i, (n1, n2) in enumerate(zip(b.column("n1").to_pylist(), b.column("n2").to_pylist(), strict=True)):
-                both = np.sort(np.concatenate((np.frombuffer(t1[i], np.uint64), np.frombuffer(t2[i], np.uint64))))
+                both = np.sort(np.concatenate((_tokens(t1[i]), _tokens(t2[i]))))
                 common = int((both[1:] == both[:-1]).sum())
                 keep.append(100 * common >= percent * (n1 + n2 - common))
             yield pa.record_batch([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))

@@ -71,7 +71,9 @@ def test_subtrees():
     assert not len(suffix_dedup.Subtrees(np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)).deep(2))
 
 
-def test_shingle_components(make, rows):
+@pytest.mark.parametrize("often", [64, 5])
+def test_shingle_components(make, rows, monkeypatch, often):
+    monkeypatch.setattr(shingle_join, "_OFTEN", often)
     sets = []
     for i, t in rows:
         w = SPACE.findall(low(t))
