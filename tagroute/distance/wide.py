@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.rounds import materialize
+from ..plans.rounds import discard, materialize
 
 
 def sssp_wide(closed: DataFrame, cross: DataFrame, cells: DataFrame, sources: DataFrame, limit: int | None = None, max_rounds: int = 10_000) -> DataFrame:
@@ -30,7 +30,9 @@ def sssp_wide(closed: DataFrame, cross: DataFrame, cells: DataFrame, sources: Da
         better = materialize(better, "front")
         if better.isEmpty():
             return known
+        before = known
         known = materialize(known.unionByName(better).groupBy("s", "v").agg(F.min("dist").alias("dist")), "reached")
+        discard(before, *([front] if front is not before else []))
         front = better
     raise RuntimeError("distances did not settle")
 

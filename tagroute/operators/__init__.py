@@ -27,7 +27,7 @@ def interval_join(left: DataFrame, right: DataFrame, on: str, left_time: str, ri
 
 def connected(edges: DataFrame, max_rounds: int = 200) -> DataFrame:
     """(v, root): the least vertex of each vertex' component, by rounds of least labels and pointer jumps."""
-    from ..plans.rounds import materialize
+    from ..plans.rounds import discard, materialize
 
     both = materialize(edges.select("u", "v").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"))), "both")
     now = materialize(both.groupBy(F.col("u").alias("v")).agg(F.least(F.min("v"), F.first("u")).alias("root")), "roots")
@@ -38,7 +38,10 @@ def connected(edges: DataFrame, max_rounds: int = 200) -> DataFrame:
         hooks = better.groupBy(F.col("root").alias("h")).agg(F.min("r").alias("hr"))
         nxt = better.join(hooks, better["r"] == hooks["h"], "left").select("v", F.least("r", F.coalesce("hr", "r")).alias("root"))
         nxt = materialize(nxt, "roots")
-        if nxt.join(now.withColumnRenamed("root", "old"), "v").filter("root <> old").isEmpty():
+        settled = nxt.join(now.withColumnRenamed("root", "old"), "v").filter("root <> old").isEmpty()
+        discard(now)
+        if settled:
+            discard(both)
             return nxt
         now = nxt
     raise RuntimeError("components did not settle")

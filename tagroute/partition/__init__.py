@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..plans.rounds import materialize
+from ..plans.rounds import discard, materialize
 
 
 def tiles(vertices: DataFrame, side: int = 70) -> DataFrame:
@@ -32,7 +32,8 @@ def kd(vertices: DataFrame, n_s: int = 64) -> DataFrame:
         before = counts.select("cell", "pid", (F.sum("c").over(of_cell.orderBy("pid")) - F.col("c")).alias("before"), F.sum("c").over(of_cell).alias("size"))
         within = dealt.withColumn("r", F.row_number().over(W.partitionBy("cell", "pid").orderBy(*key)))
         upper = (F.col("before") + F.col("r") > F.ceil(F.col("size") / 2)).cast("long")
-        now = materialize(within.join(before, ["cell", "pid"]).select("v", "x", "y", (F.col("cell") * 2 + upper).alias("cell")), "kd")
+        last, now = now, materialize(within.join(before, ["cell", "pid"]).select("v", "x", "y", (F.col("cell") * 2 + upper).alias("cell")), "kd")
+        discard(dealt, last)
         n, level = -(-n // 2), level + 1
     return now.select("v", "cell")
 

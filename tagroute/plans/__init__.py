@@ -1,6 +1,6 @@
 """How plans are cut, bounded and chosen."""
 
 from .mode import choose_mode
-from .rounds import materialize
+from .rounds import discard, materialize
 
-__all__ = ["choose_mode", "materialize"]
+__all__ = ["choose_mode", "discard", "materialize"]
