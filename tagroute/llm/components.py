@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textblocks import materialize
+from .textblocks import discard, materialize
 
 
 def _toward_least(edges: DataFrame, larger_only: bool) -> DataFrame:
@@ -30,7 +30,8 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     now = materialize(edges.select("a", "b").filter("a <> b").distinct(), "links")
     seen = None
     for _ in range(max_rounds):
-        now = materialize(_toward_least(_toward_least(now, True), False), "links")
+        last, now = now, materialize(_toward_least(_toward_least(now, True), False), "links")
+        discard(last)
         n, total, spread = now.agg(F.count("*"), F.sum(F.hash("a", "b").cast("decimal(38,0)")), F.max(F.hash("b", "a"))).first()
         if (n, total, spread) == seen:
             return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())

@@ -33,7 +33,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .textblocks import WORD_BY_SPACE, Words, by_range, delta, materialize, mix, pack, shuffle_parts, slice_batches, undelta, unpack, tidy_group, tidy_map
+from .textblocks import WORD_BY_SPACE, Words, by_range, delta, discard, materialize, mix, pack, shuffle_parts, slice_batches, undelta, unpack, tidy_group, tidy_map
 
 _BITS = 48
 _U = np.uint64
@@ -408,6 +408,7 @@ def shingle_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     alone = eligible.withColumn("root", F.col("rid"))
     stars = materialize(_verified(_pairs(_index(alone, percent, rare, long, index_parts, False), percent, False), eligible, percent), "stars")
     first = connected_components(stars)
+    discard(stars)
     joined = eligible.join(first.withColumnRenamed("node", "rid"), "rid", "left").withColumn("root", F.coalesce("root", "rid"))
     rest = _verified(_pairs(_index(joined, percent, rare, long, index_parts, True), percent, True), eligible, percent)
     links = materialize(first.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(rest), "found")

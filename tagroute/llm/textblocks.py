@@ -9,7 +9,6 @@ blocks: a Spark row then holds thousands of entries, as byte planes under zstd.
 from __future__ import annotations
 
 import ctypes
-import uuid
 from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
@@ -17,6 +16,9 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
 
+from ..plans.rounds import discard, shared_dir
+from ..plans.rounds import materialize as written
+
 _U = np.uint64
 _RNG = np.random.default_rng(20240607)
 _BYTE = _RNG.integers(1, 2**63, 256, dtype=np.uint64) * _U(2) + _U(1)
@@ -178,22 +180,9 @@ def by_range(keys: np.ndarray, bits: int, parts: int) -> tuple[np.ndarray, np.nd
     return order, np.concatenate(([0], np.searchsorted(keys[order], limits), [len(keys)]))
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors see; one of our own only where the session names none."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        import tempfile
-
-        found = tempfile.mkdtemp(prefix="tagroute-")
-        spark.sparkContext.setCheckpointDir(found)
-    return found
-
-
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Cut the lineage: write to the shared folder and read again."""
-    path = f"{shared_dir(df.sparkSession).rstrip('/')}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return written(df, name, compression="zstd")
 
 
 def shuffle_parts(spark: SparkSession) -> int:
@@ -253,6 +242,6 @@ def tidy_group(f: Callable[[pa.Table], pa.Table]) -> Callable:
 
 
 __all__ = [
-    "SPACE", "WORD_ALNUM", "WORD_BY_SPACE", "WORD_LETTERS", "Words", "as_bytes", "by_range", "chunks", "delta", "materialize", "mix", "pack",
+    "SPACE", "WORD_ALNUM", "WORD_BY_SPACE", "WORD_LETTERS", "Words", "as_bytes", "by_range", "chunks", "delta", "discard", "materialize", "mix", "pack",
     "shared_dir", "shuffle_parts", "slice_batches", "tidy_group", "tidy_map", "undelta", "unpack",
 ]
