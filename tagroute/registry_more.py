@@ -46,7 +46,7 @@ def cost(spark: SparkSession, sf_dir: str) -> DataFrame:
     staged = _STAGED(spark, sf_dir).filter("sets_rn > 0")
     size = x.vertices.agg(F.count("*").alias("n_v")).crossJoin(x.edges.agg(F.count("*").alias("n_e")))
     at = staged.crossJoin(F.broadcast(size)).withColumn("n_p", F.pow(F.col("sets_rn"), 0.25))
-    omega, beta, gamma = F.col("cells_sr") / F.col("cells_rn"), F.lit(1.0), F.col("orders_evaluated") / F.greatest(F.lit(1), F.col("sets_bp") * 24)
+    omega, beta, gamma = F.col("cells_sr") / F.col("cells_rn"), F.col("sets_bp") / F.greatest(F.lit(1), F.col("sets_sr")), F.col("orders_evaluated") / F.greatest(F.lit(1), F.col("sets_bp") * 24)
     return at.select("qid", F.round(measures.cost_model(F.col("n_v"), F.col("n_e"), omega, beta, F.col("n_p"), gamma, 4), 2).alias("predicted"), "settled", "orders_evaluated")
 
 
