@@ -89,7 +89,7 @@ def members(docs: DataFrame, id_col: str, text_col: str, k: int) -> DataFrame:
     return docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy_map(each), f"id {id_type}, n_shingles long, rid long")
 
 
-def _census_blocks(docs: DataFrame, text_col: str, k: int, parts: int, hold: int = 1_500_000) -> DataFrame:
+def _census_blocks(docs: DataFrame, text_col: str, k: int, parts: int, hold: int = 800_000) -> DataFrame:
     """(part, done, block, sets): shingle hashes by hash range with the sets that hold them; a set is told once a task's chunk.
 
     A shingle that _OFTEN sets of a chunk hold is known to be frequent: its sets are told so at once (done, by ranges
@@ -245,7 +245,7 @@ def _outline(t: np.ndarray) -> np.ndarray:
     return np.packbits(on).view(np.uint64)
 
 
-def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int, outlines: bool, hold: int = 1_500_000) -> DataFrame:
+def _index(eligible: DataFrame, percent: int, rare: int, long: int, parts: int, outlines: bool, hold: int = 800_000) -> DataFrame:
     """(part, block, sets): the index entries of eligible sets. sets: rid, n, shared, component, and outlines if asked for."""
 
     def entries(n: int, shared: int, t: np.ndarray) -> np.ndarray:
@@ -360,7 +360,7 @@ def _pairs(index: DataFrame, percent: int, rest: bool) -> DataFrame:
                 for x, y in of_bucket(owner[a:b], rid, root):
                     held.append((x, y))
                     waiting += len(x)
-                    if waiting > 200_000:
+                    if waiting > 50_000:
                         gather()
                         waiting = 0
         gather()
