@@ -51,3 +51,11 @@ def test_components_of_a_cut_network(spark):
     edges = spark.createDataFrame([(0, 1), (1, 2), (5, 6), (8, 7), (7, 5)], "u long, v long")
     got = {r.v: r.root for r in operators.connected(edges).collect()}
     assert got == {0: 0, 1: 0, 2: 0, 5: 5, 6: 5, 7: 5, 8: 5}
+
+
+def test_components_of_a_long_way_settle_in_few_rounds(spark):
+    """A path of 3,000 vertices in no order, a loop alone, and parallel edges."""
+    at = [v * 1237 % 3001 for v in range(3001)]
+    edges = [*zip(at, at[1:]), (5000, 5000), (5001, 5002), (5002, 5001)]
+    got = {r.v: r.root for r in operators.connected(spark.createDataFrame(edges, "u long, v long"), max_rounds=14).collect()}
+    assert got == {v: 0 for v in at} | {5000: 5000, 5001: 5001, 5002: 5001}
