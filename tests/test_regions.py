@@ -47,3 +47,7 @@ def test_parts_that_do_not_fit_are_refused(engines, asked):
 def test_budget_that_ends_before_the_destination(engines, asked, monkeypatch):
     """No answer is an answer: the destination lies outside the part that the budget allows."""
     assert regions.run_regions(engines[1].index, asked, "budget_labels", {"budget": 20, "dest": 1990}).count() == engines[0].run(asked, "budget_labels", budget=20, dest=1990).count()
+
+
+def test_budget_labels_fixed(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "budget_labels", budget=60, order=True)
