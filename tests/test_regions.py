@@ -51,3 +51,7 @@ def test_budget_that_ends_before_the_destination(engines, asked, monkeypatch):
 
 def test_budget_labels_fixed(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "budget_labels", budget=60, order=True)
+
+
+def test_budget_labels(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "budget_labels", budget=60)
