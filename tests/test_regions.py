@@ -55,3 +55,7 @@ def test_budget_labels_fixed(engines, asked, monkeypatch):
 
 def test_budget_labels(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "budget_labels", budget=60)
+
+
+def test_dominance(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "dominance", ratings="identical", route_scope="all_orders")
