@@ -59,3 +59,7 @@ def test_budget_labels(engines, asked, monkeypatch):
 
 def test_dominance(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "dominance", ratings="identical", route_scope="all_orders")
+
+
+def test_dominance_fixed(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "dominance", ratings="identical", order=True)
