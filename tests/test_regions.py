@@ -63,3 +63,7 @@ def test_dominance(engines, asked, monkeypatch):
 
 def test_dominance_fixed(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "dominance", ratings="identical", order=True)
+
+
+def test_greedy_nearest(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "greedy_nearest")
