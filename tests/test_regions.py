@@ -67,3 +67,7 @@ def test_dominance_fixed(engines, asked, monkeypatch):
 
 def test_greedy_nearest(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "greedy_nearest")
+
+
+def test_greedy_rating(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "greedy_rating", parts=False)
