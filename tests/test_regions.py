@@ -71,3 +71,7 @@ def test_greedy_nearest(engines, asked, monkeypatch):
 
 def test_greedy_rating(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "greedy_rating", parts=False)
+
+
+def test_ordered_pref(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "ordered_pref", parts=False, order=True, **DEST)
