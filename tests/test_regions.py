@@ -75,3 +75,7 @@ def test_greedy_rating(engines, asked, monkeypatch):
 
 def test_ordered_pref(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "ordered_pref", parts=False, order=True, **DEST)
+
+
+def test_ordered_pref_nodest(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "ordered_pref", order=True)
