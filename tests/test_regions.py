@@ -79,3 +79,7 @@ def test_ordered_pref(engines, asked, monkeypatch):
 
 def test_ordered_pref_nodest(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "ordered_pref", order=True)
+
+
+def test_progressive(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "progressive", order=True)
