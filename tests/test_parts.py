@@ -59,3 +59,25 @@ def test_components_of_a_long_way_settle_in_few_rounds(spark):
     edges = [*zip(at, at[1:]), (5000, 5000), (5001, 5002), (5002, 5001)]
     got = {r.v: r.root for r in operators.connected(spark.createDataFrame(edges, "u long, v long"), max_rounds=14).collect()}
     assert got == {v: 0 for v in at} | {5000: 5000, 5001: 5001, 5002: 5001}
+
+
+def test_scope_follows_the_tables(spark, sf_dir):
+    """Another number of suppliers and vertices, another share."""
+    from tagroute.registry import QUERIES
+
+    small, larger = (sorted(map(tuple, QUERIES["m_scope"](spark, d).collect())) for d in (sf_dir, "/root/testdata/sf0.01"))
+    assert [r[0] for r in small] == [r[0] for r in larger] == [3, 4, 5] and all(a[1] > b[1] for a, b in zip(small, larger))
+
+
+def test_distances_over_strips(spark, sf_dir, monkeypatch):
+    """A network beyond a task, by strips: landmarks, a limit, a source that no arc has, and a graph of shortcuts."""
+    from tagroute.distance import arrays
+    from tagroute.distance.wide import sssp_strips
+
+    d = Data(spark, sf_dir)
+    asked = index.spread_landmarks(d.vertices, 4).select(F.col("v").alias("s")).unionByName(spark.createDataFrame([(10**6,)], "s long"))
+    for limit in (None, 60):
+        expected = sorted(map(tuple, sssp(d.arcs, asked, limit).collect()))
+        assert sorted(map(tuple, sssp_strips(d.arcs, asked, limit, most=150).collect())) == expected
+    monkeypatch.setattr(arrays, "LOCAL_ARCS", 100)
+    assert index.landmarks(d.arcs, index.spread_landmarks(d.vertices, 8)).count() == 8 * 200
