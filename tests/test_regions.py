@@ -83,3 +83,20 @@ def test_ordered_pref_nodest(engines, asked, monkeypatch):
 
 def test_progressive(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "progressive", order=True)
+
+
+def test_ordered_astar(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "ordered_astar", ratings="identical", order=True)
+
+
+def test_ebs(engines, asked, monkeypatch):
+    _check(engines, asked, monkeypatch, "ebs")
+    _check(engines, asked, monkeypatch, "ebs", parts=False, rating_scope="path")
+
+
+def test_counters(engines, asked, monkeypatch):
+    """Every counter of the search is that over the whole network."""
+    monkeypatch.setattr(regions, "BLOCK", 16)
+    local, wide = engines
+    told = lambda e: {r.qid: r.counters for r in e.counters(asked).collect()}
+    assert told(wide) == told(local)
