@@ -100,3 +100,19 @@ def test_counters(engines, asked, monkeypatch):
     local, wide = engines
     told = lambda e: {r.qid: r.counters for r in e.counters(asked).collect()}
     assert told(wide) == told(local)
+
+
+def test_counters_from_narrow_parts(engines, asked, monkeypatch):
+    """Parts that reach as far as routes that count may go are enough: twice what the search settled is not asked for."""
+    monkeypatch.setattr(regions, "BLOCK", 16)
+    monkeypatch.setattr(regions, "SQUARE", 1)
+    local, wide = engines
+    got = regions.run_regions(wide.index, asked, "ebs", {}, counters=True, limit=5500)
+    assert {r.qid: r.counters for r in got.collect()} == {r.qid: r.counters for r in local.counters(asked).collect()}
+
+
+def test_many_starts_in_a_square_are_dealt_out(spark):
+    """Queries that start together go to several tasks, about as many to each."""
+    waiting = spark.range(320).select(F.col("id").alias("qid"), F.lit(5.0).alias("sx"), (F.col("id") % 7).cast("double").alias("sy"))
+    sizes = [r["count"] for r in regions._squares(waiting, 100).groupBy("g").count().collect()]
+    assert sum(sizes) == 320 and len(sizes) == 20 and max(sizes) <= 40
