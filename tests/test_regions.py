@@ -111,6 +111,16 @@ def test_counters_from_narrow_parts(engines, asked, monkeypatch):
     assert {r.qid: r.counters for r in got.collect()} == {r.qid: r.counters for r in local.counters(asked).collect()}
 
 
+@pytest.mark.parametrize(("method", "variant"), [("ordered_pref", {}), ("ordered_astar", {"ratings": "identical"})])
+def test_ways_to_a_destination_widen_by_their_length(engines, asked, monkeypatch, method, variant):
+    """Where the first part has no answer, the next has room beside the way to the destination, and is not the whole network."""
+    monkeypatch.setattr(regions, "BLOCK", 16)
+    monkeypatch.setattr(regions, "SQUARE", 1)
+    local, wide = engines
+    got = regions.run_regions(wide.index, asked, method, {"order": True, **DEST, **variant}, limit=7200)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, local.run(asked, method, order=True, **DEST, **variant).collect()))
+
+
 def test_many_starts_in_a_square_are_dealt_out(spark):
     """Queries that start together go to several tasks, about as many to each."""
     waiting = spark.range(320).select(F.col("id").alias("qid"), F.lit(5.0).alias("sx"), (F.col("id") % 7).cast("double").alias("sy"))
