@@ -1,11 +1,15 @@
 """Whole results where a shortcut would lose some."""
 
+import os
+
+import duckdb
 import pytest
 from pyspark.sql import functions as F
 
 from tagroute import network, workloads
-from tagroute.query import Engine, QuerySpec, queries_frame
-from tagroute.registry import Data
+from tagroute.query import Engine, QuerySpec, queries_frame, regions
+from tagroute.registry import ORACLE_SQL, QUERIES, Data
+from tagroute.sources.tables import TABLES
 
 
 def test_snap_finds_far_vertices(spark):
@@ -53,3 +57,26 @@ def test_workloads_run_their_grids(spark, sf_dir, monkeypatch):
     assert len(found) == 3 * len(workloads.EFFECTIVENESS)
     work = workloads.ablation(engine, log).collect()
     assert len(work) == (2 + len(workloads.SHARES)) * len(workloads.ABLATIONS) and {r.share for r in work} == {0.25, 0.5, 0.75, 1.0}
+
+
+def test_pruning_cube_has_the_queries_of_all_events(spark, sf_dir, tmp_path):
+    """Events numbered 990 to 1009: half of them lie beyond the experiments' workload."""
+    con = duckdb.connect()
+    for t in TABLES:
+        if t == "events":
+            con.execute(f"COPY (SELECT * REPLACE (event_id + 990 AS event_id) FROM '{sf_dir}/events.parquet' WHERE event_id < 20) TO '{tmp_path}/events.parquet'")
+        else:
+            os.symlink(f"{sf_dir}/{t}.parquet", tmp_path / f"{t}.parquet")
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{tmp_path}/{t}.parquet')")
+    asked = Data(spark, str(tmp_path)).log(whole=True)
+    assert asked.filter("qid >= 1000").count() == 10
+    got = sorted(map(repr, map(tuple, QUERIES["cube_pruning"](spark, str(tmp_path)).select("zone", "parity", "queries", "cells_rn", "shrinks").collect())))
+    assert got == sorted(map(repr, con.execute(ORACLE_SQL["cube_pruning"]).fetchall()))
+    assert con.execute("SELECT queries FROM (" + ORACLE_SQL["cube_pruning"] + ") AS c WHERE zone IS NULL AND parity IS NULL").fetchone()[0] > 10
+
+
+def test_groups_of_large_batches_are_few(spark, monkeypatch):
+    """Blocks are sent to each group, so groups don't grow with the batch."""
+    monkeypatch.setattr(regions, "GROUPS", 4)
+    waiting = spark.range(320).select(F.col("id").alias("qid"), F.lit(5.0).alias("sx"), F.lit(5.0).alias("sy"))
+    assert regions._squares(waiting, 100).select("g").distinct().count() <= 4
