@@ -73,6 +73,15 @@ def test_greedy_rating(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "greedy_rating", parts=False)
 
 
+def test_best_rated_places_may_lie_anywhere(engines, asked):
+    """No part of the network as large as the whole one goes to a task, however far the hops are."""
+    local, wide = engines
+    for variant in ({"order": True, **DEST}, {"ratings": "identical", "budget": 60}):
+        expected = sorted(map(tuple, local.run(asked, "greedy_rating", **variant).collect()))
+        assert sorted(map(tuple, regions.run_regions(wide.index, asked, "greedy_rating", variant, limit=100).collect())) == expected
+        assert len(expected) >= 5
+
+
 def test_ordered_pref(engines, asked, monkeypatch):
     _check(engines, asked, monkeypatch, "ordered_pref", parts=False, order=True, **DEST)
 
